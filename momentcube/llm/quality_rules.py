@@ -12,13 +12,13 @@ from collections import Counter
 
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import map_rows
+from .common import map_rows, materialize
 
 SYMBOLS = b"#*$%&|<>"
 _CAPITALS = bytes(range(65, 91))
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_capitals", "n_lines")
 #: measure: (numerator, denominator, least distance in 1/1000)
-MEASURES = {"symbol_share": ("n_symbols", "word_chars", 10), "capital_share": ("n_capitals", "word_chars", 25), "dup_line_share": ("n_dup_lines", "n_lines", 40)}
+MEASURES = {"symbol_share": ("n_symbols", "word_chars", 10), "capital_share": ("n_capitals", "word_chars", 25), "dup_line_share": ("n_dup_lines", "n_lines", 60)}
 SPREAD = 8
 
 
@@ -82,15 +82,19 @@ def judged(rows: DataFrame, limits: DataFrame, prefix: str = "", group: tuple[st
     return both.withColumn(prefix + "kept", ~F.col(prefix + "base_failed") & within).drop(*[f"__qr_max_{m}" for m in MEASURES])
 
 
-def quality_report(docs: DataFrame, materialize) -> DataFrame:
+def quality_report(docs: DataFrame) -> DataFrame:
     rows = materialize(counted(docs.select("doc_id", "text", "lang", "source"), ["doc_id", "lang", "source"]))
-    return judged(rows, thresholds(rows)).select("doc_id", *COUNTS[:5], "base_failed", "kept")
+    return judged(rows, materialize(thresholds(rows))).select("doc_id", *COUNTS[:5], "base_failed", "kept")
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
-    """Documents that pass, with their own columns."""
+    """Documents that pass, with their own columns.
+
+    The thresholds are written first: a row for each language and source, of which Spark then knows the size, so
+    while they are small the documents are filtered where they are read, and joined by shuffle beyond.
+    """
     p = "__qr_"
-    limits = thresholds(counted(docs.select("text", "lang", "source"), ["lang", "source"], p), p)
+    limits = materialize(thresholds(counted(docs.select("text", "lang", "source"), ["lang", "source"], p), p))
     return judged(counted(docs, docs.columns, p), limits, p).where(f"{p}kept").select(*docs.columns)
 
 

@@ -141,7 +141,7 @@ def wide_fingerprint(text: str | None, width: int) -> np.ndarray:
     return out
 
 
-def max_bits(similarity: float, bits: int = 64 * WIDE_WORDS, slack: float = 0.02) -> int:
+def max_bits(similarity: float, bits: int = 64 * WIDE_WORDS, slack: float = 0.035) -> int:
     """Bits by which fingerprints of shingle sets with this Jaccard similarity differ in expectation, plus slack."""
     cosine = 2 * similarity / (1 + similarity)
     return int(bits * (np.arccos(cosine) / np.pi + slack))

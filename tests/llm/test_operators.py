@@ -256,7 +256,7 @@ def test_scores_do_not_depend_on_chunks():
 def test_quality_rules(which, request):
     docs = request.getfixturevalue(which)
     text = texts_of(docs)
-    got = quality_rules.quality_report(docs, common.materialize).collect()
+    got = quality_rules.quality_report(docs).collect()
     assert len(got) == len(text)
     for r in got:
         n, chars, sym, dup, rep = ref.quality_counts(text[r["doc_id"]])
@@ -273,7 +273,7 @@ def test_empty_tables(empty):
     assert simhash.drop_near_duplicates(empty).count() == 0
     assert packing.pack_documents(empty).count() == 0
     assert bpe.encode_digests(empty).count() == 0
-    assert quality_rules.quality_report(empty, common.materialize).count() == 0
+    assert quality_rules.quality_report(empty).count() == 0
     assert pii.sanitise_documents(empty).columns == empty.columns
 
 
