@@ -515,6 +515,23 @@ def q_cascade_stage_counts(spark, sf):
     return out
 
 
+def _many_groups(spark, sf):
+    """Parts by return flag: tens of thousands of groups of a few values each."""
+    return summarise(load(spark, sf, "lineitem"), F.col("l_extendedprice"), ["l_partkey", "l_returnflag"], S10)
+
+
+@query_key("SELECT count(DISTINCT (l_partkey, l_returnflag)) AS n_groups FROM lineitem")
+def bench_threshold_direct(spark, sf):
+    """Estimates for every group: what the cascade saves."""
+    return query.direct(_many_groups(spark, sf), 0.9, F.lit(104000.0), S10, parallel=8).agg(F.count(F.lit(1)).alias("n_groups"), F.count_if(F.col("verdict")).alias("above")).select("n_groups")
+
+
+@query_key("SELECT count(DISTINCT (l_partkey, l_returnflag)) AS n_groups FROM lineitem")
+def bench_threshold_cascade(spark, sf):
+    g = query.cascade(_many_groups(spark, sf), 0.9, F.lit(104000.0), S10, parallel=8)
+    return g.agg(F.count(F.lit(1)).alias("n_groups"), F.count_if(F.col("verdict")).alias("above")).select("n_groups")
+
+
 # Windows ----------------------------------------------------------------------------------------------------------------
 
 _PANE = "CAST(floor(epoch(ts) / 600) AS BIGINT)"

@@ -15,7 +15,7 @@ def build_cells(df: DataFrame, by: list[str], metric: Column, kind: str) -> Data
     rows = df.select(*by, clean(metric).alias("x")).where("x is not null")
     schema = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in by) + ", state binary"
 
-    def build(key, g: pd.DataFrame) -> pd.DataFrame:
+    def build(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame([[*key, sketches.dump(impl.build(g["x"].to_numpy()))]], columns=[*by, "state"])
 
     return rows.groupBy(*by).applyInPandas(build, schema)
@@ -27,7 +27,7 @@ def merge_cells(cells: DataFrame, by: list[str], kind: str, fan_in: int = 64) ->
     kinds = [f"{c} {cells.schema[c].dataType.simpleString()}" for c in by]
 
     def step(df: DataFrame, keys: list[str], schema: str) -> DataFrame:
-        def merge(key, g: pd.DataFrame) -> pd.DataFrame:
+        def merge(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
             return pd.DataFrame([[*key, sketches.dump(sketches.merge_all(impl, map(sketches.load, g["state"])))]], columns=[*keys, "state"])
 
         return df.groupBy(*keys).applyInPandas(merge, schema)

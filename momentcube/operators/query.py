@@ -47,7 +47,7 @@ def cascade(groups: DataFrame, phi: float, t: Column, spec: SummarySpec = Summar
     df = df.withColumn("__r", bounds.range_verdict(F.col("xmin"), F.col("xmax"), F.col("__t")) if "range" in stages else none)
     if "markov" in stages:
         low, high = bounds.markov_bounds(spec, F.col("__t"))
-        df = df.withColumn("__lo", low).withColumn("__hi", high).withColumn("__m", F.when(F.col("__r").isNull(), bounds.bound_verdict(F.col("__lo"), F.col("__hi"), phi)))
+        df = df.withColumn("__lo", low).withColumn("__hi", high).withColumn("__m", F.when(F.col("__r").isNull() & (F.col("n") > 0), bounds.bound_verdict(F.col("__lo"), F.col("__hi"), phi)))
     else:
         df = df.withColumn("__lo", F.lit(0.0)).withColumn("__hi", F.lit(1.0)).withColumn("__m", none)
     open_state = F.when(F.col("__r").isNull() & F.col("__m").isNull() & (F.col("n") > 0), as_struct(spec))
