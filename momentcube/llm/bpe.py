@@ -12,7 +12,9 @@ from __future__ import annotations
 import base64
 import hashlib
 import heapq
+from array import array
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import regex
@@ -25,7 +27,7 @@ _BASE = 0x9E3779B97F4A7C15 | 1
 _MASK = (1 << 64) - 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 #: Merged forms of rare pre-tokens kept per worker; older ones go when it is full.
-REMEMBERED = 200_000
+REMEMBERED = 600_000
 
 
 def _mix(x: np.ndarray, salt) -> np.ndarray:
@@ -116,34 +118,75 @@ class PerfectHash:
         if len(same):
             size = length[same]
             begin = np.cumsum(size) - size
-            step = np.arange(int(size.sum())) - np.repeat(begin, size)
-            equal = data[np.repeat(starts[same], size) + step] == self.blob[np.repeat(self.start[slot[same]], size) + step]
-            hit = same[np.minimum.reduceat(equal, begin)] if len(begin) else same
+            step = np.arange(int(size.sum()))
+            equal = data[np.repeat(starts[same] - begin, size) + step] == self.blob[np.repeat(self.start[slot[same]] - begin, size) + step]
+            hit = same[np.logical_and.reduceat(equal, begin)]
             out[hit] = self.value[slot[hit]]
         return out
 
 
-def merge_bytes(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """Ids of one pre-token: the lowest-ranked adjacent pair (leftmost on ties) merges first, over a linked list."""
-    n = len(piece)
-    part = [piece[i : i + 1] for i in range(n)]
-    after, before, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
-    heap = [(r, i, 2) for i in range(n - 1) if (r := ranks.get(piece[i : i + 2])) is not None]
+def pair_table(ranks: dict[bytes, int]) -> dict[int, int]:
+    """(left id, right id) packed in one number -> id of the two together, for every split of every entry."""
+    return {(ranks[w[:i]] << 32) | ranks[w[i:]]: r for w, r in ranks.items() for i in range(1, len(w)) if w[:i] in ranks and w[i:] in ranks}
+
+
+def merge_bytes(piece: bytes, single: list[int], pairs: dict[int, int]) -> list[int]:
+    """Ids of one pre-token: the lowest-ranked adjacent pair (leftmost on ties) merges first, by a heap over linked bytes."""
+    part = [single[b] for b in piece]
+    n = len(part)
+    get = pairs.get
+    rank = [get((part[i] << 32) | part[i + 1], -1) for i in range(n - 1)]
+    rank.append(-1)
+    heap = [(r << 32) | i for i, r in enumerate(rank) if r >= 0]
+    if not heap:
+        return part
+    after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     heapq.heapify(heap)
+    pop, push = heapq.heappop, heapq.heappush
     while heap:
-        _, i, size = heapq.heappop(heap)
-        j = after[i] if alive[i] else n
-        if j >= n or len(part[i]) + len(part[j]) != size:
+        top = pop(heap)
+        i, r = top & 0xFFFFFFFF, top >> 32
+        if rank[i] != r:
             continue
-        part[i] += part[j]
-        alive[j], after[i] = False, after[j]
-        if after[j] < n:
-            before[after[j]] = i
-            if (r := ranks.get(part[i] + part[after[j]])) is not None:
-                heapq.heappush(heap, (r, i, len(part[i]) + len(part[after[j]])))
-        if (p := before[i]) >= 0 and (r := ranks.get(part[p] + part[i])) is not None:
-            heapq.heappush(heap, (r, p, len(part[p]) + len(part[i])))
-    return [ranks[part[i]] for i in range(n) if alive[i]]
+        part[i] = r
+        j = after[i]
+        k = after[i] = after[j]
+        rank[j] = -1
+        if k < n:
+            before[k] = i
+            new = rank[i] = get((r << 32) | part[k], -1)
+            if new >= 0:
+                push(heap, (new << 32) | i)
+        else:
+            rank[i] = -1
+        p = before[i]
+        if p >= 0:
+            new = rank[p] = get((part[p] << 32) | r, -1)
+            if new >= 0:
+                push(heap, (new << 32) | p)
+    out, i = [], 0
+    while i < n:
+        out.append(part[i])
+        i = after[i]
+    return out
+
+
+def _gather(blob: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """The spans of a blob one after another."""
+    ends = np.cumsum(lengths)
+    return blob[np.repeat(starts - (ends - lengths), lengths) + np.arange(int(ends[-1]) if len(ends) else 0)]
+
+
+_CUT = regex.compile(r"\S(?=\s)")
+
+
+def windows(text: str, size: int = 1 << 20) -> list[str]:
+    """A text in parts of about ``size`` characters, cut before white space, where no pre-token of the pattern runs across."""
+    out, at = [], 0
+    while len(text) - at > size and (m := _CUT.search(text, at + size)):
+        out.append(text[at : m.end()])
+        at = m.end()
+    return [*out, text[at:]]
 
 
 class Codec:
@@ -153,54 +196,97 @@ class Codec:
         self.ranks = {base64.b64decode(a): int(b) for a, b in pairs}
         self.split = regex.compile(pattern)
         self.table = PerfectHash(list(self.ranks), list(self.ranks.values()))
-        self.bytes_of = dict(zip(self.ranks.values(), self.ranks))
-        self.rare: dict[bytes, np.ndarray] = {}
+        words = [w for w, _ in sorted(self.ranks.items(), key=lambda x: x[1])]
+        self.width = np.zeros(max(self.ranks.values()) + 1, dtype=np.int64)
+        self.width[list(self.ranks.values())] = [len(w) for w in self.ranks]
+        self.place = np.cumsum(self.width) - self.width
+        self.blob = np.frombuffer(b"".join(words), dtype=np.uint8)
+        self.single = [self.ranks[bytes([b])] for b in range(256)]
+        self.pairs = pair_table(self.ranks)
+        self.rare: dict[bytes, bytes] = {}
 
     def encode_batch(self, batch: list[str], budget: int = 1 << 20) -> list[np.ndarray]:
-        """Ids (uint32) of every text. Texts are taken together up to ``budget`` characters for tier 1."""
-        out, group, size = [], [], 0
-        for t in batch:
-            group.append(t)
-            size += len(t)
+        """Ids (uint32) of every text. Parts of texts are taken together up to ``budget`` characters for tier 1."""
+        parts = [(i, w) for i, t in enumerate(batch) for w in windows(t, budget)]
+        done: list[np.ndarray] = []
+        group, size = [], 0
+        for _, w in parts:
+            group.append(w)
+            size += len(w)
             if size >= budget:
-                out += self._encode(group)
+                done += self._encode(group)
                 group, size = [], 0
-        return out + (self._encode(group) if group else [])
+        done += self._encode(group) if group else []
+        if len(parts) == len(batch):
+            return done
+        own: list[list[np.ndarray]] = [[] for _ in batch]
+        for (i, _), ids in zip(parts, done):
+            own[i].append(ids)
+        return [np.concatenate(x) for x in own]
+
+    def _merged(self, pieces: list[bytes]) -> list[bytes]:
+        """Ids of each pre-token as packed 32-bit numbers."""
+        rare, out = self.rare, []
+        for piece in pieces:
+            ids = rare.get(piece)
+            if ids is None:
+                ids = array("I", merge_bytes(piece, self.single, self.pairs)).tobytes()
+                if len(piece) <= 64:
+                    if len(rare) >= REMEMBERED:
+                        rare.clear()
+                    rare[piece] = ids
+            out.append(ids)
+        return out
 
     def _encode(self, group: list[str]) -> list[np.ndarray]:
         pieces = [self.split.findall(t) for t in group]
-        flat = [p.encode() for ps in pieces for p in ps]
-        if not flat:
+        many = [len(p) for p in pieces]
+        count = sum(many)
+        if not count:
             return [np.empty(0, dtype=np.uint32) for _ in group]
-        length = np.fromiter(map(len, flat), dtype=np.int64, count=len(flat))
-        data = np.frombuffer(b"".join(flat), dtype=np.uint8)
+        length = np.fromiter(chain.from_iterable(map(len, ps) for ps in pieces), dtype=np.int64, count=count)
+        joined = "".join(group)
+        raw = joined.encode()
         ends = np.cumsum(length)
-        found = self.table.find(data, ends - length, ends)
-        many = np.ones(len(flat), dtype=np.int64)
+        if len(raw) != len(joined):  # the pieces cover the text: byte ends follow from the widths of the code points
+            code = np.frombuffer(joined.encode("utf-32-le"), dtype=np.uint32)
+            ends = np.cumsum(1 + (code >= 0x80).astype(np.int8) + (code >= 0x800) + (code >= 0x10000), dtype=np.int64)[ends - 1]
+            length = np.diff(ends, prepend=0)
+        data, starts = np.frombuffer(raw, dtype=np.uint8), ends - length
+        found = self.table.find(data, starts, ends)
+        sizes = np.ones(count, dtype=np.int64)
         missing = np.nonzero(found < 0)[0]
-        merged = []
-        for i in missing.tolist():
-            ids = self.rare.get(flat[i])
-            if ids is None:
-                if len(self.rare) >= REMEMBERED:
-                    self.rare.clear()
-                ids = np.array(merge_bytes(flat[i], self.ranks), dtype=np.uint32)
-                if len(flat[i]) <= 64:
-                    self.rare[flat[i]] = ids
-            merged.append(ids)
-        many[missing] = np.fromiter(map(len, merged), dtype=np.int64, count=len(merged))
-        stop = np.cumsum(many)
+        if len(missing):
+            # equal misses are merged once: grouped by hash, then compared byte by byte with their first
+            _, first, same = np.unique(self.table.hasher(data, starts[missing], ends[missing]), return_index=True, return_inverse=True)
+            head = missing[first][same]
+            alike = length[head] == length[missing]
+            alike[alike] = self._equal(data, starts[head[alike]], starts[missing[alike]], length[missing[alike]])
+            if not alike.all():
+                first, same = np.arange(len(missing)), np.arange(len(missing))
+            lists = self._merged([raw[a:b] for a, b in zip(starts[missing[first]].tolist(), ends[missing[first]].tolist())])
+            widths = np.fromiter(map(len, lists), dtype=np.int64, count=len(lists)) // 4
+            flat = np.frombuffer(b"".join(lists), dtype=np.uint32)
+            sizes[missing] = widths[same]
+        stop = np.cumsum(sizes)
         ids = np.empty(int(stop[-1]), dtype=np.uint32)
         known = found >= 0
-        ids[(stop - many)[known]] = found[known]
-        if merged:
-            spread = np.repeat(~known, many)
-            ids[spread] = np.concatenate(merged)
-        bounds = np.concatenate([[0], stop])[np.cumsum([0] + [len(ps) for ps in pieces])]
+        ids[(stop - sizes)[known]] = found[known]
+        if len(missing):
+            ids[np.repeat(~known, sizes)] = _gather(flat, (np.cumsum(widths) - widths)[same], widths[same])
+        bounds = np.concatenate([[0], stop])[np.cumsum([0, *many])]
         return [ids[a:b] for a, b in zip(bounds[:-1], bounds[1:])]
 
+    @staticmethod
+    def _equal(data, a, b, length) -> np.ndarray:
+        if not len(a):
+            return np.empty(0, dtype=bool)
+        begin = np.cumsum(length) - length
+        step = np.arange(int(length.sum())) - np.repeat(begin, length)
+        return np.logical_and.reduceat(data[np.repeat(a, length) + step] == data[np.repeat(b, length) + step], begin)
+
     def decode(self, ids: np.ndarray) -> bytes:
-        return b"".join(map(self.bytes_of.__getitem__, ids.tolist()))
+        return b"".join(_gather(self.blob, self.place[part], self.width[part]).tobytes() for part in np.array_split(ids, max(1, len(ids) >> 18)))
 
 
 @lru_cache(maxsize=4)
