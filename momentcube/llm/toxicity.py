@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, types as T
 from .common import map_rows, texts
 from .quality_model import labelled_sample
 
-SAMPLE_ROWS, SAMPLE_CHARS, VOTERS, FEATURES, LEAST_SCORE, PURITY = 6000, 65_536, 60, 800, 4.5, 0.55
+SAMPLE_ROWS, SAMPLE_CHARS, VOTERS, FEATURES, LEAST_SCORE, PURITY = 4000, 65_536, 60, 800, 4.5, 0.55
 _WORD = re.compile(r"\w+")
 STEMS = (3, 4, 5, 6)
 
@@ -122,7 +122,8 @@ def train(sample: list[tuple[str, int]]) -> tuple[dict[str, float], float]:
     y = np.array([v for _, v in sample], dtype=float)
     if not len(y) or y.min() == y.max():
         return {}, float(np.log((y.sum() + 1) / (len(y) - y.sum() + 1))) - 1e-6 if len(y) else -1e-6
-    docs = [terms_of(t) for t, _ in sample]
+    shared: dict[str, str] = {}  # one string object for each term, whatever the number of documents
+    docs = [{shared.setdefault(w, w) for w in terms_of(t)} for t, _ in sample]
     lexicon = lexicon_voters(docs, rated_terms(docs, y))
     votes = np.array([[w in d for w in lexicon] + pattern_votes(t, d, lexicon) for (t, _), d in zip(sample, docs)], dtype=float)
     post, _, _ = fit_label_model(votes, y * 0.9 + 0.05)
