@@ -700,6 +700,66 @@ def bench_cube_store(spark, sf):
     return query.by_group(events_cube(spark, sf), ["event_type"], 0.99, S10).select("event_type", "n", "q")
 
 
+@query_key()
+def sweep_order(spark, sf):
+    """Average rank error and bytes against the order, powers and logs, on a long tail and a signed metric."""
+    from .summary import nbytes
+
+    out = None
+    for name in ("events", "embeddings"):
+        df = metric(spark, sf, name)
+        s = summarise(df, F.col("x"), [], SummarySpec(12)).select(as_struct(SummarySpec(12)).alias("st"))
+        for k in (2, 4, 6, 8, 10, 12):
+            row = exact.avg_error(df, F.col("x"), s.select(quantiles_udf(PHIS, max_k=k)("st").alias("q")))
+            row = row.select(F.lit(name).alias("metric"), F.lit(k).alias("order"), F.lit(nbytes(SummarySpec(k))).alias("bytes"), F.round("eps_avg", 5).alias("eps_avg"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query_key(" UNION ALL ".join(f"SELECT {c} AS cell_size, count(DISTINCT event_id // {c}) AS n_merge, count(*) AS n FROM events" for c in (20, 200, 2000)))
+def sweep_cell_size(spark, sf):
+    """Number of merges against the size of cells; the merged summary holds the same values."""
+    out = None
+    for size in (20, 200, 2000):
+        c = cube.cells(load(spark, sf, "events"), F.col("event_id"), size, F.col("value"), S4)
+        row = c.agg(F.count(F.lit(1)).alias("n_merge"), F.sum("n").alias("n")).select(F.lit(size).alias("cell_size"), "n_merge", "n")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query_key()
+def gk_growth(spark, sf):
+    """Bytes of tuple sketches after merging ever more cells: not strictly mergeable, so they grow."""
+    ev = load(spark, sf, "events").withColumn("cell", F.floor(F.col("event_id") / 200))
+    cells = baselines.build_cells(ev, ["cell"], F.col("value"), "gk")
+    out = None
+    for m in (1, 5, 25):
+        row = baselines.quantiles(baselines.merge_cells(cells.withColumn("g", F.floor(F.col("cell") / m)), ["g"], "gk"), "gk", [0.5])
+        row = row.agg(F.lit(m).alias("merged"), F.round(F.avg("bytes"), 1).alias("bytes"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query_key()
+def win_alert_merge12(spark, sf):
+    """Sliding windows with low-discrepancy sketches: every window merges its 24 panes again."""
+    ev = load(spark, sf, "events").withColumn("pane", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 600).cast("long"))
+    p = baselines.build_cells(ev, ["pane"], F.col("value"), "merge12")
+    ends = p.withColumn("end", F.explode(F.sequence(F.col("pane"), F.col("pane") + 23)))
+    return baselines.quantiles(baselines.merge_cells(ends, ["end"], "merge12", fan_in=1), "merge12", [0.99]).select("end", F.col("q")[0].alias("q"), (F.col("q")[0] > 400).alias("alert"))
+
+
+@query_key("SELECT l_returnflag, count(*) AS n, 'coarse' AS routed FROM lineitem GROUP BY 1")
+def routed_rollup(spark, sf):
+    """A query answered from the smallest materialised cube that covers it."""
+    from .plans.route import Cube, choose
+
+    fine = lineitem_cube(spark, sf, S4)
+    coarse = cube.rollup(fine, ["l_returnflag", "l_linestatus"], S4)
+    best = choose([Cube("fine", frozenset(["l_returnflag", "l_linestatus", "l_suppkey", "bucket"]), S4, 10**6, fine), Cube("coarse", frozenset(["l_returnflag", "l_linestatus"]), S4, 6, coarse)], {"l_returnflag"}, set(), S4)
+    return merge_groups(best.table, ["l_returnflag"], S4).select("l_returnflag", "n", F.lit(best.name).alias("routed"))
+
+
 @query_key()
 def production_cube(spark, sf):
     """Six pseudo-dimensions of up to ten values and their p99 by one of them."""
