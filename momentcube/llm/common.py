@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import re
 import shutil
 import tempfile
 import uuid
@@ -39,6 +41,28 @@ def held_out(doc_id: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
+#: Rows and bytes of text that go to a Python worker at once.
+BATCH_ROWS, BATCH_BYTES = 1000, 8 << 20
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Lower the session's Arrow batch limits (runtime settings) so that neither side holds much text off the heap."""
+    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
+        now = spark.conf.get(key, "0")
+        size = int(re.sub(r"[^0-9-]", "", now) or 0)
+        if spark.conf.isModifiable(key) and not 0 < size <= most:
+            spark.conf.set(key, str(most))
+
+
+def give_back() -> None:
+    """Return freed memory of a reused worker to the system; its later tasks may need little."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # another C library: nothing to trim
+        pass
+
+
 def map_rows(df: DataFrame, add, fields: list[T.StructField], keep: list[str] | None = None) -> DataFrame:
     """Append columns computed by ``add(batch) -> dict of arrays`` to every row, batch by batch.
 
@@ -48,8 +72,10 @@ def map_rows(df: DataFrame, add, fields: list[T.StructField], keep: list[str] |
     schema = T.StructType([df.schema[n] for n in names] + fields)
     target = to_arrow_schema(schema)
 
+    bound_batches(df.sparkSession)
+
     def run(batches):
-        for batch in batches:
+        for k, batch in enumerate(batches):
             if not batch.num_rows:
                 continue
             made = add(batch)
@@ -57,6 +83,10 @@ def map_rows(df: DataFrame, add, fields: list[T.StructField], keep: list[str] |
             cols = [batch.column(batch.schema.get_field_index(n)) for n in names] + [pa.array(made[f.name], type=target.field(f.name).type) for f in fields]
             out = pa.RecordBatch.from_arrays([c if c.type == f.type else c.cast(f.type) for c, f in zip(cols, target)], schema=pa.schema([f.with_nullable(True) for f in target]))
             yield out if mask is None else out.filter(pa.array(mask))
+            del made, cols, out, batch
+            if k % 8 == 7:
+                give_back()
+        give_back()
 
     return df.mapInArrow(run, schema)
 

@@ -20,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import materialize
+from .common import bound_batches, give_back, materialize
 
 END = 2
 _STABLE = "֐"
@@ -66,6 +66,7 @@ def pieces(docs: DataFrame, capacity: int = 1024, tokenizer: tuple[str, str] | N
     """doc_id, piece, start, length, ids_crc32 (and ids, if asked for)."""
     paths = tokenizer or default_tokenizer()
     kind = docs.schema["doc_id"].dataType.simpleString()
+    bound_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:
@@ -84,6 +85,7 @@ def pieces(docs: DataFrame, capacity: int = 1024, tokenizer: tuple[str, str] | N
                 arrays.append(pa.array(out[5], type=pa.list_(pa.int32())))
                 names.append("ids")
             yield pa.RecordBatch.from_arrays(arrays, names=names)
+        give_back()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if with_ids else ""))
 
