@@ -48,9 +48,7 @@ BATCH_ROWS, BATCH_BYTES = 1000, 8 << 20
 def bound_batches(spark: SparkSession) -> None:
     """Lower the session's Arrow batch limits (runtime settings) so that neither side holds much text off the heap."""
     for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
-        now = spark.conf.get(key, "0")
-        size = int(re.sub(r"[^0-9-]", "", now) or 0)
-        if spark.conf.isModifiable(key) and not 0 < size <= most:
+        if spark.conf.isModifiable(key) and not 0 < int(re.sub(r"[^0-9-]", "", spark.conf.get(key))) <= most:
             spark.conf.set(key, str(most))
 
 
