@@ -141,7 +141,7 @@ def wide_fingerprint(text: str | None, width: int) -> np.ndarray:
     return out
 
 
-def max_bits(similarity: float, bits: int = 64 * WIDE_WORDS, slack: float = 0.035) -> int:
+def max_bits(similarity: float, bits: int = 64 * WIDE_WORDS, slack: float = 0.05) -> int:
     """Bits by which fingerprints of shingle sets with this Jaccard similarity differ in expectation, plus slack."""
     cosine = 2 * similarity / (1 + similarity)
     return int(bits * (np.arccos(cosine) / np.pi + slack))
@@ -154,55 +154,174 @@ def _key_positions(n_keys: int, key_bytes: int) -> np.ndarray:
     return flat[: n_keys * key_bytes].reshape(n_keys, key_bytes)
 
 
-def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, n_keys: int = 48, key_bytes: int = 3) -> DataFrame:
-    """doc_id, text hash, component_id: classes of documents of which shingle sets are ``similarity`` alike or more.
-
-    Equal word sequences form one class first. Each class then has two 256-bit fingerprints: one over pairs of
-    words, of which the 32 positional bytes are indexed (sets of ``key_bytes`` bytes; a pair as alike as
-    asked shares each byte with probability 0.45, so it meets under one of 48 sets with probability 0.98, and more
-    the more alike), and one over the shingles, whose bit distance estimates their similarity and decides.
-    Lists are worked in blocks, so a large group of near copies is spread over tasks and only spanning links leave them.
-    """
-
-    def add(batch):
-        col = batch.column(batch.schema.get_field_index("text")).to_pylist()
-        index = np.stack([wide_fingerprint(t, 2) for t in col])
-        proof = np.stack([wide_fingerprint(t, shingle) for t in col])
-        same = [xxhash.xxh3_128_hexdigest(b" ".join((t or "").encode().lower().split())) for t in col]
-        return {"same": same, "index_fp": [x.tobytes() for x in index], "proof_fp": [x.tobytes() for x in proof]}
-
-    fields = [T.StructField("same", T.StringType()), T.StructField("index_fp", T.BinaryType()), T.StructField("proof_fp", T.BinaryType())]
-    prints = materialize(map_rows(docs.select("doc_id", "text"), add, fields, keep=["doc_id"]))
-    distinct = materialize(prints.groupBy("same").agg(F.min("doc_id").alias("first"), F.first("index_fp").alias("index_fp"), F.first("proof_fp").alias("proof_fp")).withColumn("node", F.xxhash64("same")))
+#: Distance of what may not link.
+NO_LINK = np.uint16(65535)
+
+
+def _nearest_forests(far: np.ndarray, n_forests: int = 2) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Edge-disjoint minimum spanning forests of one block: ends and distances. ``far`` is symmetric, NO_LINK where nothing may link."""
+    n = len(far)
+    a, b, d = [], [], []
+    for _ in range(n_forests):
+        if (far == NO_LINK).all():
+            break
+        best, origin, open_ = np.full(n, NO_LINK, dtype=np.uint16), np.zeros(n, dtype=np.int64), np.ones(n, dtype=bool)
+        i, fresh = 0, len(a)
+        for _ in range(n):
+            open_[i] = False
+            nearer = open_ & (far[i] < best)
+            best[nearer], origin[nearer] = far[i][nearer], i
+            best[i] = NO_LINK
+            j = int(best.argmin())
+            if best[j] == NO_LINK:
+                j = int(open_.argmax())
+            else:
+                a.append(int(origin[j])), b.append(j), d.append(int(best[j]))
+            i = j
+        far = far.copy()
+        far[a[fresh:], b[fresh:]] = NO_LINK
+        far[b[fresh:], a[fresh:]] = NO_LINK
+    return np.array(a, dtype=np.int64), np.array(b, dtype=np.int64), np.array(d, dtype=np.int32)
+
+
+def _candidates(distinct: DataFrame, n_keys: int, key_bytes: int, most: int) -> DataFrame:
+    """(u, v, far): nearest-first forests of the links that fingerprints allow, over all blocks of all lists."""
     at = lambda i: F.substring("index_fp", int(i) + 1, 1)
     keys = F.array(*[F.xxhash64(F.lit(k), F.concat(*[at(i) for i in row])) for k, row in enumerate(_key_positions(n_keys, key_bytes))])
     lists = distinct.select("node", F.explode(keys).alias("key"))
     blocks = blocked(lists, ["key"], ["node"]).join(distinct.select("node", "proof_fp"), "node")
-    blocks = blocks.repartition("key", "ci", "cj").sortWithinPartitions("key", "ci", "cj").select("key", "ci", "cj", "node", "chunk", "proof_fp")
-    most = max_bits(similarity)
+    blocks = blocks.repartition("key", "ci", "cj").sortWithinPartitions("key", "ci", "cj", "node").select("key", "ci", "cj", "node", "chunk", "proof_fp")
 
     def run(batches):
         for rows in contiguous(batches, ["key", "ci", "cj"]):
             node = rows.column("node").to_numpy()
             if len(node) < 2:
                 continue
-            chunk = rows.column("chunk").to_numpy()
             fp = np.frombuffer(b"".join(rows.column("proof_fp").to_pylist()), dtype=np.uint64).reshape(-1, WIDE_WORDS)
-            links = np.zeros((len(node), len(node)), dtype=np.uint16)
+            far = np.zeros((len(node), len(node)), dtype=np.uint16)
             for k in range(WIDE_WORDS):
-                links += np.bitwise_count(fp[:, None, k] ^ fp[None, :, k])
-            links = links <= most
+                far += np.bitwise_count(fp[:, None, k] ^ fp[None, :, k])
+            far[far > most] = NO_LINK
+            np.fill_diagonal(far, NO_LINK)
             if rows.column("ci")[0].as_py() != rows.column("cj")[0].as_py():
-                links &= chunk[:, None] != chunk[None, :]
-            root = local_roots(links)
-            moved = np.nonzero(root != np.arange(len(node)))[0]
-            if len(moved):
-                yield pa.RecordBatch.from_arrays([pa.array(node[moved]), pa.array(node[root[moved]])], names=["u", "v"])
-
-    roots = materialize(components(blocks.mapInArrow(run, "u long, v long")))
-    placed = distinct.join(roots, "node", "left").select("same", "first", F.coalesce("root", "node").alias("root"))
-    least = placed.groupBy("root").agg(F.min("first").alias("component_id"))
-    return prints.select("doc_id", "same").join(placed.join(least, "root").select("same", "component_id"), "same")
+                chunk = rows.column("chunk").to_numpy()
+                far[chunk[:, None] == chunk[None, :]] = NO_LINK
+            a, b, d = _nearest_forests(far)
+            if len(a):
+                u, v = np.minimum(node[a], node[b]), np.maximum(node[a], node[b])
+                yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v), pa.array(d)], names=["u", "v", "far"])
+
+    return blocks.mapInArrow(run, "u long, v long, far int").groupBy("u", "v").agg(F.min("far").alias("far"))
+
+
+#: Links of one node that meet its text in one task.
+HUB = 64
+
+
+def _with_text(links: DataFrame, known: DataFrame, end: str) -> DataFrame:
+    """Add text_<end> to links; the text of a node with many links is dealt to one task for each HUB of them."""
+    parts = links.groupBy(end).agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts"))
+    salted = known.toDF(end, f"text_{end}").join(parts, end).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    dealt = links.join(parts, end).withColumn("salt", F.pmod(F.xxhash64("u", "v"), "parts").cast("int")).drop("parts")
+    return dealt.join(salted, [end, "salt"]).drop("salt")
+
+
+def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
+    """Links with ``ok``: whether the sets of shingles of both whole texts have this Jaccard similarity."""
+    pairs = _with_text(_with_text(links, known, "u"), known, "v")
+
+    def judge(batch):
+        left, right = (batch.column(batch.schema.get_field_index(f"text_{e}")).to_pylist() for e in "uv")
+        ok = []
+        for s, t in zip(left, right):
+            x, y = np.unique(shingle_hashes(s, shingle)), np.unique(shingle_hashes(t, shingle))
+            both = len(np.intersect1d(x, y, assume_unique=True))
+            ok.append(both >= similarity * (len(x) + len(y) - both))
+        return {"ok": ok}
+
+    return map_rows(pairs, judge, [T.StructField("ok", T.BooleanType())], keep=links.columns)
+
+
+PICKED_ROUNDS = 3
+
+
+def _proven_links(candidates: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame | None:
+    """Candidate links proven on the shingles, as far as they are needed to span the classes.
+
+    In each of the first rounds every class has its nearest open link proven, and proven links merge classes, so most
+    links of a group of copies end inside a class and need no text; then all links still open are proven.
+    """
+    proven: DataFrame | None = None
+    e = candidates.select("u", "v", "far", F.col("u").alias("cu"), F.col("v").alias("cv"))
+    for done in range(PICKED_ROUNDS + 1):
+        if e.isEmpty():
+            break
+        links = e.select("u", "v", "cu", "cv")
+        if done < PICKED_ROUNDS:
+            rank = F.struct("far", F.xxhash64("u", "v").alias("h"), "u", "v", "cu", "cv")
+            picks = e.select(F.col("cu").alias("c"), rank.alias("r")).union(e.select("cv", rank)).groupBy("c").agg(F.min("r").alias("r"))
+            links = picks.select("r.u", "r.v", "r.cu", "r.cv").distinct()
+        judged = materialize(_alike(materialize(links), known, similarity, shingle))
+        ok = judged.where("ok").select("u", "v")
+        proven = ok if proven is None else proven.union(ok)
+        if done == PICKED_ROUNDS:
+            break
+        roots = materialize(components(judged.where("ok").select(F.col("cu").alias("u"), F.col("cv").alias("v"))))
+        e = e.join(judged.select("u", "v"), ["u", "v"], "left_anti")
+        for c in ("cu", "cv"):
+            e = e.join(roots.toDF(c, "root"), c, "left").withColumn(c, F.coalesce("root", c)).drop("root")
+        e = materialize(e.where("cu <> cv").select("u", "v", "far", "cu", "cv"))
+    return proven
+
+
+def _row_key() -> list:
+    """Which row of documents: its id and its text; the texts are only hashed."""
+    return [F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("row_id"), F.xxhash64("text").alias("row_text")]
+
+
+def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, n_keys: int, key_bytes: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(doc_id, node) of all rows; one row of docs for each node (doc, node, linked); (node, first, least) of linked nodes."""
+
+    def add(batch):
+        col = batch.column(batch.schema.get_field_index("text")).to_pylist()
+        index = np.stack([wide_fingerprint(t, 2) for t in col])
+        proof = np.stack([wide_fingerprint(t, shingle) for t in col])
+        same = [xxhash.xxh3_128_hexdigest(b" ".join((t or "").encode().lower().split())) for t in col]
+        return {"same": same, "index_fp": [x.tobytes() for x in index], "proof_fp": [x.tobytes() for x in proof]}
+
+    fields = [T.StructField("same", T.StringType()), T.StructField("index_fp", T.BinaryType()), T.StructField("proof_fp", T.BinaryType())]
+    prints = materialize(map_rows(docs.select("doc_id", "text", *_row_key()), add, fields, keep=["doc_id", "row_id", "row_text"]).withColumn("node", F.xxhash64("same")))
+    first = F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "row_id", "row_text", "node")
+    distinct = materialize(prints.groupBy("node").agg(F.min(first).alias("first"), F.first("index_fp").alias("index_fp"), F.first("proof_fp").alias("proof_fp")))
+    candidates = materialize(_candidates(distinct, n_keys, key_bytes, max_bits(similarity)))
+    linked = candidates.select("u").union(candidates.select("v")).distinct().select(F.col("u").alias("node"), F.lit(True).alias("linked"))
+    row = distinct.select("first", "node").join(linked, "node", "left").select("first.row_id", "first.row_text", "node", F.coalesce("linked", F.lit(False)).alias("linked"))
+    # The text is shuffled once, by row: copies of one text are spread.
+    whole = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("doc"), *_row_key())
+    one = materialize(whole.join(row, ["row_id", "row_text"]).dropDuplicates(["row_id", "row_text"]).select("doc", "node", "linked"))
+    known = one.where("linked").select("node", "doc.text")
+    proven = _proven_links(candidates, known, similarity, shingle)
+    if proven is None:
+        return prints, one, distinct.select("node", "first", F.col("first").alias("least")).limit(0)
+    classes = distinct.select("node", "first").join(materialize(components(proven)), "node")
+    least = classes.groupBy("root").agg(F.min("first").alias("least"))
+    return prints, one, materialize(classes.join(least, "root").select("node", "first", "least"))
+
+
+def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, n_keys: int = 48, key_bytes: int = 3) -> DataFrame:
+    """doc_id, component_id: classes of documents of which shingle sets are ``similarity`` alike or more.
+
+    Equal word sequences form one class first. Each class then has two 256-bit fingerprints: one over pairs of
+    words, of which the 32 positional bytes are indexed (sets of ``key_bytes`` bytes; a pair as alike as
+    asked shares each byte with probability 0.45, so it meets under one of 48 sets with probability 0.98, and more
+    the more alike), and one over the shingles, whose bit distance estimates their similarity.
+    Lists are worked in blocks, so a large group of near copies is spread over tasks; two forests of its nearest
+    links leave each block. A link counts when the shingle sets of the whole texts prove it.
+    """
+    prints, _, classes = _near_duplicates(docs, similarity, shingle, n_keys, key_bytes)
+    alone = prints.groupBy("node").agg(F.min("doc_id").alias("first_id"))
+    of = alone.join(classes.select("node", F.col("least.doc_id").alias("least_id")), "node", "left")
+    return prints.select("doc_id", "node").join(of.select("node", F.coalesce("least_id", "first_id").alias("component_id")), "node").select("doc_id", "component_id")
 
 
 def contiguous(batches, key: list[str]):
@@ -229,7 +348,8 @@ def contiguous(batches, key: list[str]):
 
 
 def drop_near_duplicates(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
-    """Documents without all but the smallest doc_id of each class; of rows that repeat one doc_id one stays."""
-    kept = near_duplicate_classes(docs, similarity, shingle).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__kept")).distinct()
-    one = docs.join(kept, docs["doc_id"].eqNullSafe(F.col("__kept")), "left_semi")
-    return one.dropDuplicates(["doc_id"])
+    """One row of each class, that of the smallest known doc_id. Rows that share a doc_id but no class all stay."""
+    _, one, classes = _near_duplicates(docs, similarity, shingle, 48, 3)
+    lost = classes.where("first <> least").select("node")
+    kept = one.where("linked").join(lost, "node", "left_anti").select("doc")
+    return one.where("not linked").select("doc").union(kept).select("doc.*")

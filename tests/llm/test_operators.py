@@ -112,6 +112,24 @@ def test_near_duplicates(spark):
     assert ids == [*range(40), 500]
 
 
+def test_near_duplicates_against_exact_similarity(spark):
+    """No class joins documents without a path of pairs at 0.8 or more; such pairs are joined."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
+    sets = {r["doc_id"]: set(simhash.shingle_hashes(r["text"], 5).tolist()) for r in docs.collect()}
+    holders = defaultdict(list)
+    for i, s in sets.items():
+        for h in s:
+            holders[h].append(i)
+    met = {(a, b) for ids in holders.values() for a in ids for b in ids if a < b}
+    pairs = [(a, b) for a, b in met if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    empty = [i for i, s in sets.items() if not s]
+    exact = ref.classes(list(sets), pairs + [(empty[0], e) for e in empty[1:]])
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_classes(docs).collect()}
+    assert got.keys() == sets.keys() and len(pairs) > 20
+    assert all(exact[i] == exact[c] for i, c in got.items())
+    assert sum(got[a] == got[b] for a, b in pairs) >= 0.99 * len(pairs)
+
+
 def test_components_of_chains_and_stars(spark):
     edges = [(i, i + 1) for i in range(200)] + [(1000, 1000 + i) for i in range(1, 300)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in common.components(spark.createDataFrame(edges, "u long, v long")).collect()}
