@@ -242,36 +242,29 @@ def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int)
     return map_rows(pairs, judge, [T.StructField("ok", T.BooleanType())], keep=links.columns)
 
 
-PICKED_ROUNDS = 3
+def _proven_classes(candidates: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
+    """(node, root) of the nodes of candidate links: classes spanned by links that the shingles prove.
 
-
-def _proven_links(candidates: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame | None:
-    """Candidate links proven on the shingles, as far as they are needed to span the classes.
-
-    In each of the first rounds every class has its nearest open link proven, and proven links merge classes, so most
-    links of a group of copies end inside a class and need no text; then all links still open are proven.
+    First every node has its nearest link proven, which merges most copies; then all links between different classes are.
     """
-    proven: DataFrame | None = None
+    root = candidates.select("u").union(candidates.select("v")).distinct().select(F.col("u").alias("node"), F.col("u").alias("root"))
     e = candidates.select("u", "v", "far", F.col("u").alias("cu"), F.col("v").alias("cv"))
-    for done in range(PICKED_ROUNDS + 1):
-        if e.isEmpty():
-            break
+    for nearest_only in (True, False):
         links = e.select("u", "v", "cu", "cv")
-        if done < PICKED_ROUNDS:
+        if nearest_only:
             rank = F.struct("far", F.xxhash64("u", "v").alias("h"), "u", "v", "cu", "cv")
             picks = e.select(F.col("cu").alias("c"), rank.alias("r")).union(e.select("cv", rank)).groupBy("c").agg(F.min("r").alias("r"))
-            links = picks.select("r.u", "r.v", "r.cu", "r.cv").distinct()
-        judged = materialize(_alike(materialize(links), known, similarity, shingle))
-        ok = judged.where("ok").select("u", "v")
-        proven = ok if proven is None else proven.union(ok)
-        if done == PICKED_ROUNDS:
+            links = materialize(picks.select("r.u", "r.v", "r.cu", "r.cv").distinct())
+        judged = materialize(_alike(links, known, similarity, shingle))
+        merged = materialize(components(judged.where("ok").select(F.col("cu").alias("u"), F.col("cv").alias("v"))))
+        root = root.join(merged.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root"))
+        if not nearest_only:
             break
-        roots = materialize(components(judged.where("ok").select(F.col("cu").alias("u"), F.col("cv").alias("v"))))
         e = e.join(judged.select("u", "v"), ["u", "v"], "left_anti")
         for c in ("cu", "cv"):
-            e = e.join(roots.toDF(c, "root"), c, "left").withColumn(c, F.coalesce("root", c)).drop("root")
+            e = e.join(merged.toDF(c, "root"), c, "left").withColumn(c, F.coalesce("root", c)).drop("root")
         e = materialize(e.where("cu <> cv").select("u", "v", "far", "cu", "cv"))
-    return proven
+    return root
 
 
 def _row_key() -> list:
@@ -300,12 +293,9 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, n_keys: i
     whole = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("doc"), *_row_key())
     one = materialize(whole.join(row, ["row_id", "row_text"]).dropDuplicates(["row_id", "row_text"]).select("doc", "node", "linked"))
     known = one.where("linked").select("node", "doc.text")
-    proven = _proven_links(candidates, known, similarity, shingle)
-    if proven is None:
-        return prints, one, distinct.select("node", "first", F.col("first").alias("least")).limit(0)
-    classes = distinct.select("node", "first").join(materialize(components(proven)), "node")
+    classes = materialize(distinct.select("node", "first").join(_proven_classes(candidates, known, similarity, shingle), "node"))
     least = classes.groupBy("root").agg(F.min("first").alias("least"))
-    return prints, one, materialize(classes.join(least, "root").select("node", "first", "least"))
+    return prints, one, classes.join(least, "root").select("node", "first", "least")
 
 
 def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, n_keys: int = 48, key_bytes: int = 3) -> DataFrame:
