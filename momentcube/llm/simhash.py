@@ -22,7 +22,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import blocked, components, local_roots, map_rows, materialize
+from .common import BLOCK, components, local_roots, map_rows, materialize
 
 BYTE_SETS = [m for m in (sum(0xFF << (8 * i) for i in s) for s in combinations(range(8), 6))]
 _TWO = [s for s in combinations(range(8), 2)]
@@ -128,9 +128,8 @@ WIDE_WORDS = 4
 _SPREAD = (np.arange(1, WIDE_WORDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
 
-def wide_fingerprint(text: str | None, width: int) -> np.ndarray:
+def wide_fingerprint(h: np.ndarray) -> np.ndarray:
     """256 bits as four words: four remixed copies of each shingle's hash, majority by bit."""
-    h = shingle_hashes(text, width)
     out = np.zeros(WIDE_WORDS, dtype=np.uint64)
     for k in range(WIDE_WORDS):
         x = (h ^ _SPREAD[k]) * np.uint64(0xBF58476D1CE4E5B9)
@@ -147,11 +146,13 @@ def max_bits(similarity: float, bits: int = 64 * WIDE_WORDS, slack: float = 0.05
     return int(bits * (np.arccos(cosine) / np.pi + slack))
 
 
-def _key_positions(n_keys: int, key_bytes: int) -> np.ndarray:
-    rng = np.random.default_rng(20240101)
-    rows = [rng.permutation(8 * WIDE_WORDS) for _ in range(-(-n_keys * key_bytes // (8 * WIDE_WORDS)) + 1)]
-    flat = np.concatenate([r[: len(r) // key_bytes * key_bytes] for r in rows])
-    return flat[: n_keys * key_bytes].reshape(n_keys, key_bytes)
+def index_keys(distinct: np.ndarray, similarity: float) -> np.ndarray:
+    """The least of a sorted set of shingle hashes, so many that two sets with this Jaccard similarity share one of them.
+
+    Such sets share at least ``similarity`` of either, so they cannot differ on as many of either's least hashes.
+    """
+    n = len(distinct)
+    return distinct[: n - int(np.ceil(similarity * n - 1e-9)) + 1] if n else distinct
 
 
 #: Distance of what may not link.
@@ -184,16 +185,31 @@ def _nearest_forests(far: np.ndarray, n_forests: int = 2) -> tuple[np.ndarray, n
     return np.array(a, dtype=np.int64), np.array(b, dtype=np.int64), np.array(d, dtype=np.int32)
 
 
-def _candidates(distinct: DataFrame, n_keys: int, key_bytes: int, most: int) -> DataFrame:
+def _lists(prints: DataFrame) -> DataFrame:
+    """(list, ci, cj, chunk, node, before) of nodes that share a key, dealt to pairs of chunks.
+
+    ``before`` is the node's key next below the list's. Two nodes with the same key below met there already, so a list in
+    which all have the same is gone; the least key has the node itself below it.
+    """
+    below = F.concat(F.array("node"), F.slice("keys", 1, F.size("keys") - 1))
+    each = prints.where(F.size("keys") > 0).select("node", F.explode(F.arrays_zip(F.col("keys").alias("key"), below.alias("before"))).alias("k"))
+    lists = each.groupBy(F.col("k.key").alias("list")).agg(F.collect_set(F.struct("node", F.col("k.before").alias("before"))).alias("rows"))
+    lists = lists.where((F.size("rows") > 1) & (F.array_min("rows.before") < F.array_max("rows.before")))
+    parts = F.ceil(F.size("rows") / F.lit(BLOCK)).cast("int")
+    rows = lists.select("list", parts.alias("parts"), F.explode("rows").alias("r")).select("list", "parts", "r.node", "r.before")
+    rows = rows.withColumn("chunk", F.pmod(F.xxhash64("node"), "parts").cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    return rows.select("list", F.least("chunk", "other").alias("ci"), F.greatest("chunk", "other").alias("cj"), "chunk", "node", "before")
+
+
+def _candidates(lists: DataFrame, distinct: DataFrame, similarity: float) -> DataFrame:
     """(u, v, far): nearest-first forests of the links that fingerprints allow, over all blocks of all lists."""
-    at = lambda i: F.substring("index_fp", int(i) + 1, 1)
-    keys = F.array(*[F.xxhash64(F.lit(k), F.concat(*[at(i) for i in row])) for k, row in enumerate(_key_positions(n_keys, key_bytes))])
-    lists = distinct.select("node", F.explode(keys).alias("key"))
-    blocks = blocked(lists, ["key"], ["node"]).join(distinct.select("node", "proof_fp"), "node")
-    blocks = blocks.repartition("key", "ci", "cj").sortWithinPartitions("key", "ci", "cj", "node").select("key", "ci", "cj", "node", "chunk", "proof_fp")
+    most = max_bits(similarity)
+    blocks = lists.join(distinct.select("node", "n", "proof_fp"), "node")
+    blocks = blocks.repartition("list", "ci", "cj").sortWithinPartitions("list", "ci", "cj", "node")
 
     def run(batches):
-        for rows in contiguous(batches, ["key", "ci", "cj"]):
+        for rows in contiguous(batches, ["list", "ci", "cj"]):
             node = rows.column("node").to_numpy()
             if len(node) < 2:
                 continue
@@ -201,8 +217,11 @@ def _candidates(distinct: DataFrame, n_keys: int, key_bytes: int, most: int) ->
             far = np.zeros((len(node), len(node)), dtype=np.uint16)
             for k in range(WIDE_WORDS):
                 far += np.bitwise_count(fp[:, None, k] ^ fp[None, :, k])
+            n, before = rows.column("n").to_numpy(), rows.column("before").to_numpy()
             far[far > most] = NO_LINK
-            np.fill_diagonal(far, NO_LINK)
+            far[n[:, None] < similarity * n[None, :] - 1e-9] = NO_LINK
+            far[n[None, :] < similarity * n[:, None] - 1e-9] = NO_LINK
+            far[before[:, None] == before[None, :]] = NO_LINK
             if rows.column("ci")[0].as_py() != rows.column("cj")[0].as_py():
                 chunk = rows.column("chunk").to_numpy()
                 far[chunk[:, None] == chunk[None, :]] = NO_LINK
@@ -272,21 +291,22 @@ def _row_key() -> list:
     return [F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("row_id"), F.xxhash64("text").alias("row_text")]
 
 
-def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, n_keys: int, key_bytes: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _near_duplicates(docs: DataFrame, similarity: float, shingle: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(doc_id, node) of all rows; one row of docs for each node (doc, node, linked); (node, first, least) of linked nodes."""
 
     def add(batch):
         col = batch.column(batch.schema.get_field_index("text")).to_pylist()
-        index = np.stack([wide_fingerprint(t, 2) for t in col])
-        proof = np.stack([wide_fingerprint(t, shingle) for t in col])
+        hashes = [shingle_hashes(t, shingle) for t in col]
+        sets = [np.unique(h) for h in hashes]
         same = [xxhash.xxh3_128_hexdigest(b" ".join((t or "").encode().lower().split())) for t in col]
-        return {"same": same, "index_fp": [x.tobytes() for x in index], "proof_fp": [x.tobytes() for x in proof]}
+        return {"same": same, "n": [len(x) for x in sets], "keys": [index_keys(x, similarity).view(np.int64) for x in sets], "proof_fp": [wide_fingerprint(h).tobytes() for h in hashes]}
 
-    fields = [T.StructField("same", T.StringType()), T.StructField("index_fp", T.BinaryType()), T.StructField("proof_fp", T.BinaryType())]
+    fields = [T.StructField("same", T.StringType()), T.StructField("n", T.IntegerType()), T.StructField("keys", T.ArrayType(T.LongType())), T.StructField("proof_fp", T.BinaryType())]
     prints = materialize(map_rows(docs.select("doc_id", "text", *_row_key()), add, fields, keep=["doc_id", "row_id", "row_text"]).withColumn("node", F.xxhash64("same")))
     first = F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "row_id", "row_text", "node")
-    distinct = materialize(prints.groupBy("node").agg(F.min(first).alias("first"), F.first("index_fp").alias("index_fp"), F.first("proof_fp").alias("proof_fp")))
-    candidates = materialize(_candidates(distinct, n_keys, key_bytes, max_bits(similarity)))
+    distinct = materialize(prints.groupBy("node").agg(F.min(first).alias("first"), F.first("n").alias("n"), F.first("proof_fp").alias("proof_fp")))
+    lists = materialize(_lists(prints))
+    candidates = materialize(_candidates(lists, distinct, similarity))
     linked = candidates.select("u").union(candidates.select("v")).distinct().select(F.col("u").alias("node"), F.lit(True).alias("linked"))
     row = distinct.select("first", "node").join(linked, "node", "left").select("first.row_id", "first.row_text", "node", F.coalesce("linked", F.lit(False)).alias("linked"))
     # The text is shuffled once, by row: copies of one text are spread.
@@ -298,17 +318,16 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, n_keys: i
     return prints, one, classes.join(least, "root").select("node", "first", "least")
 
 
-def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, n_keys: int = 48, key_bytes: int = 3) -> DataFrame:
+def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
     """doc_id, component_id: classes of documents of which shingle sets are ``similarity`` alike or more.
 
-    Equal word sequences form one class first. Each class then has two 256-bit fingerprints: one over pairs of
-    words, of which the 32 positional bytes are indexed (sets of ``key_bytes`` bytes; a pair as alike as
-    asked shares each byte with probability 0.45, so it meets under one of 48 sets with probability 0.98, and more
-    the more alike), and one over the shingles, whose bit distance estimates their similarity.
+    Equal word sequences form one class first. Each class is then listed under the least fifth (one less ``similarity``) of
+    its shingle hashes, under one of which every pair as alike as asked meets, whatever was edited; a 256-bit
+    fingerprint over the shingles estimates their similarity.
     Lists are worked in blocks, so a large group of near copies is spread over tasks; two forests of its nearest
     links leave each block. A link counts when the shingle sets of the whole texts prove it.
     """
-    prints, _, classes = _near_duplicates(docs, similarity, shingle, n_keys, key_bytes)
+    prints, _, classes = _near_duplicates(docs, similarity, shingle)
     alone = prints.groupBy("node").agg(F.min("doc_id").alias("first_id"))
     of = alone.join(classes.select("node", F.col("least.doc_id").alias("least_id")), "node", "left")
     return prints.select("doc_id", "node").join(of.select("node", F.coalesce("least_id", "first_id").alias("component_id")), "node").select("doc_id", "component_id")
@@ -339,7 +358,7 @@ def contiguous(batches, key: list[str]):
 
 def drop_near_duplicates(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
     """One row of each class, that of the smallest known doc_id. Rows that share a doc_id but no class all stay."""
-    _, one, classes = _near_duplicates(docs, similarity, shingle, 48, 3)
+    _, one, classes = _near_duplicates(docs, similarity, shingle)
     lost = classes.where("first <> least").select("node")
     kept = one.where("linked").join(lost, "node", "left_anti").select("doc")
     return one.where("not linked").select("doc").union(kept).select("doc.*")

@@ -130,6 +130,39 @@ def test_near_duplicates_against_exact_similarity(spark):
     assert sum(got[a] == got[b] for a, b in pairs) >= 0.99 * len(pairs)
 
 
+def _exact_classes(rows, similarity=0.8):
+    sets = {i: set(simhash.shingle_hashes(t, 5).tolist()) for i, t in rows}
+    ids = list(sets)
+    pairs = [(a, b) for k, a in enumerate(ids) for b in ids[k + 1 :] if len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b])]
+    return ref.classes(ids, pairs), pairs
+
+
+def test_near_duplicates_of_block_edits(spark):
+    """Truncated, extended and block-replaced copies at 0.80-0.90 are found as scattered edits are."""
+    rng = np.random.default_rng(11)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 7))
+    rows, kinds = [], ("cut", "extended", "replaced", "scattered")
+    for k in range(160):
+        base = [word() for _ in range(int(rng.integers(60, 400)))]
+        n, kind = len(base), kinds[k % 4]
+        copy = list(base)
+        if kind == "cut":
+            copy = base[: int(n * rng.uniform(0.83, 0.9))]
+        elif kind == "extended":
+            copy = base + [word() for _ in range(int(n * rng.uniform(0.1, 0.2)))]
+        elif kind == "replaced":
+            m, at = int(n * rng.uniform(0.03, 0.07)), int(n * 0.4)
+            copy[at : at + m] = [word() for _ in range(m)]
+        else:
+            for at in rng.choice(n, max(1, n // 60), replace=False):
+                copy[at] = word()
+        rows += [(2 * k, " ".join(base)), (2 * k + 1, " ".join(copy))]
+    want, pairs = _exact_classes(rows)
+    assert min(Counter(kinds[a // 2 % 4] for a, _ in pairs).values()) >= 25
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want
+
+
 def test_components_of_chains_and_stars(spark):
     edges = [(i, i + 1) for i in range(200)] + [(1000, 1000 + i) for i in range(1, 300)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in common.components(spark.createDataFrame(edges, "u long, v long")).collect()}
