@@ -159,30 +159,29 @@ def index_keys(distinct: np.ndarray, similarity: float) -> np.ndarray:
 NO_LINK = np.uint16(65535)
 
 
-def _nearest_forests(far: np.ndarray, n_forests: int = 2) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Edge-disjoint minimum spanning forests of one block: ends and distances. ``far`` is symmetric, NO_LINK where nothing may link."""
+def _nearest_forest(far: np.ndarray, tie: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Ends of the edges of the minimum spanning forest of one block. ``far`` and ``tie`` are symmetric; far is NO_LINK where nothing may link.
+
+    Ties go by ``tie``, so blocks that hold the same links give the same edges.
+    """
     n = len(far)
-    a, b, d = [], [], []
-    for _ in range(n_forests):
-        if (far == NO_LINK).all():
-            break
-        best, origin, open_ = np.full(n, NO_LINK, dtype=np.uint16), np.zeros(n, dtype=np.int64), np.ones(n, dtype=bool)
-        i, fresh = 0, len(a)
-        for _ in range(n):
-            open_[i] = False
-            nearer = open_ & (far[i] < best)
-            best[nearer], origin[nearer] = far[i][nearer], i
-            best[i] = NO_LINK
-            j = int(best.argmin())
-            if best[j] == NO_LINK:
-                j = int(open_.argmax())
-            else:
-                a.append(int(origin[j])), b.append(j), d.append(int(best[j]))
-            i = j
-        far = far.copy()
-        far[a[fresh:], b[fresh:]] = NO_LINK
-        far[b[fresh:], a[fresh:]] = NO_LINK
-    return np.array(a, dtype=np.int64), np.array(b, dtype=np.int64), np.array(d, dtype=np.int32)
+    none = np.uint32(NO_LINK) << np.uint32(16)
+    cost = np.where(far == NO_LINK, none, (far.astype(np.uint32) << np.uint32(16)) | tie)
+    a, b = [], []
+    best, origin, open_ = np.full(n, none, dtype=np.uint32), np.zeros(n, dtype=np.int64), np.ones(n, dtype=bool)
+    i = 0
+    for _ in range(n - 1):
+        open_[i] = False
+        best[i] = none
+        nearer = open_ & (cost[i] < best)
+        best[nearer], origin[nearer] = cost[i][nearer], i
+        j = int(best.argmin())
+        if best[j] == none:
+            j = int(open_.argmax())
+        else:
+            a.append(int(origin[j])), b.append(j)
+        i = j
+    return np.array(a, dtype=np.int64), np.array(b, dtype=np.int64)
 
 
 def _lists(prints: DataFrame) -> DataFrame:
@@ -202,35 +201,41 @@ def _lists(prints: DataFrame) -> DataFrame:
     return rows.select("list", F.least("chunk", "other").alias("ci"), F.greatest("chunk", "other").alias("cj"), "chunk", "node", "before")
 
 
-def _candidates(lists: DataFrame, distinct: DataFrame, similarity: float) -> DataFrame:
-    """(u, v, far): nearest-first forests of the links that fingerprints allow, over all blocks of all lists."""
+def _candidates(lists: DataFrame, nodes: DataFrame, similarity: float, forest: bool) -> DataFrame:
+    """Distinct (u, v) that meet in ``lists`` and may be alike by size and fingerprint; ``nodes`` has (node, root, n, proof_fp).
+
+    ``forest``: only a nearest-first forest of each block's links. Otherwise all links between different roots.
+    """
     most = max_bits(similarity)
-    blocks = lists.join(distinct.select("node", "n", "proof_fp"), "node")
+    blocks = lists.join(nodes.select("node", "root", "n", "proof_fp"), "node")
     blocks = blocks.repartition("list", "ci", "cj").sortWithinPartitions("list", "ci", "cj", "node")
 
     def run(batches):
         for rows in contiguous(batches, ["list", "ci", "cj"]):
-            node = rows.column("node").to_numpy()
-            if len(node) < 2:
+            node, root, n, before, chunk = (rows.column(c).to_numpy() for c in ("node", "root", "n", "before", "chunk"))
+            if len(node) < 2 or not forest and (root == root[0]).all():
                 continue
             fp = np.frombuffer(b"".join(rows.column("proof_fp").to_pylist()), dtype=np.uint64).reshape(-1, WIDE_WORDS)
             far = np.zeros((len(node), len(node)), dtype=np.uint16)
             for k in range(WIDE_WORDS):
                 far += np.bitwise_count(fp[:, None, k] ^ fp[None, :, k])
-            n, before = rows.column("n").to_numpy(), rows.column("before").to_numpy()
             far[far > most] = NO_LINK
             far[n[:, None] < similarity * n[None, :] - 1e-9] = NO_LINK
             far[n[None, :] < similarity * n[:, None] - 1e-9] = NO_LINK
             far[before[:, None] == before[None, :]] = NO_LINK
+            far[root[:, None] == root[None, :]] = NO_LINK
             if rows.column("ci")[0].as_py() != rows.column("cj")[0].as_py():
-                chunk = rows.column("chunk").to_numpy()
                 far[chunk[:, None] == chunk[None, :]] = NO_LINK
-            a, b, d = _nearest_forests(far)
-            if len(a):
-                u, v = np.minimum(node[a], node[b]), np.maximum(node[a], node[b])
-                yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v), pa.array(d)], names=["u", "v", "far"])
+            if forest:
+                mixed = node.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+                a, b = _nearest_forest(far, ((mixed[:, None] ^ mixed[None, :]) >> np.uint64(48)).astype(np.uint32))
+            else:
+                a, b = np.nonzero(np.triu(far != NO_LINK, 1))
+            for at in range(0, len(a), 1 << 16):
+                x, y = node[a[at : at + (1 << 16)]], node[b[at : at + (1 << 16)]]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["u", "v"])
 
-    return blocks.mapInArrow(run, "u long, v long, far int").groupBy("u", "v").agg(F.min("far").alias("far"))
+    return blocks.mapInArrow(run, "u long, v long").distinct()
 
 
 #: Links of one node that meet its text in one task.
@@ -261,28 +266,24 @@ def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int)
     return map_rows(pairs, judge, [T.StructField("ok", T.BooleanType())], keep=links.columns)
 
 
-def _proven_classes(candidates: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
-    """(node, root) of the nodes of candidate links: classes spanned by links that the shingles prove.
+def _proven_classes(lists: DataFrame, nodes: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
+    """(node, root) of ``nodes``: classes spanned by the links that the shingles prove.
 
-    First every node has its nearest link proven, which merges most copies; then all links between different classes are.
+    First the forests' links are proven, which merges most copies; then every other link between different classes is, so no
+    link that meets is left untried.
     """
-    root = candidates.select("u").union(candidates.select("v")).distinct().select(F.col("u").alias("node"), F.col("u").alias("root"))
-    e = candidates.select("u", "v", "far", F.col("u").alias("cu"), F.col("v").alias("cv"))
-    for nearest_only in (True, False):
-        links = e.select("u", "v", "cu", "cv")
-        if nearest_only:
-            rank = F.struct("far", F.xxhash64("u", "v").alias("h"), "u", "v", "cu", "cv")
-            picks = e.select(F.col("cu").alias("c"), rank.alias("r")).union(e.select("cv", rank)).groupBy("c").agg(F.min("r").alias("r"))
-            links = materialize(picks.select("r.u", "r.v", "r.cu", "r.cv").distinct())
-        judged = materialize(_alike(links, known, similarity, shingle))
+    root = nodes.select("node", F.col("node").alias("root"))
+    tried = None
+    for forest in (True, False):
+        links = _candidates(lists, nodes.join(root, "node"), similarity, forest)
+        if tried is not None:
+            links = links.join(tried, ["u", "v"], "left_anti")
+        for c in ("u", "v"):
+            links = links.join(root.toDF(c, f"c{c}"), c)
+        judged = materialize(_alike(materialize(links.select("u", "v", "cu", "cv")), known, similarity, shingle))
+        tried = judged.select("u", "v")
         merged = materialize(components(judged.where("ok").select(F.col("cu").alias("u"), F.col("cv").alias("v"))))
-        root = root.join(merged.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root"))
-        if not nearest_only:
-            break
-        e = e.join(judged.select("u", "v"), ["u", "v"], "left_anti")
-        for c in ("cu", "cv"):
-            e = e.join(merged.toDF(c, "root"), c, "left").withColumn(c, F.coalesce("root", c)).drop("root")
-        e = materialize(e.where("cu <> cv").select("u", "v", "far", "cu", "cv"))
+        root = materialize(root.join(merged.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root")))
     return root
 
 
@@ -306,14 +307,14 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int) -> tuple[
     first = F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "row_id", "row_text", "node")
     distinct = materialize(prints.groupBy("node").agg(F.min(first).alias("first"), F.first("n").alias("n"), F.first("proof_fp").alias("proof_fp")))
     lists = materialize(_lists(prints))
-    candidates = materialize(_candidates(lists, distinct, similarity))
-    linked = candidates.select("u").union(candidates.select("v")).distinct().select(F.col("u").alias("node"), F.lit(True).alias("linked"))
-    row = distinct.select("first", "node").join(linked, "node", "left").select("first.row_id", "first.row_text", "node", F.coalesce("linked", F.lit(False)).alias("linked"))
+    linked = lists.select("node").distinct().withColumn("linked", F.lit(True))
+    row = distinct.join(linked, "node", "left").select("first.row_id", "first.row_text", "node", F.coalesce("linked", F.lit(False)).alias("linked"))
     # The text is shuffled once, by row: copies of one text are spread.
     whole = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("doc"), *_row_key())
     one = materialize(whole.join(row, ["row_id", "row_text"]).dropDuplicates(["row_id", "row_text"]).select("doc", "node", "linked"))
     known = one.where("linked").select("node", "doc.text")
-    classes = materialize(distinct.select("node", "first").join(_proven_classes(candidates, known, similarity, shingle), "node"))
+    nodes = materialize(distinct.join(linked, "node").select("node", "n", "proof_fp", "first"))
+    classes = materialize(nodes.select("node", "first").join(_proven_classes(lists, nodes, known, similarity, shingle), "node"))
     least = classes.groupBy("root").agg(F.min("first").alias("least"))
     return prints, one, classes.join(least, "root").select("node", "first", "least")
 
@@ -324,8 +325,9 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: in
     Equal word sequences form one class first. Each class is then listed under the least fifth (one less ``similarity``) of
     its shingle hashes, under one of which every pair as alike as asked meets, whatever was edited; a 256-bit
     fingerprint over the shingles estimates their similarity.
-    Lists are worked in blocks, so a large group of near copies is spread over tasks; two forests of its nearest
-    links leave each block. A link counts when the shingle sets of the whole texts prove it.
+    Lists are worked in blocks, so a large group of near copies is spread over tasks; a forest of its nearest
+    links leaves each block first, then all links between classes still different. A link counts when the shingle sets
+    of the whole texts prove it.
     """
     prints, _, classes = _near_duplicates(docs, similarity, shingle)
     alone = prints.groupBy("node").agg(F.min("doc_id").alias("first_id"))

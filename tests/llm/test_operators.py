@@ -163,6 +163,22 @@ def test_near_duplicates_of_block_edits(spark):
     assert got == want
 
 
+def test_near_duplicates_in_a_family(spark):
+    """Many documents of one template around 0.8: every link that is alike enough counts, not only each block's nearest."""
+    rng = np.random.default_rng(3)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 7))
+    base, rows = [word() for _ in range(300)], []
+    for k in range(400):
+        copy = list(base)
+        for at in rng.choice(300, int(rng.integers(3, 10)), replace=False):
+            copy[at] = word()
+        rows.append((k, " ".join(copy)))
+    want, pairs = _exact_classes(rows)
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert 100 < len(set(want.values())) < 300 and len(pairs) > 100
+    assert len(set(got.values())) == len(set(want.values())) and got == want
+
+
 def test_components_of_chains_and_stars(spark):
     edges = [(i, i + 1) for i in range(200)] + [(1000, 1000 + i) for i in range(1, 300)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in common.components(spark.createDataFrame(edges, "u long, v long")).collect()}
