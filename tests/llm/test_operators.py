@@ -179,6 +179,24 @@ def test_near_duplicates_in_a_family(spark):
     assert len(set(got.values())) == len(set(want.values())) and got == want
 
 
+def test_near_duplicate_filter_keeps_pairs_at_the_similarity():
+    """Fingerprints of sets at exactly 0.8, few shingles or many, stay inside the distance filter."""
+    rng = np.random.default_rng(8)
+    for common, more in ((4, 1), (8, 2), (40, 10), (400, 100)):
+        h = [rng.integers(0, 1 << 63, common + more).astype(np.uint64) for _ in range(1500)]
+        far = [int(np.bitwise_count(simhash.wide_fingerprint(x) ^ simhash.wide_fingerprint(x[:common])).sum()) for x in h]
+        assert np.mean(np.array(far) > simhash.max_bits(0.8)) < 0.001
+
+
+def test_near_duplicates_ignore_how_often_a_line_repeats(spark):
+    """Shingle sets count, not how often a shingle occurs."""
+    rng = np.random.default_rng(9)
+    words = ["".join(rng.choice(list("abcdefghij"), 7)) for _ in range(230)]
+    rows = [(1, " ".join(words)), (2, " ".join(words + words[:20] * 80))]
+    assert _exact_classes(rows)[0] == {1: 1, 2: 1}
+    assert [r["doc_id"] for r in simhash.drop_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()] == [1]
+
+
 def test_components_of_chains_and_stars(spark):
     edges = [(i, i + 1) for i in range(200)] + [(1000, 1000 + i) for i in range(1, 300)] + [(5, 5)]
     got = {r["node"]: r["root"] for r in common.components(spark.createDataFrame(edges, "u long, v long")).collect()}
