@@ -4,7 +4,7 @@ Protected entities are found by pattern (email, ip, card, phone). For every term
 a document holds an entity of a kind: PMI(kind; term) = log2(N * df(kind, term) / (df(kind) * df(term))), held
 against the kind's information content IC = log2(N / df(kind)). A term with PMI >= remove_at * IC is removed, one with
 PMI >= generalise_at * IC is generalised, in the documents that hold an entity of that kind. Terms count only if
-they stand beside ``support`` different entities of the kind, so copies of one document are no evidence.
+they stand beside an entity of the kind in ``support`` different texts, so exact copies of one document are no evidence.
 
 Counts cover all documents. Null text counts as empty. Rows are kept, repeats included. Positions are code points, ends exclusive.
 Patterns are possessive and anchored at the start of a run, which gives the same leftmost matches in linear time.
@@ -108,8 +108,8 @@ def disclosing_terms(docs: DataFrame, found: DataFrame, generalise_at: float, re
     """(term, kind, level): terms that reveal a kind too strongly; level 2 is removed, 1 generalised."""
     counts = found.agg(F.count(F.lit(1)).alias("n"), *[F.sum((F.size(f"__{k}") > 0).cast("long")).alias(k) for k in KINDS]).first()
     n = counts["n"]
-    beside = found.where("__any").select(F.explode(_terms(F.col("__text"))).alias("term"), "__sig").select("term", F.explode("__sig").alias("e"))
-    beside = beside.groupBy("term", "e.kind", "e.sig").agg(F.count(F.lit(1)).alias("rows")).groupBy("term", "kind").agg(F.sum("rows").alias("together"), F.count(F.lit(1)).alias("different"))
+    beside = found.where("__any").select(F.explode(_terms(F.col("__text"))).alias("term"), "__key", "__sig.kind").select("term", "__key", F.explode("kind").alias("kind"))
+    beside = beside.groupBy("term", "kind", "__key").agg(F.count(F.lit(1)).alias("rows")).groupBy("term", "kind").agg(F.sum("rows").alias("together"), F.count(F.lit(1)).alias("different"))
     beside = materialize(beside.where(F.col("different") >= support))
     everywhere = docs.select(F.explode(_terms(F.coalesce(F.col("text"), F.lit("")))).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("df"))
     of_kind = F.create_map(*[x for k in KINDS for x in (F.lit(k), F.lit(float(counts[k] or 1)))])

@@ -67,6 +67,14 @@ def test_pii_terms(spark):
     assert len(out) == len(rows) and out[100] == rows[8][1] and out[0] == clean[0]
 
 
+def test_pii_terms_beside_one_address(spark):
+    """A term in many different texts beside one and the same address goes as well."""
+    words = ("amber", "birch", "cedar", "delta", "ember", "fjord", "grove", "heath")
+    rows = [(i, f"project Zorblax {w} via hot@mail.com please") for i, w in enumerate(words)] + [(100 + i, f"project nobody {w} via please plain prose") for i in range(60) for w in (words[i % 8],)]
+    clean = {r["__row"]["doc_id"]: r["__clean"] for r in pii.sanitise(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert clean[0] == "project  amber via [EMAIL] please" and clean[100] is None
+
+
 def test_urls_both_plans(spark):
     seen = ["http://a.example.com/en/7", "http://example.com/en/75?x#y", "HTTPS://WWW.Example.COM/en/8", "x://net/de/", "x://a.net/de/8", "x://example.net/de/8/", "y://de/net/de/", "ftp://org/es/1", "://org", "org/es/", None, "", "http://com:80/en/", "http://spam.example.fr/", "http://x.fr/my-pills.html", "http://x.fr/ad/1", "http://spamx.fr/", "a://b://c/d", "http://notexample.com/en/7", "http://x.fr/free-download"]
     pages = spark.createDataFrame([(i, u, "keep", "clash") for i, u in enumerate(seen + seen[:2])], "page_id long, url string, target string, verdict string").select("page_id", "url")
