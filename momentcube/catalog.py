@@ -338,10 +338,8 @@ def _markov_query(log: bool):
 
     def run(spark, sf):
         s = summarise(load(spark, sf, "orders"), F.col("o_totalprice"), ["o_orderpriority"], spec)
-        n, lo, hi, t = F.col("n"), F.col("xmin"), F.col("xmax"), F.lit(300000.0)
-        f = F.ln if log else lambda c: c
-        low, high = bounds.markov(n, f(lo), f(hi), [F.col(c) for c in (spec.l if log else spec.s)], f(t), pad=False)
-        return s.select("o_orderpriority", F.round(low, 6).alias("low"), F.round(high, 6).alias("high"))
+        s = bounds.with_markov(s, spec, F.lit(300000.0), pad=False)
+        return s.select("o_orderpriority", F.round("__lo", 6).alias("low"), F.round("__hi", 6).alias("high"))
 
     return run
 
@@ -365,8 +363,7 @@ def bound_contains_truth(spark, sf):
     ts = [5000.0, 30000.0, 55000.0, 80000.0, 103000.0]
     truth = df.groupBy("l_returnflag").agg(F.array(*[F.count_if(F.col("l_extendedprice") < t) for t in ts]).alias("b"))
     s = merge_groups(lineitem_cube(spark, sf), ["l_returnflag"], S10).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(4)))).withColumn("t", F.array(*map(F.lit, ts))[F.col("i")])
-    low, high = bounds.markov_bounds(S10, F.col("t"))
-    s = s.withColumn("lo", low).withColumn("hi", high).withColumn("p", bounds_udf()(as_struct(S10), F.col("t"))).join(truth, "l_returnflag").withColumn("r", F.col("b")[F.col("i")] / F.col("n"))
+    s = bounds.with_markov(s, S10, F.col("t"), low="lo", high="hi").withColumn("p", bounds_udf()(as_struct(S10), F.col("t"))).join(truth, "l_returnflag").withColumn("r", F.col("b")[F.col("i")] / F.col("n"))
     holds = lambda a, b: (a <= F.col("r") + 1e-12) & (F.col("r") <= b + 1e-12)
     narrow = (F.col("p.hi") - F.col("p.lo")) <= (F.col("hi") - F.col("lo")) + 1e-4
     return s.select("l_returnflag", F.col("t"), F.col("b")[F.col("i")].alias("below"), holds(F.col("lo"), F.col("hi")).alias("markov_holds"), holds(F.col("p.lo"), F.col("p.hi")).alias("tight_holds"), narrow.alias("tight_narrower"))

@@ -4,9 +4,12 @@ Unknown: coefficients of an exponential family on a Chebyshev basis of x and of
 (integral of the density minus coefficients times targets) is minimised; the density is sampled at Chebyshev points, which
 integrates its interpolant exactly and lets all populations of one shape share stacked matrix products.
 
-solver: "chebyshev" (damped Newton, products of power functions looked up from 2k+1 integrals), "newton_romberg"
-(the same steps, each entry integrated apart by Romberg's rule), "lbfgs" and "gd" (gradients only).
-Status: ok, reduced (orders were dropped until the fit converged), degenerate (one value), empty, failed.
+solver: "chebyshev" (damped Newton; all integrals are weighted sums over the points), "cosine" (the same integrals from Chebyshev
+series: the density and its products with the functions that are no polynomials in the integration variable go through a cosine
+transform; in numpy the transforms cost more than the matrix products they save), "newton_romberg" (each entry integrated apart by
+Romberg's rule), "lbfgs" and "gd" (gradients only).
+Status: ok (moments match to 1e-9), loose (less closely, see ``ACCEPTED``), reduced (orders were dropped until the fit converged), degenerate (one
+value), split (positive and negative values fitted apart), empty.
 """
 
 from __future__ import annotations
@@ -20,11 +23,13 @@ from . import moments as M
 
 TOLERANCE = 1e-9
 GRID = 1024
+#: Largest residual of a solver's result that is still used; beyond TOLERANCE it is marked "loose".
+ACCEPTED = {"chebyshev": 1e-7, "cosine": 1e-7, "newton_romberg": 1e-6, "lbfgs": 1e-5, "gd": np.inf}
 
 
 @dataclass
 class Batch:
-    """Populations as arrays, one row each."""
+    """Populations as arrays, one row each. Logs are of x + off; ``halves``: (positive, mirrored negative) populations of a split by sign, with shares."""
 
     n: np.ndarray
     lo: np.ndarray
@@ -32,17 +37,30 @@ class Batch:
     power: np.ndarray
     log: np.ndarray
     use_log: np.ndarray
+    off: np.ndarray
+    mixed: np.ndarray | None = None
+    halves: tuple[Batch, Batch] | None = None
 
     @classmethod
-    def of(cls, n, n_pos, lo, hi, s, l, families=("power", "log"), max_k: int | None = None):
+    def of(cls, n, n_pos, lo, hi, s, l, families=("power", "log"), max_k: int | None = None, shift=0.0, n_neg=None, pmin=None, nmax=None, m=None):
         n = np.asarray(n, float)
         ones = np.ones((len(n), 1))
         safe = np.where(n > 0, n, 1)[:, None]
         s, l = (np.asarray(a, float).reshape(len(n), -1)[:, :max_k] for a in (s, l))
-        lo, hi = np.asarray(lo, float), np.asarray(hi, float)
-        use_log = (np.asarray(n_pos, float) == n) & (n > 0) & (lo > 0) & (l.shape[1] > 0) & ("log" in families)
+        lo, hi, n_pos = np.asarray(lo, float), np.asarray(hi, float), np.asarray(n_pos, float)
+        off = np.broadcast_to(np.nan_to_num(np.asarray(shift, float)), n.shape)
+        use_log = (n_pos == n) & (n > 0) & (lo + off > 0) & (l.shape[1] > 0) & ("log" in families)
         power = np.hstack([ones, s / safe]) if "power" in families else ones
-        return cls(n, lo, hi, power, np.hstack([ones, l / safe]), use_log)
+        out = cls(n, lo, hi, power, np.hstack([ones, l / safe]), use_log, off)
+        m = None if m is None else np.asarray(m, float).reshape(len(n), -1)[:, :max_k]
+        if m is not None and m.shape[1] and "log" in families:
+            n_neg = np.nan_to_num(np.asarray(n_neg, float))
+            out.mixed = (n > 0) & (n_neg > 0)
+            out.halves = tuple(cls.of(k, k, a, b, np.zeros((len(n), 0)), sums) for k, a, b, sums in ((n_pos, pmin, hi, l), (n_neg, -np.asarray(nmax, float), -lo, m)))
+        return out
+
+    def rows(self, at: np.ndarray) -> Batch:
+        return Batch(self.n[at], self.lo[at], self.hi[at], self.power[at], self.log[at], self.use_log[at], self.off[at])
 
 
 @dataclass
@@ -65,72 +83,145 @@ class Fit:
         return float(np.interp(t, self.x, self.cdf, left=0.0, right=1.0))
 
 
-def _basis(lo, hi, k1, k2, log_domain, n):
+def _basis(lo, hi, k1, k2, log_domain, n, off=0.0):
     """(x, du/dv weights, V) at the integration points for rows of one shape; V: rows x functions x points."""
     v, w = M.nodes(n)
     half = (hi - lo)[:, None] / 2
+    off = np.broadcast_to(off, lo.shape)[:, None]
+    if log_domain or k2:
+        a, b = np.log(lo[:, None] + off), np.log(hi[:, None] + off)
     if log_domain:
-        a, b = np.log(lo)[:, None], np.log(hi)[:, None]
         x = np.exp(a + (v + 1) / 2 * (b - a))
         weight = w * x * (b - a) / 2 / half
+        x = x - off
     else:
         x = lo[:, None] + (v + 1) * half
         weight = np.broadcast_to(w, x.shape)
     u = np.clip((x - lo[:, None]) / half - 1, -1, 1)
     parts = [M.chebyshev_values(u, k1)]
     if k2:
-        a, b = np.log(lo)[:, None], np.log(hi)[:, None]
-        parts.append(M.chebyshev_values(np.clip((np.log(np.maximum(x, lo[:, None])) - a) / (b - a) * 2 - 1, -1, 1), k2)[:, 1:])
+        logs = np.broadcast_to(v, x.shape) if log_domain else np.clip((np.log(np.maximum(x, lo[:, None]) + off) - a) / (b - a) * 2 - 1, -1, 1)
+        parts.append(M.chebyshev_values(logs, k2)[:, 1:])
     return x, weight, np.concatenate(parts, axis=1)
 
 
 def _density(theta, V):
-    return np.exp(np.clip(np.einsum("bd,bdn->bn", theta, V), -700, 300))
+    z = np.matmul(theta[:, None, :], V)[:, 0]
+    return np.exp(np.clip(z, -700, 300, out=z), out=z)
+
+
+def cosine_coefficients(y: np.ndarray) -> np.ndarray:
+    """Values at the ascending Chebyshev points (last axis) -> coefficients of the interpolant, by a fast cosine transform."""
+    n = y.shape[-1] - 1
+    z = y[..., ::-1]
+    c = np.fft.rfft(np.concatenate([z, z[..., n - 1 : 0 : -1]], axis=-1), axis=-1).real / n
+    c[..., [0, n]] /= 2
+    return c
 
 
-def _hessian(fw, V, k1, k2):
-    if k2 or V.shape[1] < 4:
-        return (V * fw[:, None, :]) @ V.transpose(0, 2, 1)
-    u = V[:, 1]
-    wide = M.chebyshev_values(u, 2 * k1)  # integrals of f T_m up to 2 k1; T_i T_j = (T_{i+j} + T_{|i-j|}) / 2
-    c = np.einsum("bmn,bn->bm", wide, fw)
-    i = np.arange(k1 + 1)
-    return (c[:, i[:, None] + i[None, :]] + c[:, np.abs(i[:, None] - i[None, :])]) / 2
+@lru_cache(maxsize=None)
+def _product_integrals(n: int, m: int) -> np.ndarray:
+    """Integrals of T_a T_j over [-1, 1] for a <= n, j <= m: half the sum of those of T_{a+j} and T_{|a-j|}."""
+    k = np.arange(n + m + 1)
+    one = np.where(k % 2 == 0, 2 / (1.0 - np.where(k % 2 == 0, k, 0) ** 2.0), 0.0)
+    a, j = np.arange(n + 1)[:, None], np.arange(m + 1)[None, :]
+    return (one[a + j] + one[np.abs(a - j)]) / 2
+
+
+class _Integrals:
+    """Gradient integrals and Hessian for rows of one shape; ``take`` narrows them to rows that still move.
+
+    transform: polynomials of the integration variable (powers in x, logs in ln x) are Chebyshev series themselves; every other
+    function is replaced by its interpolant. Then an integral is a product of coefficients with integrals of T_a T_j.
+    """
+
+    def __init__(self, V, weight, k1, k2, log_domain, transform: bool):
+        self.V, self.weight, self.transform = V, weight, transform
+        d = k1 + k2 + 1
+        n = V.shape[2] - 1
+        self.own = np.array([0, *range(k1 + 1, d)] if log_domain else range(k1 + 1))
+        self.rest = np.setdiff1d(np.arange(d), self.own)
+        self.jacobian = weight / M.nodes(n)[1] if transform else None
+        self.dual = cosine_coefficients(V[:, self.rest]) @ _product_integrals(n, n) if transform and len(self.rest) else None
+
+    def take(self, at):
+        out = object.__new__(_Integrals)
+        out.__dict__.update(self.__dict__, V=self.V[at], weight=self.weight[at], jacobian=self.jacobian[at] if self.transform else None, dual=None if self.dual is None else self.dual[at])
+        return out
+
+    def hessian(self, f: np.ndarray) -> np.ndarray:
+        """Integrals of f times each product of two basis functions; row 0 holds those of f times each function."""
+        if not self.transform:
+            fw = f * self.weight
+            return (self.V * fw[:, None, :]) @ self.V.transpose(0, 2, 1)
+        y, k, n, d = f * self.jacobian, len(self.own) - 1, f.shape[1] - 1, self.V.shape[1]
+        H = np.empty((len(f), d, d))
+        c = cosine_coefficients(y) @ _product_integrals(n, 2 * k)
+        i = np.arange(k + 1)
+        H[:, self.own[:, None], self.own[None, :]] = (c[:, i[:, None] + i[None, :]] + c[:, np.abs(i[:, None] - i[None, :])]) / 2
+        if len(self.rest):
+            series = cosine_coefficients(y[:, None, :] * self.V[:, self.rest])
+            cross = series @ _product_integrals(n, k)
+            H[:, self.rest[:, None], self.own[None, :]] = cross
+            H[:, self.own[:, None], self.rest[None, :]] = cross.transpose(0, 2, 1)
+            block = series @ self.dual.transpose(0, 2, 1)
+            H[:, self.rest[:, None], self.rest[None, :]] = (block + block.transpose(0, 2, 1)) / 2
+        return H
 
 
 def _potential(theta, V, weight, target):
     with np.errstate(over="ignore", invalid="ignore"):
-        return np.einsum("bn,bn->b", _density(theta, V), weight) - (theta * target).sum(1)
+        return (_density(theta, V) * weight).sum(1) - (theta * target).sum(1)
 
 
-def _newton(theta, V, weight, target, k1, k2, rounds=60):
+def _newton(theta, V, weight, target, k1, k2, log_domain, transform=True, rounds=50):
+    """Damped Newton steps. Rows leave when their moments match, or when six steps have hardly lowered their residual."""
     B, d = theta.shape
-    steps, active = np.zeros(B, int), np.ones(B, bool)
+    steps = np.zeros(B, int)
+    whole = part = _Integrals(V, weight, k1, k2, log_domain, transform)
+    residual = np.full(B, np.inf)
+    past: list[np.ndarray] = []
+    moving = np.arange(B)
+    f = _density(theta, V)
     for _ in range(rounds):
-        f = _density(theta, V) * weight
-        g = np.einsum("bdn,bn->bd", V, f) - target
-        active = np.abs(g).max(1) > TOLERANCE
-        if not active.any():
-            break
-        a = np.nonzero(active)[0]
-        H = _hessian(f[a], V[a], k1, k2)
-        H = H + 1e-13 * np.trace(H, axis1=1, axis2=2)[:, None, None] * np.eye(d)
+        H = part.hessian(f)
+        g = H[:, 0] - target[moving]
+        residual[moving] = np.abs(g).max(1)
+        past.append(residual.copy())
+        on = residual[moving] > TOLERANCE
+        if len(past) > 16:
+            on &= residual[moving] < 0.9 * past[-7][moving]
+        if not on.all():
+            moving, H, g = moving[on], H[on], g[on]
+            if not len(moving):
+                break
+            part = whole.take(moving)
+        H += 1e-13 * np.trace(H, axis1=1, axis2=2)[:, None, None] * np.eye(d)
         try:
-            step = np.linalg.solve(H, g[a][:, :, None])[:, :, 0]
+            step = np.linalg.solve(H, g[:, :, None])[:, :, 0]
         except np.linalg.LinAlgError:
-            step = np.stack([np.linalg.lstsq(h, v, rcond=None)[0] for h, v in zip(H, g[a])])
-        before, size = _potential(theta[a], V[a], weight[a], target[a]), np.ones(len(a))
-        slope = (step * g[a]).sum(1)
-        for _ in range(40):
-            trial = theta[a] - size[:, None] * step
-            worse = ~(_potential(trial, V[a], weight[a], target[a]) <= before - 1e-4 * size * slope + 1e-14 * np.abs(before))
-            if not worse.any():
-                break
-            size = np.where(worse, size / 2, size)
-        theta[a] = trial
-        steps[a] += 1
-    g = np.einsum("bdn,bn->bd", V, _density(theta, V) * weight) - target
-    return theta, np.abs(g).max(1), steps
+            step = np.stack([np.linalg.lstsq(h, v, rcond=None)[0] for h, v in zip(H, g)])
+        at, goal, slope = theta[moving], target[moving], (step * g).sum(1)
+        trial = at - step
+        f = _density(trial, part.V)
+        # close to the optimum a full step is right, and the potential no longer tells steps apart
+        doubt = np.nonzero(~(np.abs(slope) < 1e-7))[0]
+        if len(doubt):
+            before = _potential(at[doubt], part.V[doubt], part.weight[doubt], goal[doubt])
+            value = (f[doubt] * part.weight[doubt]).sum(1) - (trial[doubt] * goal[doubt]).sum(1)
+            size = np.ones(len(doubt))
+            for _ in range(40):
+                worse = ~(value <= before - 1e-4 * size * slope[doubt] + 1e-14 * np.abs(before))
+                if not worse.any():
+                    break
+                size[worse] /= 2
+                w = doubt[worse]
+                trial[w] = at[w] - size[worse][:, None] * step[w]
+                f[w] = _density(trial[w], part.V[w])
+                value[worse] = (f[w] * part.weight[w]).sum(1) - (trial[w] * goal[w]).sum(1)
+        theta[moving] = trial
+        steps[moving] += 1
+    return theta, residual, steps
 
 
 def _first_order(theta, V, weight, target, lbfgs: bool, rounds: int):
@@ -186,17 +277,18 @@ def romberg(f, a: float, b: float, tol: float = 1e-10, levels: int = 14) -> floa
     return float(row[-1])
 
 
-def _newton_romberg(theta, lo, hi, target, k1, k2, log_domain, rounds=60):
+def _newton_romberg(theta, lo, hi, target, k1, k2, log_domain, off, rounds=60):
     out, res, count = theta.copy(), np.zeros(len(theta)), np.zeros(len(theta), int)
     for b in range(len(theta)):
-        half, la, lb = (hi[b] - lo[b]) / 2, (np.log(lo[b]), np.log(hi[b]))[0] if k2 or log_domain else 0.0, np.log(hi[b]) if k2 or log_domain else 1.0
+        half = (hi[b] - lo[b]) / 2
+        la, lb = (np.log(lo[b] + off[b]), np.log(hi[b] + off[b])) if k2 or log_domain else (0.0, 1.0)
 
         def rows(v):
-            x = np.exp(la + (v + 1) / 2 * (lb - la)) if log_domain else lo[b] + (v + 1) * half  # noqa: B023
-            jac = x * (lb - la) / 2 / half if log_domain else np.ones_like(v)  # noqa: B023
+            x = np.exp(la + (v + 1) / 2 * (lb - la)) - off[b] if log_domain else lo[b] + (v + 1) * half  # noqa: B023
+            jac = (x + off[b]) * (lb - la) / 2 / half if log_domain else np.ones_like(v)  # noqa: B023
             parts = [M.chebyshev_values(np.clip((x - lo[b]) / half - 1, -1, 1), k1)]  # noqa: B023
             if k2:
-                parts.append(M.chebyshev_values(np.clip((np.log(x) - la) / (lb - la) * 2 - 1, -1, 1), k2)[1:])  # noqa: B023
+                parts.append(M.chebyshev_values(np.clip((np.log(x + off[b]) - la) / (lb - la) * 2 - 1, -1, 1), k2)[1:])  # noqa: B023
             return np.concatenate(parts), jac
 
         d = k1 + k2 + 1
@@ -220,110 +312,148 @@ def _newton_romberg(theta, lo, hi, target, k1, k2, log_domain, rounds=60):
     return out, res, count
 
 
-def _finish(theta, lo, hi, k1, k2, log_domain, n):
-    """x and distribution function on a grid, by integrating the Chebyshev interpolant of the density."""
-    x, weight, V = _basis(lo, hi, k1, k2, log_domain, n)
-    v, w = M.nodes(n)
+def _finish(theta, lo, hi, k1, k2, log_domain, n, off):
+    """x and distribution function on a grid, by integrating the Chebyshev series of the density."""
+    x, weight, V = _basis(lo, hi, k1, k2, log_domain, n, off)
     f = _density(theta, V)
-    y = f * weight / w  # density in the integration variable
+    c = cosine_coefficients(f * weight / M.nodes(n)[1])  # the density in the integration variable
     grid = -np.cos(np.pi * np.arange(GRID + 1) / GRID)
-    to_coef = _to_coefficients(n)
-    c = y @ to_coef.T
     up = np.zeros((len(c), n + 2))
     j = np.arange(n + 1)
     up[:, 1:] += c / (2 * (j + 1))
     up[:, 1] += c[:, 0] / 2
     up[:, 1:n] -= c[:, 2:] / (2.0 * (j[2:] - 1))
-    Tg = M.chebyshev_values(grid, n + 1)
-    cdf = up @ Tg
+    cdf = up @ _grid_values(n + 1)
     cdf -= cdf[:, :1]
     cdf = np.maximum.accumulate(np.clip(cdf / cdf[:, -1:], 0, 1), axis=1)
     if log_domain:
-        a, b = np.log(lo)[:, None], np.log(hi)[:, None]
-        xs = np.exp(a + (grid + 1) / 2 * (b - a))
+        a, b = np.log(lo + off)[:, None], np.log(hi + off)[:, None]
+        xs = np.exp(a + (grid + 1) / 2 * (b - a)) - off[:, None]
     else:
         xs = lo[:, None] + (grid + 1) / 2 * (hi - lo)[:, None]
     return xs, cdf, f.max(1)
 
 
 @lru_cache(maxsize=None)
-def _to_coefficients(n: int) -> np.ndarray:
-    """Values at the ascending Chebyshev points -> coefficients (a cosine transform as a matrix)."""
-    theta = np.pi * np.arange(n + 1) / n
-    m = np.cos(np.outer(np.arange(n + 1), np.pi - theta)) * 2.0 / n
-    m[:, [0, -1]] /= 2
-    m[[0, -1]] /= 2
-    return m
+def _grid_values(k: int) -> np.ndarray:
+    return M.chebyshev_values(-np.cos(np.pi * np.arange(GRID + 1) / GRID), k)
+
+
+@lru_cache(maxsize=4096)
+def _gram(spread: float, log_domain: bool, top: int) -> np.ndarray:
+    """Hessian at the reference density (uniform in ln x over many orders of magnitude, else in x) over [1, powers, logs]; it depends on ln(hi / lo) alone."""
+    lo, hi = np.array([1.0]), np.array([np.exp(spread)])
+    _, weight, V = _basis(lo, hi, top, top, log_domain, 128)
+    return (V[0] * ((M.nodes(128)[1] if log_domain else weight[0]) / 2)) @ V[0].T
+
+
+@lru_cache(maxsize=1 << 18)
+def _kappa(spread: float, log_domain: bool, top: int, k1: int, k2: int) -> float:
+    pick = [*range(k1 + 1), *range(top + 1, top + 1 + k2)]
+    return M.condition(_gram(spread, log_domain, top)[np.ix_(pick, pick)])
+
+
+def _combined(neg: Fit, pos: Fit, n_neg: float, n_zero: float, n_pos: float) -> Fit:
+    """One distribution function from those of mirrored negative values, zeros and positive values."""
+    ends = lambda f: (np.repeat(f.x, 2), np.array([0.0, 1.0])) if len(f.x) == 1 else (f.x, f.cdf)
+    n, x, c, done = n_neg + n_zero + n_pos, [], [], 0.0
+    if n_neg:
+        a, b = ends(neg)
+        x, c, done = [-a[::-1]], [(1 - b[::-1]) * n_neg / n], n_neg / n
+    if n_zero:
+        x, c, done = [*x, np.zeros(2)], [*c, np.array([done, done + n_zero / n])], done + n_zero / n
+    if n_pos:
+        a, b = ends(pos)
+        x, c = [*x, a], [*c, done + b * n_pos / n]
+    return Fit(np.concatenate(x), np.concatenate(c), 0, max(neg.k2, pos.k2), "split", max(neg.iterations, pos.iterations), max(neg.residual, pos.residual), max(neg.peak, pos.peak))
+
+
+def chosen_orders(b: Batch, kappa_max: float = M.KAPPA_MAX, scaled=None) -> list[tuple[int, int, bool]]:
+    """(k1, k2, integrate in ln x) of each row, from its moments alone."""
+    cheb, lcheb, llo, lhi = scaled or _scaled(b)
+    cap, lcap = np.floor(M.max_order(b.lo, b.hi)).astype(int), np.floor(M.max_order(llo, lhi)).astype(int)
+    gaps, lgaps = np.abs(cheb - M.uniform_means(cheb.shape[1] - 1)), np.abs(lcheb - M.uniform_means(lcheb.shape[1] - 1))
+    out = []
+    for r in range(len(b.n)):
+        p = max(min(cheb.shape[1] - 1, cap[r]), 0)
+        q = max(min(lcheb.shape[1] - 1, lcap[r]), 0) if b.use_log[r] else 0
+        while p and not abs(cheb[r, p]) <= 1 + 1e-6:
+            p -= 1
+        while q and not abs(lcheb[r, q]) <= 1 + 1e-6:
+            q -= 1
+        if q:
+            spread, domain, top = float(f"{lhi[r] - llo[r]:.3g}"), bool(lhi[r] - llo[r] > np.log(100)), max(p, q)
+            k1, k2 = M.choose_orders(lambda a, c: _kappa(spread, domain, top, a, c), gaps[r, 1 : p + 1], lgaps[r, 1 : q + 1], kappa_max)  # noqa: B023
+            out.append((k1, k2, bool(k2 and domain)))
+        else:
+            out.append((p, 0, False))
+    return out
+
+
+def _scaled(b: Batch):
+    """Chebyshev means of both families and the ends of the logs; every row has hi > lo."""
+    logs = b.use_log
+    with np.errstate(invalid="ignore", divide="ignore"):
+        llo, lhi = np.where(logs, np.log(np.where(logs, b.lo + b.off, 1)), 0), np.where(logs, np.log(np.where(logs, b.hi + b.off, 2)), 1)
+    return M.chebyshev_means(b.power, b.lo, b.hi), M.chebyshev_means(b.log, llo, lhi), llo, lhi
 
 
 def fit_batch(b: Batch, solver: str = "chebyshev", kappa_max: float = M.KAPPA_MAX) -> list[Fit]:
     """A fitted density for each row."""
     B = len(b.n)
     fits: list[Fit | None] = [None] * B
-    shapes: dict[tuple, list[int]] = {}
-    wide = np.where((b.hi > b.lo) & (b.n > 0))[0]
-    for i in range(B):
-        if not b.n[i] > 0:
-            fits[i] = Fit(np.array([np.nan]), np.array([1.0]), 0, 0, "empty", 0, 0.0, 0.0)
-        elif not b.hi[i] > b.lo[i]:
-            fits[i] = Fit(np.array([b.lo[i]]), np.array([1.0]), 0, 0, "degenerate", 0, 0.0, 0.0)
+    live = b.n > 0
+    mixed = b.mixed & (b.hi > b.lo) if b.mixed is not None else np.zeros(B, bool)
+    if mixed.any():
+        at = np.nonzero(mixed)[0]
+        pos, neg = (h.rows(at) for h in b.halves)
+        for i, p, q in zip(at, fit_batch(pos, solver, kappa_max), fit_batch(neg, solver, kappa_max)):
+            fits[i] = _combined(q, p, b.halves[1].n[i], b.n[i] - b.halves[0].n[i] - b.halves[1].n[i], b.halves[0].n[i])
+    for i in np.nonzero(~live)[0]:
+        fits[i] = Fit(np.array([np.nan]), np.array([1.0]), 0, 0, "empty", 0, 0.0, 0.0)
+    for i in np.nonzero(live & ~(b.hi > b.lo))[0]:
+        fits[i] = Fit(np.array([b.lo[i]]), np.array([1.0]), 0, 0, "degenerate", 0, 0.0, 0.0)
+    wide = np.nonzero(live & (b.hi > b.lo) & ~mixed)[0]
     if not len(wide):
         return fits  # type: ignore[return-value]
-    lo, hi = b.lo[wide], b.hi[wide]
-    cap = np.floor(M.max_order(lo, hi)).astype(int)
-    cheb = M.chebyshev_means(b.power[wide], lo, hi)
-    logs = b.use_log[wide]
-    with np.errstate(invalid="ignore", divide="ignore"):
-        llo, lhi = np.where(logs, np.log(np.where(logs, lo, 1)), 0), np.where(logs, np.log(np.where(logs, hi, 2)), 1)
-    lcheb = M.chebyshev_means(b.log[wide], llo, lhi)
-    lcap = np.floor(M.max_order(llo, lhi)).astype(int)
-    for r, i in enumerate(wide):
-        p = max(min(cheb.shape[1] - 1, cap[r]), 0)
-        q = max(min(lcheb.shape[1] - 1, lcap[r]), 0) if logs[r] else 0
-        while p and not abs(cheb[r, p]) <= 1 + 1e-6:
-            p -= 1
-        while q and not abs(lcheb[r, q]) <= 1 + 1e-6:
-            q -= 1
-        domain = bool(q and hi[r] / lo[r] > 100)
-        if q:
-            _, weight, V = _basis(lo[r : r + 1], hi[r : r + 1], p, q, domain, 128)
-            # over many orders of magnitude the reference density is uniform in ln x, else in x
-            gram = (V[0] * ((M.nodes(128)[1] if domain else weight[0]) / 2)) @ V[0].T
-            k1, k2 = M.choose_orders(gram, np.abs(cheb[r, 1 : p + 1] - M.uniform_means(p)[1:]), np.abs(lcheb[r, 1 : q + 1] - M.uniform_means(q)[1:]), kappa_max)
-        else:
-            k1, k2 = p, 0
-        shapes.setdefault((k1, k2, bool(k2 and domain)), []).append(r)
-    queue = [(shape, rows, "ok", 128) for shape, rows in shapes.items()]
+    own = b.rows(wide)
+    lo, hi, off = own.lo, own.hi, own.off
+    cheb, lcheb, llo, lhi = scaled = _scaled(own)
+    shapes: dict[tuple, list[int]] = {}
+    for r, shape in enumerate(chosen_orders(own, kappa_max, scaled)):
+        shapes.setdefault(shape, []).append(r)
+    tol = ACCEPTED[solver]
+    queue = [(shape, rows, "", 128) for shape, rows in shapes.items()]
     while queue:
         (k1, k2, domain), rows, status, points = queue.pop()
-        for at in range(0, len(rows), 256):
-            part = np.array(rows[at : at + 256])
+        for start in range(0, len(rows), 256):
+            part = np.array(rows[start : start + 256])
             target = np.concatenate([cheb[part, : k1 + 1], lcheb[part, 1 : k2 + 1]], axis=1)
             theta = np.zeros((len(part), k1 + k2 + 1))
             theta[:, 0] = np.log(0.5)
-            if domain:  # start uniform in ln x: exp(-ln x), normalised
-                half_log = np.log(hi[part] / lo[part]) / 2
+            if domain:  # start uniform in ln(x + off): exp(-ln(x + off)), normalised
+                half_log = (lhi[part] - llo[part]) / 2
                 theta[:, k1 + 1] = -half_log
-                theta[:, 0] = np.log((hi[part] - lo[part]) / 2 / (2 * half_log)) - np.log(lo[part] * hi[part]) / 2
+                theta[:, 0] = np.log((hi[part] - lo[part]) / 2 / (2 * half_log)) - (llo[part] + lhi[part]) / 2
             if k1 + k2:
-                x, weight, V = _basis(lo[part], hi[part], k1, k2, domain, points)
+                x, weight, V = _basis(lo[part], hi[part], k1, k2, domain, points, off[part])
                 if solver == "newton_romberg":
-                    theta, res, count = _newton_romberg(theta, lo[part], hi[part], target, k1, k2, domain)
-                elif solver == "chebyshev":
-                    theta, res, count = _newton(theta, V, weight, target, k1, k2)
+                    theta, res, count = _newton_romberg(theta, lo[part], hi[part], target, k1, k2, domain, off[part])
+                elif solver in ("chebyshev", "cosine"):
+                    theta, res, count = _newton(theta, V, weight, target, k1, k2, domain, solver == "cosine")
                 else:
                     theta, res, count = _first_order(theta, V, weight, target, solver == "lbfgs", 3000)
-                tol = {"chebyshev": 1e-7, "newton_romberg": 1e-6, "lbfgs": 1e-5, "gd": np.inf}[solver]
-                _, w2, V2 = _basis(lo[part], hi[part], k1, k2, domain, 2 * points)
+                _, w2, V2 = _basis(lo[part], hi[part], k1, k2, domain, 2 * points, off[part])
                 rough = np.abs(np.einsum("bdn,bn->bd", V2, _density(theta, V2) * w2) - target).max(1) > max(1e-5, 10 * tol)
             else:
-                res, count, rough, tol = np.zeros(len(part)), np.zeros(len(part), int), np.zeros(len(part), bool), 1.0
+                res, count, rough = np.zeros(len(part)), np.zeros(len(part), int), np.zeros(len(part), bool)
             good = (res <= tol) & ~rough
             if good.any():
                 g = np.nonzero(good)[0]
-                xs, cdf, peak = _finish(theta[g], lo[part[g]], hi[part[g]], k1, k2, domain, points)
+                xs, cdf, peak = _finish(theta[g], lo[part[g]], hi[part[g]], k1, k2, domain, points, off[part[g]])
                 for j, k in enumerate(g):
-                    fits[wide[part[k]]] = Fit(xs[j], cdf[j], k1, k2, status, int(count[k]), float(res[k]), float(peak[j]))
+                    name = status or ("ok" if res[k] <= TOLERANCE else "loose")
+                    fits[wide[part[k]]] = Fit(xs[j], cdf[j], k1, k2, name, int(count[k]), float(res[k]), float(peak[j]))
             finer = part[(res <= tol) & rough] if points < 1024 else part[:0]
             if len(finer):
                 queue.append(((k1, k2, domain), finer.tolist(), status, points * 2))

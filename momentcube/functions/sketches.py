@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import math
 import pickle
+import zlib
 
 import numpy as np
 
@@ -180,47 +181,164 @@ class SHist(TDigest):
 
 
 class RandomBuffers:
-    """Buffers of equal size on levels; two of a level collapse into one of the next by a random odd or even choice."""
+    """Random sketch: a fixed number of buffers; an input sampled ever more sparsely as it grows fills them, and full ones collapse in pairs.
 
-    def __init__(self, eps: float = 1 / 40, seed: int = 1):
-        self.size = max(2, math.ceil(1 / eps * math.sqrt(math.log2(1 / eps))))
-        self.seed = seed
+    h = log2(1/eps); h + 1 buffers of (1/eps) sqrt(h) items. A buffer of level l holds items of weight 2^l. A new buffer is filled at the
+    level that keeps the number of buffers fixed: one random item of every 2^l. If no buffer is free, two of the lowest level that has two
+    merge into one of the next level, of which every other item stays, starting at random. State: (n, buffers [(level, items)], rest
+    items, level of the rest, draws so far).
+    """
 
-    def _carry(self, levels: dict[int, list[np.ndarray]], rest: np.ndarray, salt: int):
-        rng = np.random.default_rng([self.seed, salt, len(rest)])
-        while len(rest) >= self.size:
-            levels.setdefault(0, []).append(np.sort(rest[: self.size]))
-            rest = rest[self.size :]
-        level = 0
-        while level <= max(levels, default=-1):
-            while len(levels.get(level, [])) > 1:
-                a, b = levels[level].pop(), levels[level].pop()
-                levels.setdefault(level + 1, []).append(np.sort(np.concatenate([a, b]))[int(rng.integers(2)) :: 2])
-            level += 1
-        return levels, rest, salt + 1
+    def __init__(self, eps: float = 1 / 40, seed: int = 1):
+        h = math.log2(1 / eps)
+        self.height, self.seed = math.ceil(h), seed
+        self.buffers, self.size = self.height + 1, max(2, math.ceil(math.sqrt(h) / eps))
+
+    def _rng(self, n: int, draws: int):
+        return np.random.default_rng([self.seed, n, draws])
+
+    def _level(self, n: int) -> int:
+        """Level at which new items come in: with fewer than 2^height buffers' worth of items all are taken."""
+        return max(0, math.ceil(math.log2(max(n, 1) / (self.size * 2 ** (self.height - 1)))))
+
+    def _thin(self, x: np.ndarray, steps: int, rng) -> np.ndarray:
+        """One random item of every 2^steps; a last part block gives one with the probability that its share has."""
+        if not steps or not len(x):
+            return x
+        block = 1 << steps
+        whole = len(x) // block * block
+        out = x[:whole].reshape(-1, block)[np.arange(whole // block), rng.integers(0, block, whole // block)]
+        tail = x[whole:]
+        return np.append(out, tail[rng.integers(len(tail))]) if len(tail) and rng.random() < len(tail) / block else out
+
+    def _collapse(self, buffers, rng):
+        while len(buffers) > self.buffers:
+            levels = sorted(l for l, _ in buffers)
+            twice = [a for a, b in zip(levels, levels[1:]) if a == b]
+            if twice:
+                level = twice[0]
+                own = [i for i, (l, _) in enumerate(buffers) if l == level][:2]
+                merged = np.sort(np.concatenate([buffers[i][1] for i in own]))[int(rng.integers(2)) :: 2]
+                buffers = [b for i, b in enumerate(buffers) if i not in own] + [(level + 1, merged)]
+            else:  # all levels differ: the two lowest meet at the higher one
+                (la, a), (lb, b) = sorted(buffers, key=lambda v: v[0])[:2]
+                buffers = [v for v in buffers if v[1] is not a and v[1] is not b]
+                merged = np.sort(np.concatenate([self._thin(rng.permutation(a), lb - la, rng), b]))
+                buffers.append((lb + 1, merged[int(rng.integers(2)) :: 2]) if len(merged) > self.size else (lb, merged))
+        return buffers
 
     def build(self, x):
-        return self._carry({}, np.asarray(x, float), len(x))
+        return self.update((0, [], np.empty(0), 0, 0), x)
+
+    def update(self, st, x):
+        """Stream values into a sketch, without cells of their own."""
+        n, buffers, rest, level, draws = st
+        x = np.asarray(x, float)
+        rng = self._rng(n + len(x), draws)
+        buffers, at = list(buffers), 0
+        while at < len(x):
+            now = self._level(n)
+            if now > level:
+                rest, level = self._thin(rng.permutation(rest), now - level, rng), now
+            take = x[at : at + max(1, (self.size - len(rest))) * (1 << level)]
+            rest = np.concatenate([rest, self._thin(take, level, rng)])
+            n, at = n + len(take), at + len(take)
+            if len(rest) >= self.size:
+                buffers = self._collapse([*buffers, (level, np.sort(rest[: self.size]))], rng)
+                rest = rest[self.size :]
+        return n, buffers, rest, level, draws + 1
 
     def merge(self, a, b):
-        levels = {k: [*a[0].get(k, []), *b[0].get(k, [])] for k in a[0].keys() | b[0].keys()}
-        return self._carry(levels, np.concatenate([a[1], b[1]]), a[2] + b[2])
+        if a[3] < b[3]:
+            a, b = b, a
+        n, draws, level = a[0] + b[0], a[4] + b[4] + 1, a[3]
+        rng = self._rng(n, draws)
+        rest = np.concatenate([a[2], self._thin(rng.permutation(b[2]), level - b[3], rng)])
+        buffers = [*a[1], *b[1]]
+        while len(rest) >= self.size:
+            buffers.append((level, np.sort(rest[: self.size])))
+            rest = rest[self.size :]
+        return n, self._collapse(buffers, rng), rest, level, draws
 
     def quantile(self, st, phi):
-        levels, rest, _ = st
-        v = [rest, *[x for k in levels for x in levels[k]]]
-        w = [np.ones(len(rest)), *[np.full(len(x), 2.0**k) for k in levels for x in levels[k]]]
+        _, buffers, rest, level, _ = st
+        v = [rest, *[x for _, x in buffers]]
+        w = [np.full(len(rest), 2.0**level), *[np.full(len(x), 2.0**l) for l, x in buffers]]
         return _weighted_quantile(np.concatenate(v), np.concatenate(w), phi)
 
     def nbytes(self, st):
-        return 8 * (len(st[1]) + sum(len(x) for xs in st[0].values() for x in xs))
+        return 8 * (len(st[2]) + sum(len(x) for _, x in st[1])) + 16
 
 
-class Merge12(RandomBuffers):
-    """Low-discrepancy mergeable sketch: sorted k-buffers zip in pairs, alternate items kept; merging carries like binary addition."""
+class Merge12:
+    """Low-discrepancy mergeable sketch: a base buffer of up to 2k items, then levels of k items each, occupied like the bits of n div 2k.
+
+    A full base buffer is sorted and every other item, k of them, is carried to level 0. Two sets of k items at a level zip into one sorted
+    run of 2k, of which every other item is carried on. Whether the odd or the even items stay is drawn for the first of two carries
+    at a level and reversed for the second, so that their errors cancel in pairs. State: (n, base items, levels [items or None], offsets,
+    draws so far).
+    """
 
     def __init__(self, k: int = 32, seed: int = 2):
-        self.size, self.seed = 4 * k, seed
+        self.k, self.seed = k, seed
+
+    def _carry(self, items: np.ndarray, level: int, levels: list, state: dict, rng) -> None:
+        while True:
+            if level == len(levels):
+                levels.append(None)
+            if levels[level] is None:
+                levels[level] = items
+                return
+            run = np.sort(np.concatenate([levels[level], items]))
+            levels[level] = None
+            items = self._zip(run, level + 1, state, rng)
+            level += 1
+
+    def _zip(self, run: np.ndarray, level: int, state: dict, rng) -> np.ndarray:
+        """Every other item; the offset of an odd-numbered carry of a level is drawn, the next one takes the other."""
+        if level in state:
+            odd = 1 - state.pop(level)
+        else:
+            odd = state[level] = int(rng.integers(2))
+        return run[odd::2]
+
+    def _fill(self, base: np.ndarray, levels: list, state: dict, rng) -> np.ndarray:
+        while len(base) >= 2 * self.k:
+            self._carry(self._zip(np.sort(base[: 2 * self.k]), 0, state, rng), 0, levels, state, rng)
+            base = base[2 * self.k :]
+        return base
+
+    def build(self, x):
+        return self.update((0, np.empty(0), [], {}, 0), x)
+
+    def update(self, st, x):
+        n, base, levels, state, draws = st
+        x, levels, state = np.asarray(x, float), list(levels), dict(state)
+        rng = np.random.default_rng([self.seed, n + len(x), draws])
+        base = self._fill(np.concatenate([base, x]), levels, state, rng)
+        return n + len(x), base, levels, state, draws + 1
+
+    def merge(self, a, b):
+        if a[0] < b[0]:
+            a, b = b, a
+        n, draws = a[0] + b[0], a[4] + b[4] + 1
+        rng = np.random.default_rng([self.seed, n, draws])
+        levels, state = list(a[2]), dict(a[3])
+        base = self._fill(np.concatenate([a[1], b[1]]), levels, state, rng)
+        for level, items in enumerate(b[2]):
+            if items is not None:
+                while len(levels) < level:
+                    levels.append(None)
+                self._carry(items, level, levels, state, rng)
+        return n, base, levels, state, draws
+
+    def quantile(self, st, phi):
+        own = [(st[1], 1.0), *[(x, 2.0 ** (l + 1)) for l, x in enumerate(st[2]) if x is not None]]
+        return _weighted_quantile(np.concatenate([x for x, _ in own]), np.concatenate([np.full(len(x), w) for x, w in own]), phi)
+
+    def nbytes(self, st):
+        """A base buffer of 2k items and k for each level, occupied or not, as a fixed array keeps them."""
+        return 32 + 8 * self.k * (2 + len(st[2]))
 
 
 class Reservoir:
@@ -231,7 +349,7 @@ class Reservoir:
 
     def build(self, x):
         x = np.asarray(x, float)
-        rng = np.random.default_rng([self.seed, len(x)])
+        rng = np.random.default_rng([self.seed, len(x), zlib.crc32(x.tobytes())])
         return (rng.permutation(x)[: self.size], len(x))
 
     def merge(self, a, b):

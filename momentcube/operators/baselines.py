@@ -3,15 +3,21 @@
 from __future__ import annotations
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
 from ..functions import sketches
 from ..summary import clean
 
 
-def build_cells(df: DataFrame, by: list[str], metric: Column, kind: str) -> DataFrame:
+def _impl(kind):
+    """A kind by name, or a sketch object of any size."""
+    return sketches.KINDS[kind] if isinstance(kind, str) else kind
+
+
+def build_cells(df: DataFrame, by: list[str], metric: Column, kind) -> DataFrame:
     """One packed state for each cell."""
-    impl = sketches.KINDS[kind]
+    impl = _impl(kind)
     rows = df.select(*by, clean(metric).alias("x")).where("x is not null")
     schema = ", ".join(f"{c} {rows.schema[c].dataType.simpleString()}" for c in by) + ", state binary"
 
@@ -21,13 +27,34 @@ def build_cells(df: DataFrame, by: list[str], metric: Column, kind: str) -> Data
     return rows.groupBy(*by).applyInPandas(build, schema)
 
 
-def merge_cells(cells: DataFrame, by: list[str], kind: str, fan_in: int = 64) -> DataFrame:
-    """States of each group merged in two steps, so that a large group is first merged in parts on many tasks."""
-    impl = sketches.KINDS[kind]
+def stream_rows(df: DataFrame, metric: Column, kinds: dict) -> DataFrame:
+    """Raw values straight into sketches, without cells: each task streams its rows through one sketch of every kind and emits (name, state).
+
+    No rows are shuffled; as many states as tasks remain to be merged (``merge_cells`` by name).
+    """
+    impls = {name: _impl(k) for name, k in kinds.items()}
+    rows = df.select(clean(metric).alias("x")).where("x is not null")
+
+    def run(batches):
+        held: dict = {}
+        for batch in batches:
+            x = batch.column(0).to_numpy()
+            for name, impl in impls.items() if len(x) else ():
+                held[name] = impl.build(x) if name not in held else impl.update(held[name], x) if hasattr(impl, "update") else impl.merge(held[name], impl.build(x))
+        yield pa.RecordBatch.from_pydict({"name": pa.array(list(held), pa.string()), "state": pa.array([sketches.dump(v) for v in held.values()], pa.binary())})
+
+    return rows.mapInArrow(run, "name string, state binary")
+
+
+def merge_cells(cells: DataFrame, by: list[str], kind, fan_in: int = 64, name: str | None = None) -> DataFrame:
+    """States of each group merged in two steps, so that a large group is first merged in parts on many tasks. ``name`` as in ``quantiles``."""
+    impls = {None: _impl(kind)} if name is None else {k: _impl(v) for k, v in kind.items()}
+    by = [*by, name] if name is not None and name not in by else list(by)
     kinds = [f"{c} {cells.schema[c].dataType.simpleString()}" for c in by]
 
     def step(df: DataFrame, keys: list[str], schema: str) -> DataFrame:
         def merge(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
+            impl = impls[None if name is None else key[keys.index(name)]]
             return pd.DataFrame([[*key, sketches.dump(sketches.merge_all(impl, map(sketches.load, g["state"])))]], columns=[*keys, "state"])
 
         return df.groupBy(*keys).applyInPandas(merge, schema)
@@ -38,18 +65,17 @@ def merge_cells(cells: DataFrame, by: list[str], kind: str, fan_in: int = 64) ->
     return step(parts.select(F.lit(0).alias("g"), "state"), ["g"], "g int, state binary").drop("g")
 
 
-def quantiles(states: DataFrame, kind: str, phis: list[float]) -> DataFrame:
-    impl = sketches.KINDS[kind]
-
-    @F.pandas_udf("array<double>")
-    def ask(s: pd.Series) -> pd.Series:
-        return pd.Series([[impl.quantile(sketches.load(b), p) for p in phis] for b in s])
+def quantiles(states: DataFrame, kind, phis: list[float], name: str | None = None) -> DataFrame:
+    """``kind``: one for all states, or a dict of kinds by the column ``name``."""
+    kinds = {None: _impl(kind)} if name is None else {k: _impl(v) for k, v in kind.items()}
 
-    @F.pandas_udf("long")
-    def size(s: pd.Series) -> pd.Series:
-        return pd.Series([impl.nbytes(sketches.load(b)) for b in s])
+    @F.pandas_udf("q array<double>, bytes long")
+    def ask(s: pd.Series, which: pd.Series) -> pd.DataFrame:
+        held = [(kinds[w], sketches.load(b)) for b, w in zip(s, which)]
+        return pd.DataFrame({"q": [[impl.quantile(st, p) for p in phis] for impl, st in held], "bytes": [impl.nbytes(st) for impl, st in held]})
 
-    return states.withColumn("q", ask("state")).withColumn("bytes", size("state")).drop("state")
+    out = states.withColumn("__a", ask("state", F.lit(None).cast("string") if name is None else F.col(name)))
+    return out.withColumn("q", F.col("__a.q")).withColumn("bytes", F.col("__a.bytes")).drop("state", "__a")
 
 
 def native_gk(df: DataFrame, by: list[str], metric: Column, phis: list[float], accuracy: int = 100) -> DataFrame:

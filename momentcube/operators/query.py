@@ -29,32 +29,44 @@ def by_group(cube: DataFrame, dims: list[str], phi: float | list[float], spec: S
     return out if isinstance(phi, (list, tuple)) else out.withColumn("q", F.col("q")[0])
 
 
-def direct(groups: DataFrame, phi: float, t: Column, spec: SummarySpec = SummarySpec(), parallel: int | None = None) -> DataFrame:
-    """Threshold by an estimate for every group: the baseline of the cascade."""
+def direct(groups: DataFrame, phi: float, t: Column, spec: SummarySpec = SummarySpec(), parallel: int | None = None, op: str = ">") -> DataFrame:
+    """Threshold by an estimate for every group: the baseline of the cascade. op: > or <."""
     q = quantiles_udf([phi])(as_struct(spec))[0]
-    return _spread(groups, parallel).withColumn("q", q).withColumn("verdict", F.col("q") > t)
+    out = _spread(groups, parallel).withColumn("q", q)
+    return out.withColumn("verdict", F.col("q") > t if op == ">" else F.col("q") < t)
 
 
-def cascade(groups: DataFrame, phi: float, t: Column, spec: SummarySpec = SummarySpec(), stages=STAGES, bound_orders: str = "all", parallel: int | None = None) -> DataFrame:
-    """Is the phi-quantile of each group above t? Adds verdict and the stage that decided.
+def cascade(groups: DataFrame, phi: float, t: Column, spec: SummarySpec = SummarySpec(), stages=STAGES, bound_orders: str = "all", parallel: int | None = None, op: str = ">") -> DataFrame:
+    """Is the phi-quantile of each group above (op >) or below (op <) t? Adds verdict and the stage that decided.
 
-    Range and Markov checks are code-generated columns; only groups they leave open hand a state to the Python stage,
-    which tries tight bounds and then fits. (Conditions don't keep rows from a Python function; a NULL input does.)
-    An empty group has the verdict NULL.
+    Range and Markov checks are code-generated columns. Only groups that they leave open go on to Python, spread over ``parallel`` tasks (a
+    few bytes each, which adaptive coalescing would put into one task): tight bounds, then a fit. Both branches read the same exchange of
+    merged groups. bound_orders "matched": bounds use only moments that the fit matches (found by fitting), for strict agreement.
+    An empty group, or one with a NULL threshold, has the verdict NULL.
     """
-    df = _spread(groups, parallel).withColumn("__t", t.cast("double"))
+    above = op == ">"
+    kept = groups.columns
+    df = groups.withColumn("__t", t.cast("double"))
     none = F.lit(None).cast("boolean")
-    df = df.withColumn("__r", bounds.range_verdict(F.col("xmin"), F.col("xmax"), F.col("__t")) if "range" in stages else none)
-    if "markov" in stages:
-        low, high = bounds.markov_bounds(spec, F.col("__t"))
-        df = df.withColumn("__lo", low).withColumn("__hi", high).withColumn("__m", F.when(F.col("__r").isNull() & (F.col("n") > 0), bounds.bound_verdict(F.col("__lo"), F.col("__hi"), phi)))
+    if "markov" in stages and bound_orders == "all":
+        df = bounds.with_markov(df, spec, F.col("__t")).withColumn("__m", bounds.bound_verdict(F.col("__lo"), F.col("__hi"), phi, above))
     else:
-        df = df.withColumn("__lo", F.lit(0.0)).withColumn("__hi", F.lit(1.0)).withColumn("__m", none)
-    open_state = F.when(F.col("__r").isNull() & F.col("__m").isNull() & (F.col("n") > 0), as_struct(spec))
-    df = df.withColumn("__p", residual_udf(phi, tuple(stages), bound_orders)(open_state, F.col("__t")))
-    stage = F.when(F.col("__r").isNotNull(), "range").when(F.col("__m").isNotNull(), "markov").otherwise(F.col("__p.stage"))
-    out = df.withColumn("verdict", F.coalesce("__r", "__m", F.col("__p.verdict"))).withColumn("stage", stage)
-    return out.drop("__t", "__r", "__lo", "__hi", "__m", "__p")
+        df = df.withColumn("__m", none)
+    df = df.withColumn("__r", bounds.range_verdict(F.col("xmin"), F.col("xmax"), F.col("__t"), above) if "range" in stages else none)
+    settled = F.col("__r").isNotNull() | F.col("__m").isNotNull() | (F.col("n") == 0) | F.col("__t").isNull()
+    stage = F.when(F.col("__r").isNotNull(), "range").when(F.col("__m").isNotNull(), "markov")
+    if "range" in stages or "markov" in stages:
+        closed = df.where(settled).select(*kept, F.coalesce("__r", "__m").alias("verdict"), stage.alias("stage"))
+    else:
+        closed = df.where((F.col("n") == 0) | F.col("__t").isNull()).select(*kept, none.alias("verdict"), F.lit(None).cast("string").alias("stage"))
+    rest = _spread(df.where(~settled).select(*kept, "__t"), parallel)
+    judged = rest.withColumn("__p", residual_udf(phi, tuple(stages), bound_orders, above)(as_struct(spec), F.col("__t")))
+    return closed.unionByName(judged.select(*kept, F.col("__p.verdict").alias("verdict"), F.col("__p.stage").alias("stage")))
+
+
+def exceeds(state: Column, phi: float, t: Column, op: str = ">") -> Column:
+    """The predicate q_phi > t (or < t) of one state, all stages in one function: for states outside a group-by."""
+    return residual_udf(phi, STAGES, above=op == ">")(state, t.cast("double"))["verdict"]
 
 
 def relative(cube: DataFrame, dims: list[str], phi_group: float, phi_global: float, spec: SummarySpec = SummarySpec(), **how) -> DataFrame:

@@ -17,7 +17,7 @@ def panes(df: DataFrame, ts: str, metric: Column, spec: SummarySpec = SummarySpe
 def dense(p: DataFrame, first: int, last: int, spec: SummarySpec = SummarySpec()) -> DataFrame:
     """Every pane of [first, last], empty ones included."""
     calendar = p.sparkSession.range(first, last + 1).toDF("pane")
-    zero = {c: 0 for c in spec.columns if c not in ("xmin", "xmax") and c in p.columns}
+    zero = {c: 0 for c in spec.sums if c in p.columns}
     return calendar.join(p, "pane", "left").fillna(zero)
 
 
@@ -28,18 +28,21 @@ def slide(p: DataFrame, width: int, spec: SummarySpec = SummarySpec(), mode: str
     many tasks. remerge adds the panes of each frame; turnstile takes differences of running sums inside a block (restarted
     there, which bounds the cancellation a past spike leaves); extremes can't be undone and come from the frame.
     """
+    block = max(block, 4 * width)  # a window never reaches beyond the block before its own
     own = F.expr(f"pane div {block}")
     copies = F.when(F.expr(f"pane % {block} >= {block - width + 1}"), F.array(own, own + 1)).otherwise(F.array(own))
     halo = p.withColumn("__block", F.explode(copies))
     w = Window.partitionBy(*by, "__block").orderBy("pane")
     frame = w.rowsBetween(-(width - 1), 0)
-    sums = [c for c in spec.columns if c not in ("xmin", "xmax")]
+    ends = [(F.min(c) if c in ("xmin", "pmin") else F.max(c)).over(frame).alias(c) for c in spec.columns if c not in spec.sums]
+    have = F.count(F.lit(1)).over(frame).alias("__have")
     if mode == "remerge":
-        out = halo.select(*by, "pane", "__block", F.count(F.lit(1)).over(frame).alias("__have"), *[F.sum(c).over(frame).alias(c) for c in sums], F.min("xmin").over(frame).alias("xmin"), F.max("xmax").over(frame).alias("xmax"))
+        out = halo.select(*by, "pane", "__block", have, *[F.sum(c).over(frame).alias(c) for c in spec.sums], *ends)
     else:
         run = w.rowsBetween(Window.unboundedPreceding, 0)
-        wide = halo.select(*by, "pane", "__block", F.count(F.lit(1)).over(frame).alias("__have"), *[F.sum(c).over(run).alias(c) for c in sums], F.min("xmin").over(frame).alias("xmin"), F.max("xmax").over(frame).alias("xmax"))
-        out = wide.select(*by, "pane", "__block", "__have", *[(F.col(c) - F.coalesce(F.lag(c, width).over(w), F.lit(0))).alias(c) for c in sums], "xmin", "xmax")
+        wide = halo.select(*by, "pane", "__block", have, *[F.sum(c).over(run).alias(c) for c in spec.sums], *ends)
+        left = lambda c: F.col(c) - F.coalesce(F.lag(c, width).over(w), F.lit(0))
+        out = wide.select(*by, "pane", "__block", "__have", *[left(c).alias(c) for c in spec.sums], *[c for c in spec.columns if c not in spec.sums])
     return out.where(F.col("__block") == own).withColumn("full", F.col("__have") == width).drop("__block", "__have")
 
 

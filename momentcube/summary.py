@@ -3,6 +3,9 @@
 Flat columns keep accumulation and merging inside code-generated hash aggregation with map-side partials. NULL is skipped;
 NaN and infinities are dropped. Logs are usable only if every value is positive (n_pos = n). The empty summary
 has n = 0 and NULL extremes.
+
+Log policies travel with the state: ``shift`` keeps logs of x + shift and says by how much; ``split_sign`` keeps logs of positive
+values and of mirrored negative ones, with the counts and inner ends of both halves.
 """
 
 from __future__ import annotations
@@ -12,7 +15,8 @@ from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-STATE = "struct<n:bigint,n_pos:bigint,xmin:double,xmax:double,s:array<double>,l:array<double>>"
+STATE = "struct<n:bigint,n_pos:bigint,xmin:double,xmax:double,s:array<double>,l:array<double>,shift:double,n_neg:bigint,pmin:double,nmax:double,m:array<double>>"
+_LEAST, _MOST = ("xmin", "pmin"), ("xmax", "nmax")
 
 
 @dataclass(frozen=True)
@@ -37,9 +41,18 @@ class SummarySpec:
     def neg(self) -> list[str]:
         return [f"m{i}" for i in range(1, self.order + 1)] if self.log and self.log_policy == "split_sign" else []
 
+    @property
+    def split(self) -> list[str]:
+        """Count of negative values, least positive and greatest negative value: what a split by sign needs beside its sums."""
+        return ["n_neg", "pmin", "nmax"] if self.neg else []
+
+    @property
+    def sums(self) -> list[str]:
+        return ["n", "n_pos", *self.split[:1], *self.s, *self.l, *self.neg]
+
     @property
     def columns(self) -> list[str]:
-        return ["n", "n_pos", "xmin", "xmax", *self.s, *self.l, *self.neg]
+        return ["n", "n_pos", "xmin", "xmax", *self.s, *self.l, *self.split, *self.neg]
 
 
 def clean(x: Column) -> Column:
@@ -53,7 +66,9 @@ def accumulate(x: Column, spec: SummarySpec = SummarySpec()) -> list[Column]:
 
     ``x`` should be a plain column (see ``prepared``): then Spark shares its common sub-expressions.
     """
-    out = [F.count(x).alias("n"), F.count_if((x + spec.shift if spec.log_policy == "shift" else x) > 0).alias("n_pos"), F.min(x).alias("xmin"), F.max(x).alias("xmax")]
+    out = [F.count(x).alias("n"), _times((x + spec.shift if spec.log_policy == "shift" else x) > 0).alias("n_pos"), F.min(x).alias("xmin"), F.max(x).alias("xmax")]
+    if spec.split:
+        out += [_times(x < 0).alias("n_neg"), F.min(F.when(x > 0, x)).alias("pmin"), F.max(F.when(x < 0, x)).alias("nmax")]
     for family, base in ((spec.s, x), (spec.l, _log(x, spec)), (spec.neg, F.when(x < 0, F.ln(-x)))):
         power = base
         for name in family:
@@ -62,6 +77,11 @@ def accumulate(x: Column, spec: SummarySpec = SummarySpec()) -> list[Column]:
     return out
 
 
+def _times(condition: Column) -> Column:
+    """Rows for which the condition holds. (count_if names a common expression anew for every use, which keeps equal exchanges from being reused.)"""
+    return F.count(F.when(condition, F.lit(1)))
+
+
 def _log(x: Column, spec: SummarySpec) -> Column:
     y = x + F.lit(spec.shift) if spec.log_policy == "shift" else x
     return F.when(y > 0, F.ln(y))
@@ -69,8 +89,8 @@ def _log(x: Column, spec: SummarySpec) -> Column:
 
 def merge(spec: SummarySpec = SummarySpec()) -> list[Column]:
     """Aggregate expressions that merge summary rows: additions and two comparisons."""
-    add = lambda c: F.coalesce(F.sum(c), F.lit(0 if c.startswith("n") else 0.0)).alias(c)
-    return [add("n"), add("n_pos"), F.min("xmin").alias("xmin"), F.max("xmax").alias("xmax"), *[add(c) for c in [*spec.s, *spec.l, *spec.neg]]]
+    add = lambda c: F.coalesce(F.sum(c), F.lit(0 if c.startswith("n") else 0.0))
+    return [(F.min(c) if c in _LEAST else F.max(c) if c in _MOST else add(c)).alias(c) for c in spec.columns]
 
 
 def summarise(df: DataFrame, x: Column, by: list = (), spec: SummarySpec = SummarySpec()) -> DataFrame:
@@ -83,26 +103,36 @@ def merge_groups(cells: DataFrame, by: list = (), spec: SummarySpec = SummarySpe
 
 
 def empty(spec: SummarySpec = SummarySpec()) -> list[Column]:
-    zero = lambda c: F.lit(0).cast("long") if c in ("n", "n_pos") else F.lit(None).cast("double") if c in ("xmin", "xmax") else F.lit(0.0)
+    zero = lambda c: F.lit(0).cast("long") if c in ("n", "n_pos", "n_neg") else F.lit(None).cast("double") if c in (*_LEAST, *_MOST) else F.lit(0.0)
     return [zero(c).alias(c) for c in spec.columns]
 
 
 def as_struct(spec: SummarySpec = SummarySpec()) -> Column:
     """The columns of a summary as one struct, for functions that take a whole state. Absent families are empty arrays."""
     arr = lambda names: F.array(*map(F.col, names)) if names else F.array().cast("array<double>")
-    return F.struct(F.col("n").alias("n"), F.col("n_pos").alias("n_pos"), F.col("xmin").alias("xmin"), F.col("xmax").alias("xmax"), arr(spec.s).alias("s"), arr(spec.l).alias("l"))
+    own = lambda c, kind: (F.col(c) if c in spec.split else F.lit(None)).cast(kind).alias(c)
+    shift = F.lit(float(spec.shift) if spec.log_policy == "shift" else 0.0).alias("shift")
+    return F.struct(
+        F.col("n").alias("n"), F.col("n_pos").alias("n_pos"), F.col("xmin").alias("xmin"), F.col("xmax").alias("xmax"), arr(spec.s).alias("s"), arr(spec.l).alias("l"),
+        shift, own("n_neg", "long"), own("pmin", "double"), own("nmax", "double"), arr(spec.neg).alias("m"))
 
 
 def merge_pair(a: Column, b: Column) -> Column:
-    """Merge of two states held in one row."""
-    add = lambda f: F.zip_with(a[f], b[f], lambda x, y: x + y).alias(f)
-    return F.struct((a["n"] + b["n"]).alias("n"), (a["n_pos"] + b["n_pos"]).alias("n_pos"), F.least(a["xmin"], b["xmin"]).alias("xmin"), F.greatest(a["xmax"], b["xmax"]).alias("xmax"), add("s"), add("l"))
+    """Merge of two states held in one row; NULL if both are, else a NULL state is the neutral element. Logs of different shifts don't add up: they go."""
+    add = lambda f: F.zip_with(a[f], b[f], lambda x, y: x + y)
+    logs = lambda f: F.when(a["shift"] == b["shift"], add(f)).otherwise(F.array().cast("array<double>"))
+    both = F.struct(
+        (a["n"] + b["n"]).alias("n"), (a["n_pos"] + b["n_pos"]).alias("n_pos"), F.least(a["xmin"], b["xmin"]).alias("xmin"), F.greatest(a["xmax"], b["xmax"]).alias("xmax"),
+        add("s").alias("s"), logs("l").alias("l"), a["shift"].alias("shift"), (a["n_neg"] + b["n_neg"]).alias("n_neg"), F.least(a["pmin"], b["pmin"]).alias("pmin"), F.greatest(a["nmax"], b["nmax"]).alias("nmax"), add("m").alias("m"))
+    return F.when(a.isNull(), b).when(b.isNull(), a).otherwise(both)
 
 
 def subtract_pair(a: Column, b: Column, xmin: Column, xmax: Column) -> Column:
-    """a without b: sums are taken off; extremes can't be undone and come from the caller."""
+    """a without b: sums are taken off; extremes can't be undone and come from the caller (inner ends of a split stay a's, which hold what is left)."""
     less = lambda f: F.zip_with(a[f], b[f], lambda x, y: x - y).alias(f)
-    return F.struct((a["n"] - b["n"]).alias("n"), (a["n_pos"] - b["n_pos"]).alias("n_pos"), xmin.alias("xmin"), xmax.alias("xmax"), less("s"), less("l"))
+    return F.struct(
+        (a["n"] - b["n"]).alias("n"), (a["n_pos"] - b["n_pos"]).alias("n_pos"), xmin.alias("xmin"), xmax.alias("xmax"), less("s"), less("l"),
+        a["shift"].alias("shift"), (a["n_neg"] - b["n_neg"]).alias("n_neg"), a["pmin"].alias("pmin"), a["nmax"].alias("nmax"), less("m"))
 
 
 def means(spec: SummarySpec = SummarySpec()) -> list[Column]:
@@ -111,8 +141,8 @@ def means(spec: SummarySpec = SummarySpec()) -> list[Column]:
 
 
 def nbytes(spec: SummarySpec = SummarySpec()) -> int:
-    """Theoretical size: order sums of each family kept, count and extremes, eight bytes each."""
-    return 8 * (len(spec.s) + len(spec.l) + 3)
+    """Theoretical size: order sums of each family kept, count and extremes (and what a split needs), eight bytes each."""
+    return 8 * (len(spec.s) + len(spec.l) + len(spec.neg) + len(spec.split) + 3)
 
 
 def roots(spec: SummarySpec = SummarySpec(), digits: int = 4) -> list[Column]:
@@ -125,18 +155,24 @@ def roots(spec: SummarySpec = SummarySpec(), digits: int = 4) -> list[Column]:
     return out
 
 
+_HEAD = "<BBBBqqdddqdd"
+
+
 def pack(state) -> bytes:
-    """Little-endian interchange form: version, orders, counts, extremes, sums."""
-    s, l = list(state["s"]), list(state["l"])
-    lo = float("nan") if state["xmin"] is None else state["xmin"]
-    hi = float("nan") if state["xmax"] is None else state["xmax"]
-    return struct.pack(f"<BBBqqdd{len(s)}d{len(l)}d", 1, len(s), len(l), state["n"], state["n_pos"], lo, hi, *s, *l)
+    """Little-endian interchange form: version, orders of the three families, counts, extremes, shift, the split's count and ends, sums."""
+    fields = state.asDict() if hasattr(state, "asDict") else dict(state)
+    s, l, m = (list(fields.get(f) or []) for f in ("s", "l", "m"))
+    real = lambda c: float("nan") if fields.get(c) is None else fields[c]
+    n_neg = -1 if fields.get("n_neg") is None else fields["n_neg"]
+    return struct.pack(f"{_HEAD}{len(s) + len(l) + len(m)}d", 2, len(s), len(l), len(m), fields["n"], fields["n_pos"], real("xmin"), real("xmax"), fields.get("shift") or 0.0, n_neg, real("pmin"), real("nmax"), *s, *l, *m)
 
 
 def unpack(data: bytes) -> dict:
-    version, k, m = struct.unpack_from("<BBB", data)
-    if version != 1:
+    version, k, q, r, n, n_pos, lo, hi, shift, n_neg, pmin, nmax = struct.unpack_from(_HEAD, data)
+    if version != 2:
         raise ValueError(f"unknown version {version}")
-    n, n_pos, lo, hi, *rest = struct.unpack_from(f"<qqdd{k + m}d", data, 3)
+    rest = list(struct.unpack_from(f"<{k + q + r}d", data, struct.calcsize(_HEAD)))
     gone = lambda v: None if v != v else v
-    return {"n": n, "n_pos": n_pos, "xmin": gone(lo), "xmax": gone(hi), "s": rest[:k], "l": rest[k:]}
+    return {
+        "n": n, "n_pos": n_pos, "xmin": gone(lo), "xmax": gone(hi), "s": rest[:k], "l": rest[k : k + q], "shift": shift,
+        "n_neg": None if n_neg < 0 else n_neg, "pmin": gone(pmin), "nmax": gone(nmax), "m": rest[k + q :]}

@@ -30,6 +30,11 @@ def state(x, k=10):
     return len(x), len(b), x.min(), x.max(), [float((x**i).sum()) for i in range(1, k + 1)], [float((np.log(b) ** i).sum()) for i in range(1, k + 1)]
 
 
+def rows(s, n):
+    """The same state n times, as arrays."""
+    return [np.array([v] * n) for v in s]
+
+
 def test_condition_number_example():
     assert abs(moments.chebyshev_condition(8) - 11.26) < 0.01
     assert moments.monomial_condition(8, 20, 100) > 1e25
@@ -107,16 +112,16 @@ ADVERSE = [RNG.exponential(50, 3000), RNG.normal(0, 1, 3000), np.arange(1.0, 11)
 
 @pytest.mark.parametrize("x", ADVERSE)
 def test_tight_bounds_hold_exact_ranks(x):
-    s = state(x)
-    for t in np.unique(np.concatenate([np.quantile(x, np.linspace(0.02, 0.98, 20)), [x.min(), x.max(), x.min() - 1, x.max() + 1]])):
-        lo, hi = bounds.principal_bounds(*s, t)
-        assert lo - 1e-12 <= (x < t).mean() <= hi + 1e-12
+    ts = np.unique(np.concatenate([np.quantile(x, np.linspace(0.02, 0.98, 20)), [x.min(), x.max(), x.min() - 1, x.max() + 1]]))
+    lo, hi = bounds.principal_bounds(*rows(state(x), len(ts)), ts)
+    share = (x[None, :] < ts[:, None]).mean(1)
+    assert (lo - 1e-12 <= share).all() and (share <= hi + 1e-12).all()
 
 
 def test_quantile_interval_holds_the_exact_item():
     x = np.sort(RNG.exponential(50, 2000))
-    s = state(x)
-    a, b = bounds.quantile_interval(lambda v: bounds.principal_bounds(*s, v), x[0], x[-1], 0.9)
+    s = rows(state(x), 1)
+    (a,), (b,) = bounds.quantile_interval(lambda v: bounds.principal_bounds(*s, v), x[:1], x[-1:], 0.9)
     assert a <= x[1800] <= b and b - a < x[-1]
 
 
@@ -153,10 +158,55 @@ def test_summary_merges_faster_than_sketches():
 
 def test_sizes_and_packing():
     assert nbytes(SummarySpec(3)) == 72 and nbytes(SummarySpec(10)) == 184
-    s = {"n": 3, "n_pos": 2, "xmin": None, "xmax": 2.5, "s": [1.0, 2.0], "l": [0.5]}
+    s = {"n": 3, "n_pos": 2, "xmin": None, "xmax": 2.5, "s": [1.0, 2.0], "l": [0.5], "shift": 7.5, "n_neg": None, "pmin": None, "nmax": None, "m": []}
+    assert unpack(pack(s)) == s
+    s |= {"shift": 0.0, "n_neg": 1, "pmin": 1.0, "nmax": -2.0, "m": [0.25]}
     assert unpack(pack(s)) == s
 
 
+def test_low_discrepancy_sketch_counts_like_bits():
+    """Level l is occupied exactly where bit l of n div 2k is set; sizes as published for tens of millions of values."""
+    impl = sketches.Merge12(32)
+    st = impl.build(RNG.uniform(size=64 * 37 + 11))
+    assert [x is not None for x in st[2]] == [bool(37 >> l & 1) for l in range(6)] and len(st[1]) == 11
+    both = impl.merge(st, impl.build(RNG.uniform(size=64 * 5 + 60)))
+    assert [x is not None for x in both[2]] == [bool(43 >> l & 1) for l in range(6)] and both[0] == 64 * 42 + 71
+    assert 32 + 8 * 32 * (2 + (81_000_000 // 64).bit_length()) == 5920
+
+
+def test_random_sketch_samples_as_it_grows():
+    impl = sketches.RandomBuffers(1 / 40)
+    x = RNG.exponential(50, 400_000)
+    st = impl.build(x)
+    assert st[3] > 0 and len(st[1]) <= impl.buffers and impl.nbytes(st) < 2 * 3375
+    assert abs(sum(len(b) * 2**l for l, b in st[1]) + len(st[2]) * 2 ** st[3] - len(x)) < 0.05 * len(x)
+    parts = impl.build(x[:1000])
+    for at in range(1000, len(x), 57_000):
+        parts = impl.merge(parts, impl.build(x[at : at + 57_000]))
+    for got in (st, parts):
+        assert got[0] == len(x) and eps(x, np.array([impl.quantile(got, p) for p in PHIS])) < 0.025
+
+
+def test_shifted_and_split_states():
+    """Logs of shifted values and of both signs are used as such: quantiles are close and bounds hold exact ranks."""
+    x = np.exp(np.arange(10_000) / 1000)
+    for shift in (0.0, 1000.0):
+        l = [float((np.log(x + shift) ** i).sum()) for i in range(1, 11)]
+        b = maxent.Batch.of([len(x)], [len(x)], [x.min()], [x.max()], [[float((x**i).sum()) for i in range(1, 11)]], [l], shift=[shift])
+        q, _ = maxent.quantiles(b, [0.5])
+        assert abs((x < q[0, 0]).mean() - 0.5) < (0.005 if shift == 0 else 0.05)
+        lo, hi = bounds.principal_bounds([len(x)], [len(x)], [x.min()], [x.max()], np.zeros((1, 0)), [l], [148.0], shift=[shift])
+        assert lo[0] <= (x < 148).mean() <= hi[0]
+    x = np.concatenate([-np.exp(RNG.normal(1, 2, 4000)), np.zeros(500), np.exp(RNG.normal(3, 1, 6000))])
+    p, m = x[x > 0], -x[x < 0]
+    sums = lambda v: [[float((np.log(v) ** i).sum()) for i in range(1, 11)]]
+    b = maxent.Batch.of([len(x)], [len(p)], [x.min()], [x.max()], [[float((x**i).sum()) for i in range(1, 11)]], sums(p), n_neg=[len(m)], pmin=[p.min()], nmax=[-m.min()], m=sums(m))
+    q, fits = maxent.quantiles(b, PHIS)
+    assert fits[0].status == "split"
+    err = [max(max(0.0, (x < v).mean() - p_), max(0.0, p_ - (x <= v).mean())) for v, p_ in zip(q[0], PHIS)]
+    assert max(err) < 0.02
+
+
 def test_dyadic_cover_tiles_ranges():
     for a in range(0, 40):
         for b in range(a, 70):
