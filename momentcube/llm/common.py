@@ -18,22 +18,43 @@ _own_folder: list[str] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (tests)."""
+    """The folder that driver and executors share. A temporary one only in local mode (tests), where both are one process; elsewhere it must be named."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _own_folder:
         _own_folder.append(tempfile.mkdtemp(prefix="llm-work-"))
         atexit.register(shutil.rmtree, _own_folder[0], ignore_errors=True)
     return f"file://{_own_folder[0]}"
 
 
+def _hadoop(spark: SparkSession, path: str):
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()), at
+
+
 def materialize(df: DataFrame) -> DataFrame:
-    """Write a table to the shared folder and read it back: cuts lineage and survives lost executors."""
+    """Write a table to the shared folder and read it back: cuts lineage and survives lost executors.
+
+    Results are read lazily, so a table stays until the session's JVM ends, which deletes it; ``release`` deletes one that nothing reads any more.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/work-{uuid.uuid4().hex}"
+    files, at = _hadoop(spark, path)
+    files.deleteOnExit(at)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._work_path = path
+    return out
+
+
+def release(df: DataFrame) -> None:
+    """Delete the files of a table that ``materialize`` returned and no later plan reads."""
+    files, at = _hadoop(df.sparkSession, df._work_path)
+    files.delete(at, True)
+    files.cancelDeleteOnExit(at)
 
 
 def held_out(doc_id: str = "doc_id"):
@@ -64,9 +85,9 @@ def give_back() -> None:
 def map_rows(df: DataFrame, add, fields: list[T.StructField], keep: list[str] | None = None) -> DataFrame:
     """Append columns computed by ``add(batch) -> dict of arrays`` to every row, batch by batch.
 
-    ``keep``: the columns that stay (None: all). A key ``__mask__`` in the dict drops rows.
+    ``keep``: the columns that stay (None: all); those named like an added column give way to it. A key ``__mask__`` in the dict drops rows.
     """
-    names = df.columns if keep is None else keep
+    names = [n for n in (df.columns if keep is None else keep) if n not in {f.name for f in fields}]
     schema = T.StructType([df.schema[n] for n in names] + fields)
     target = to_arrow_schema(schema)
 
@@ -142,8 +163,9 @@ def components(edges: DataFrame) -> DataFrame:
         pick = materialize(pick)
         picks.append(pick)
         a, b = pick.toDF("u", "a"), pick.toDF("v", "b")
-        e = e.join(a, "u").join(b, "v").where("a <> b")
+        old, e = e, e.join(a, "u").join(b, "v").where("a <> b")
         e = materialize(e.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).distinct())
+        release(old)
     if not picks:
         return edges.select(F.col("u").alias("node"), F.col("u").alias("root")).limit(0)
     done = picks[-1].toDF("node", "root")

@@ -4,7 +4,9 @@ Vectors that are null, zero, or hold null or non-finite components link with not
 and numbers of dimensions must be equal. Equal vectors of a label are one class with a count. Each row is a vector,
 so repeated rows count as other vectors. Bits a table: log2 of the number of classes, 12 at least; the number of tables follows
 from the recall asked at the threshold. Within a bucket all pairs are compared in blocks of double precision;
-a pair that meets in several tables counts in the first only.
+a pair that meets in several tables counts in the first only. Blocks get the vectors in the type they came in, and
+compute the signs of the tables before their own again: that is less than to ship them.
+Extra columns are not looked at; an empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -32,30 +34,35 @@ def _planes(dim: int, count: int, seed: int) -> np.ndarray:
 
 def near_duplicate_links(rows: DataFrame, threshold: float = 0.98, recall: float = 0.9995, seed: int = 7) -> DataFrame:
     """vec_id, n_links, component_id, kept for every row of ``rows(vec_id, embedding, label)``."""
-    base = materialize(rows.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"), "label"))
+    kind = rows.schema["embedding"].dataType
+    floats = isinstance(kind, T.ArrayType) and isinstance(kind.elementType, (T.FloatType, T.DoubleType))
+    base = materialize(rows.select("vec_id", (F.col("embedding") if floats else F.col("embedding").cast("array<double>")).alias("embedding"), "label"))
     ok = lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))
     valid = base.where(F.col("label").isNotNull() & F.col("embedding").isNotNull() & F.forall("embedding", ok) & F.exists("embedding", lambda x: x != 0))
     grouped = valid.groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("many"))
     classes = materialize(grouped.withColumn("node", F.struct("rep", F.xxhash64("label", "embedding").alias("h"))))
     bits, tables = table_plan(classes.count(), threshold, recall)
 
+    def signs(x, count):
+        """Keys of the first ``count`` tables for rows of one dimension. Rows are scaled, so that float and double sums agree on signs but for rounding, which costs recall at most."""
+        s = (x @ _planes(x.shape[1], bits * tables, seed)[:, : bits * count]) > 0
+        return s.reshape(len(x), count, bits) @ (1 << np.arange(bits, dtype=np.int64))
+
     def sign(batch):
         col = batch.column(batch.schema.get_field_index("embedding")).to_pylist()
         keys: list = [None] * len(col)
         for dim in {len(x) for x in col}:
             at = [i for i, x in enumerate(col) if len(x) == dim]
-            s = (np.array([col[i] for i in at]) @ _planes(dim, bits * tables, seed)) > 0
-            packed = s.reshape(len(at), tables, bits) @ (1 << np.arange(bits, dtype=np.int64))
-            for i, k in zip(at, packed):
+            for i, k in zip(at, signs(np.array([col[i] for i in at], dtype=np.float64), tables)):
                 keys[i] = k
         return {"keys": keys}
 
     signed = materialize(map_rows(classes, sign, [T.StructField("keys", T.ArrayType(T.LongType()))]))
     lists = signed.select("node", "label", F.size("embedding").alias("dim"), F.posexplode("keys").alias("tab", "key"))
     bucket = ["label", "dim", "tab", "key"]
-    cells = blocked(lists, bucket, ["node"]).join(signed.select("node", "embedding", "keys", "many"), "node")
+    cells = blocked(lists, bucket, ["node"]).join(signed.select("node", "embedding", "many"), "node")
     order = [*bucket, "ci", "cj"]
-    flat = cells.select(*order, F.col("node.rep").alias("rep"), F.col("node.h").alias("h"), "chunk", "embedding", "keys", "many").repartition(*order).sortWithinPartitions(*order)
+    flat = cells.select(*order, F.col("node.rep").alias("rep"), F.col("node.h").alias("h"), "chunk", "embedding", "many").repartition(*order).sortWithinPartitions(*order)
 
     def run(batches):
         for t in contiguous(batches, order):
@@ -64,7 +71,8 @@ def near_duplicate_links(rows: DataFrame, threshold: float = 0.98, recall: float
                 continue
             rep, h, many, chunk = (t.column(c).to_numpy() for c in ("rep", "h", "many", "chunk"))
             x = np.array(t.column("embedding").to_pylist(), dtype=np.float64)
-            keys = np.array(t.column("keys").to_pylist(), dtype=np.int64)
+            tab = t.column("tab")[0].as_py()
+            keys = signs(x, tab)
             scale = np.abs(x).max(axis=1, keepdims=True)
             x = x / scale
             x /= np.sqrt((x * x).sum(axis=1))[:, None]
@@ -73,7 +81,9 @@ def near_duplicate_links(rows: DataFrame, threshold: float = 0.98, recall: float
             if t.column("ci")[0].as_py() != t.column("cj")[0].as_py():
                 links &= chunk[:, None] != chunk[None, :]
             i, j = np.nonzero(links)
-            earlier = (keys[i, : t.column("tab")[0].as_py()] == keys[j, : t.column("tab")[0].as_py()]).any(axis=1)
+            earlier = np.zeros(len(i), dtype=bool)
+            for k in range(tab):
+                earlier |= keys[i, k] == keys[j, k]
             i, j = i[~earlier], j[~earlier]
             if not len(i):
                 continue

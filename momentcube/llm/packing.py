@@ -1,13 +1,13 @@
 """Best-fit packing of token sequences in bulk-synchronous rounds.
 
-Lengths are whole numbers up to the capacity, so documents and gaps sorted by size are runs: at most ``capacity`` runs
-of pieces, and a few thousand runs of sequences with equal gaps, whatever the number of rows. A round takes the longest
-run of pieces left and sweeps the gap runs for successors (the smallest gap that is large enough); within a run,
-conflicts are resolved by rank: the r-th piece takes the r-th sequence. Gaps are then updated and the next round
-starts. The rounds work on counts and give intervals (length, ranks) -> (sequences, offset) that the pieces join.
-This is best-fit decreasing on all rows. Only counts by length reach the driver (``capacity`` numbers).
-
-Null text counts as empty: one piece, the end token. A text longer than the capacity is cut; its first piece is the short one.
+Lengths are whole numbers up to the capacity, so documents and gaps sorted by size are runs of equal size, at most ``capacity`` runs of
+pieces whatever the number of rows. A round takes the longest run of pieces left and sweeps the gap runs for successors (the smallest gap
+that is large enough); within a run, conflicts are resolved by rank: the r-th piece takes the r-th sequence. Gaps are then updated and the
+next round starts. This is best-fit decreasing on all rows. The sweeps work on counts by length (``capacity`` numbers reach the driver) and
+give intervals (length, ranks) -> (sequences, offset); ranks of rows and their places are distributed.
+
+Null text counts as empty: one piece, the end token. A text longer than the capacity is cut; its first piece is the short one. Repeated rows
+are packed each; an empty table gives an empty table; other columns than doc_id and text are not looked at.
 """
 
 from __future__ import annotations
@@ -23,7 +23,9 @@ from pyspark.sql import DataFrame, functions as F, types as T
 from .common import bound_batches, give_back, materialize
 
 END = 2
-_STABLE = "֐"
+#: Below this code point (the first of the right-to-left scripts) both libraries' tables of letters, digits and spaces are equal, which a test
+#: tries for every one of them; above it they follow different versions of Unicode.
+SAME_TABLES_BELOW = "\u0590"
 
 
 @lru_cache(maxsize=2)
@@ -49,9 +51,12 @@ def default_tokenizer() -> tuple[str, str]:
 
 
 def token_ids(text: str, paths: tuple[str, str]) -> np.ndarray:
-    """Ids of the JSON tokenizer. Below U+0590 the same vocabulary as ranks gives the same ids several times faster."""
+    """Ids of the JSON tokenizer; strings of special tokens in a text are text, as the vocabularies' description has it.
+
+    Where the tables of both libraries are equal, the same vocabulary as ranks gives the same ids several times faster.
+    """
     full, fast = _encoders(*paths)
-    if not text or text.isascii() or max(text) < _STABLE:
+    if not text or text.isascii() or max(text) < SAME_TABLES_BELOW:
         return np.array(fast.encode_ordinary(text), dtype=np.uint32)
     return np.array(full.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
 
@@ -139,13 +144,13 @@ def pack(parts: DataFrame, capacity: int = 1024, per_salt: int = 20_000) -> Data
     plan = best_fit_rounds(counts, capacity)
     schema = "length long, rank0 long, used long, sequence0 long, offset long"
     rounds = spark.createDataFrame(plan, schema)
-    before = cells.selectExpr("length", "salt", "sum(many) over (partition by length order by salt rows between unbounded preceding and 1 preceding) as before").fillna(0, ["before"])
+    before = cells.selectExpr("length", "salt", "many", "coalesce(sum(many) over (partition by length order by salt rows between unbounded preceding and 1 preceding), 0) as before")
+    # a cell holds ranks in one stretch, so it meets few intervals: pieces join those of their own cell, not all of their length
+    meets = (F.col("rank0") < F.col("before") + F.col("many")) & (F.col("before") < F.col("rank0") + F.col("used"))
+    own = before.join(rounds, "length").where(meets).drop("many")
     ranked = salted.selectExpr("*", "row_number() over (partition by length, salt order by doc_id, piece, ids_crc32) - 1 as within")
-    ranked = ranked.join(F.broadcast(before) if salts * capacity <= 1_000_000 else before, ["length", "salt"]).withColumn("rank", F.col("before") + F.col("within"))
-    hit = (F.col("rank") >= F.col("rank0")) & (F.col("rank") < F.col("rank0") + F.col("used"))
-    # The plan's size is bounded by the capacity alone (see best_fit_rounds), so it is broadcast.
-    joined = ranked.join(F.broadcast(rounds.withColumnRenamed("length", "l2")), (F.col("length") == F.col("l2")) & hit)
-    return joined.withColumn("sequence_id", F.col("sequence0") + F.col("rank") - F.col("rank0")).drop("salt", "before", "within", "rank", "l2", "rank0", "used", "sequence0")
+    joined = ranked.join(own, ["length", "salt"]).withColumn("rank", F.col("before") + F.col("within")).where((F.col("rank") >= F.col("rank0")) & (F.col("rank") < F.col("rank0") + F.col("used")))
+    return joined.withColumn("sequence_id", F.col("sequence0") + F.col("rank") - F.col("rank0")).drop("salt", "before", "within", "rank", "rank0", "used", "sequence0")
 
 
 def pack_documents(docs: DataFrame, capacity: int = 1024, tokenizer: tuple[str, str] | None = None) -> DataFrame:

@@ -5,9 +5,10 @@ into buckets; a document is the average of its
 buckets' learned vectors; a softmax layer follows; both are trained by stochastic gradient descent. The output is linear in the
 average, so scoring needs one number for each bucket: a gather and a mean.
 
-Fitting reads a bounded sample: of the labelled rows that may be learned from, the ``sample_rows`` with the least hash of their id,
-texts of at most ``sample_chars`` characters. Scoring reads every text whole. Null and empty texts get the average score of
-no evidence (the bias alone); without any labels all scores are 0.5.
+Fitting reads a bounded sample: of the labelled rows that may be learned from, those with the least hash of their id, ``SAMPLE_ROWS`` rows and
+``SAMPLE_BYTES`` of text at most; no row is left out for its length alone. Scoring reads every text whole. Null and empty texts get the average
+score of no evidence (the bias alone); without any labels all scores are 0.5. Repeated rows are scored each; an empty table gives an empty
+table; kept columns named like a result give way to it.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from .common import held_out, map_rows, texts
 
-BUCKET_BITS, DIM, SAMPLE_ROWS, SAMPLE_CHARS, EPOCHS, RATE = 17, 12, 4000, 65_536, 8, 2.0
+BUCKET_BITS, DIM, SAMPLE_ROWS, SAMPLE_BYTES, EPOCHS, RATE = 17, 12, 4000, 48 << 20, 8, 2.0
 REPEATS = 12_345
 
 
@@ -103,17 +104,32 @@ def score(text: str, weights: np.ndarray, bias: float) -> float:
     return float(1 / (1 + np.exp(-np.clip(z, -50, 50))))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, rows: int, chars: int) -> list[tuple[str, int]]:
-    """At most ``rows`` texts and labels from rows that may be learned from: the bound on what the driver gathers."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, rows: int, most_bytes: int) -> list[tuple[str, int]]:
+    """Texts and labels from rows that may be learned from: the first by hash of their id, ``rows`` rows and ``most_bytes`` of text at most (one row at least).
+
+    Sizes are looked at before any text: the longest start of the order that fits is fetched, long texts like short ones.
+    """
     may = labels.where(F.col(column).isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).select(F.col("doc_id").alias("__id"), F.col(column).cast("int").alias("__y"))
     chosen = may.orderBy(F.xxhash64("__id"), "__id").limit(rows)
-    found = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("__id")).where(F.length(F.coalesce("text", F.lit(""))) <= chars)
-    got = found.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "__y").orderBy(F.xxhash64("doc_id"), "doc_id", "text").limit(rows).collect()
+    found = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), F.col("doc_id") == F.col("__id"))
+    order = ("__h", "doc_id", "__t")
+    keyed = found.withColumn("__h", F.xxhash64("doc_id")).withColumn("__t", F.xxhash64("text"))
+    sizes = keyed.select(*order, F.octet_length("text").alias("size")).orderBy(*order).limit(rows)
+    total, last = 0, None
+    for r in sizes.collect():
+        total += r["size"]
+        if last is not None and total > most_bytes:
+            break
+        last = (r["__h"], r["doc_id"], r["__t"])
+    if last is None:
+        return []
+    upto = F.struct(*order) <= F.struct(*[F.lit(v).cast(keyed.schema[c].dataType) for c, v in zip(order, last)])
+    got = keyed.where(upto).select(*order, "text", "__y").orderBy(*order).limit(rows).collect()
     return [(r["text"], r["__y"]) for r in got]
 
 
 def fit(docs: DataFrame, labels: DataFrame, column: str = "quality") -> tuple[np.ndarray, float]:
-    return train(labelled_sample(docs, labels, column, SAMPLE_ROWS, SAMPLE_CHARS))
+    return train(labelled_sample(docs, labels, column, SAMPLE_ROWS, SAMPLE_BYTES))
 
 
 def scored(docs: DataFrame, model: tuple[np.ndarray, float], keep: list[str], threshold: float = 0.3, prefix: str = "", only_good: bool = False) -> DataFrame:

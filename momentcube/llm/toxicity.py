@@ -8,6 +8,7 @@
 * Classifier: logistic regression on the presence of words and word beginnings, trained on posterior labels; it scores every whole text.
 
 The sample is bounded as in quality_model. Null and empty texts get the bias; without labels all scores are 0.5 minus a hair, and predicted is 0.
+Repeated rows are scored each; an empty table gives an empty table; kept columns named like a result give way to it.
 """
 
 from __future__ import annotations
@@ -19,9 +20,9 @@ import numpy as np
 from pyspark.sql import DataFrame, types as T
 
 from .common import map_rows, texts
-from .quality_model import labelled_sample
+from .quality_model import SAMPLE_BYTES, labelled_sample
 
-SAMPLE_ROWS, SAMPLE_CHARS, VOTERS, FEATURES, LEAST_SCORE, PURITY = 4000, 65_536, 60, 800, 4.5, 0.55
+SAMPLE_ROWS, VOTERS, FEATURES, LEAST_SCORE, PURITY = 4000, 60, 800, 4.5, 0.55
 _WORD = re.compile(r"\w+")
 STEMS = (3, 4, 5, 6)
 
@@ -144,7 +145,7 @@ def score(text: str, weights: dict[str, float], bias: float) -> float:
 
 
 def fit(docs: DataFrame, labels: DataFrame, column: str = "toxic") -> tuple[dict[str, float], float]:
-    return train(labelled_sample(docs, labels, column, SAMPLE_ROWS, SAMPLE_CHARS))
+    return train(labelled_sample(docs, labels, column, SAMPLE_ROWS, SAMPLE_BYTES))
 
 
 def scored(docs: DataFrame, model: tuple[dict[str, float], float], keep: list[str], threshold: float = 0.5) -> DataFrame:

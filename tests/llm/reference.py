@@ -39,6 +39,62 @@ def span_string(spans: dict[str, list[tuple[int, int]]]) -> str:
     return ",".join(f"{k}:{a}:{b}" for k, v in spans.items() for a, b in v)
 
 
+def words_of(text: str) -> set[str]:
+    import regex
+
+    return {w.lower() for w in regex.findall(r"\p{L}{3,}", EMAIL.sub(" ", text))}
+
+
+def sanitised(texts: list[str | None], generalise_at: float = 0.8, remove_at: float = 0.9, support: int = 5) -> dict[str, tuple[list, str | None]]:
+    """text -> (spans of terms, clean text or None) by counting everything in plain loops."""
+    import math
+
+    import regex
+
+    texts = [t or "" for t in texts]
+    n, rows = len(texts), Counter(texts)
+    spans = {t: base_spans(t) for t in rows}
+    units = {t: {k for k, v in spans[t].items() if v} | {(k, t[a:b]) for k, v in spans[t].items() for a, b in v} for t in rows}
+    df = Counter(w for t, m in rows.items() for w in words_of(t) for _ in range(m))
+    nc, held = Counter(), defaultdict(set)
+    for t in rows:
+        for u in units[t]:
+            nc[u] += rows[t]
+            held[u].add(t)
+    level: dict = {}
+    for u, own in held.items():
+        if len(own) < support:
+            continue
+        beside = Counter(w for t in own for w in words_of(t))
+        for w, different in beside.items():
+            together = sum(rows[t] for t in own if w in words_of(t))
+            pmi, ic = math.log2(n * together / (nc[u] * df[w])), math.log2(n / nc[u])
+            if different >= support and ic > 0 and pmi >= generalise_at * ic:
+                level[(w, u)] = 2 if pmi >= remove_at * ic else 1
+    flagged = {w for w, _ in level}
+
+    def new(w, lv):
+        fit = [w[:k] for k in range(3, len(w)) if w[:k] in df and w[:k] not in flagged and df[w[:k]] >= 2 * df[w]]
+        return "" if lv == 2 else (fit[-1] if fit else "[TERM]")
+
+    out = {}
+    for t in rows:
+        mine = {}
+        for (w, u), lv in level.items():
+            if u in units[t] or lv == 2:
+                mine[w] = max(mine.get(w, 0), lv)
+        base = sorted((a, b, f"[{k.upper()}]") for k, v in spans[t].items() for a, b in v)
+        terms = [(m.start(), m.end(), new(m[0].lower(), mine[m[0].lower()])) for m in regex.finditer(r"\p{L}{3,}", t) if m[0].lower() in mine]
+        terms = [x for x in terms if not any(a < x[1] and x[0] < b for a, b, _ in base)]
+        clean, at = "", 0
+        for a, b, tag in sorted(base + terms):
+            if a >= at:
+                clean += t[at:a] + tag
+            at = max(at, b)
+        out[t] = ([x[:2] for x in terms], clean + t[at:] if base or terms else None)
+    return out
+
+
 def sha(text: str | bytes) -> str:
     return hashlib.sha256(text.encode() if isinstance(text, str) else text).hexdigest()
 

@@ -55,37 +55,94 @@ def test_pii_base(which, request):
         assert r["spans"] == base or r["spans"].startswith(base)
 
 
+def _sanitised(spark, rows, **how):
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = pii.sanitise(docs, **how).collect()
+    want = ref.sanitised([t for _, t in rows], **how)
+    assert len(got) == len(rows)
+    for r in got:
+        terms, clean = want[r["__row"]["text"] or ""]
+        assert [(s["start"], s["end"]) for s in r["__term"]] == terms, r["__row"]["text"]
+        assert r["__clean"] == clean, (r["__row"]["text"], r["__clean"], clean)
+    return {r["__row"]["doc_id"]: r["__clean"] for r in got}
+
+
 def test_pii_terms(spark):
-    """A term seen only beside e-mail addresses goes; one seen everywhere stays; copies are no evidence."""
+    """A term seen only beside e-mail addresses goes; one seen everywhere stays; copies are no evidence. Every row equals a brute-force version."""
     rows = [(i, f"contact Zorblax at user{i}@mail.com please") for i in range(8)] + [(100 + i, "contact nobody please, plain prose") for i in range(60)]
-    rows += [(300 + i, "quibble with copy@mail.com always") for i in range(20)]
-    s = pii.sanitise(spark.createDataFrame(rows, "doc_id long, text string")).collect()
-    clean = {r["__row"]["doc_id"]: r["__clean"] for r in s}
+    rows += [(300 + i, "quibble with copy@mail.com always") for i in range(20)] + [(400, None), (401, "")]
+    clean = _sanitised(spark, rows)
     assert clean[0] == "contact  at [EMAIL] please" and clean[100] is None and clean[300] == "quibble with [EMAIL] always"
-    assert {len(r["__term"]) for r in s if r["__row"]["doc_id"] < 8} == {1}
     out = {r["doc_id"]: r["text"] for r in pii.sanitise_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert len(out) == len(rows) and out[100] == rows[8][1] and out[0] == clean[0]
 
 
 def test_pii_terms_beside_one_address(spark):
-    """A term in many different texts beside one and the same address goes as well."""
+    """A term in many different texts beside one and the same address goes as well, also from a text without the address."""
     words = ("amber", "birch", "cedar", "delta", "ember", "fjord", "grove", "heath")
-    rows = [(i, f"project Zorblax {w} via hot@mail.com please") for i, w in enumerate(words)] + [(100 + i, f"project nobody {w} via please plain prose") for i in range(60) for w in (words[i % 8],)]
-    clean = {r["__row"]["doc_id"]: r["__clean"] for r in pii.sanitise(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert clean[0] == "project  amber via [EMAIL] please" and clean[100] is None
+    rows = [(i, f"project Zorblax {w} via hot@mail.com please") for i, w in enumerate(words)] + [(100 + i, f"project nobody {w} via please plain prose") for i in range(160) for w in (words[i % 8],)]
+    rows += [(100_000 + i, f"user{i}@mail.com wrote") for i in range(60)] + [(500, "but Zorblax alone")]
+    clean = _sanitised(spark, rows)
+    assert clean[0] == "project  amber via [EMAIL] please" and clean[100] is None and clean[500] == "but  alone"
+
+
+def test_pii_terms_named_like_tags(spark):
+    """Disclosing words that also occur in tags leave the tags alone; overlaps and words inside entities are settled by position."""
+    rows = [(i, f"my phone Email is +49 30 12345{i}7 or mail card term to: term{i}@x{i}.de (IP {i}.1.1.1) éabc{i}@y.de") for i in range(9)]
+    rows += [(50 + i, "my other is or to: plain prose") for i in range(80)]
+    clean = _sanitised(spark, rows)
+    assert clean[0].count("[EMAIL]") == 2 and "[PHONE]" in clean[0] and "[IP]" in clean[0] and " phone " not in clean[0]
+
+
+def test_pii_generalises_to_a_broader_term(spark):
+    """Between both thresholds a term becomes its longest beginning that the corpus holds more often and that discloses nothing."""
+    rows = [(i, f"the zorblaxian of user{i}@mail.com and {i}") for i in range(10)] + [(100 + i, "the zorblaxian alone") for i in range(3)]
+    rows += [(200 + i, "the zorblax and the zor") for i in range(40)] + [(300 + i, "the prose") for i in range(600)]
+    clean = _sanitised(spark, rows, generalise_at=0.8, remove_at=0.97)
+    assert clean[0] == "the zorblax of [EMAIL] and 0" and clean[100] is None
+
+
+def test_pii_many_matches_in_one_text(spark):
+    """Tens of thousands of addresses in one text: same spans and clean text as brute force, in time that grows with their number."""
+    text = " ".join(f"u{i}@m{i % 7}.com é" for i in range(30_000))
+    got = pii.sanitise(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    assert [(s["start"], s["end"]) for s in got["__email"]] == ref.base_spans(text)["email"]
+    assert got["__clean"] == " ".join(["[EMAIL] é"] * 30_000)
 
 
 def test_urls_both_plans(spark):
     seen = ["http://a.example.com/en/7", "http://example.com/en/75?x#y", "HTTPS://WWW.Example.COM/en/8", "x://net/de/", "x://a.net/de/8", "x://example.net/de/8/", "y://de/net/de/", "ftp://org/es/1", "://org", "org/es/", None, "", "http://com:80/en/", "http://spam.example.fr/", "http://x.fr/my-pills.html", "http://x.fr/ad/1", "http://spamx.fr/", "a://b://c/d", "http://notexample.com/en/7", "http://x.fr/free-download"]
-    pages = spark.createDataFrame([(i, u, "keep", "clash") for i, u in enumerate(seen + seen[:2])], "page_id long, url string, target string, verdict string").select("page_id", "url")
+    pages = spark.createDataFrame([(i, u, "keep", "clash") for i, u in enumerate(seen + seen[:2])], "page_id long, url string, target string, verdict string")
     a = urls.judge(pages, inline=True).orderBy("page_id").collect()
     assert a == urls.judge(pages, inline=False).orderBy("page_id").collect()
     want = [("example.com/en/7", "allow"), ("example.com/en/7", "allow"), ("com/en/", "block"), ("net/de/", "allow"), ("net/de/", "allow"), ("example.net/de/8", "block"), (None, "allow"), ("org/es/", "block"), (None, "allow"), (None, "allow"), (None, "allow"), (None, "allow"), (None, "allow"), (None, "block"), (None, "block"), (None, "block"), (None, "allow"), (None, "allow"), ("com/en/", "block"), (None, "block")]
     assert [(r["rule"], r["verdict"]) for r in a[: len(want)]] == want
     assert (a[2]["host"], a[2]["path"], a[17]["host"], a[17]["path"]) == ("www.example.com", "/en/8", "b:", "//c/d")
+    assert all(r["target"] == "keep" and r["verdict"] != "clash" for r in a) and urls.judge(pages).columns == ["page_id", "url", "target", "host", "path", "rule", "verdict"]
     assert urls.judge(pages.limit(0)).count() == 0
 
 
+def test_urls_with_a_long_rule_list(spark):
+    """Thousands of parsed rules: the join plan gives what trying every rule on every URL gives; no rule is without a key."""
+    import random
+    import re
+
+    rng = random.Random(4)
+    hosts = [f"site{i}.{rng.choice(('com', 'net', 'co.uk'))}" for i in range(1500)]
+    lines = ["! a list", "[header]"] + [f"||{h}/p{i % 5}" for i, h in enumerate(hosts)] + [f"@@||www.{h}/p{i % 5}/ok^$document" for i, h in enumerate(hosts[::3])] + [f"bad{i}" for i in range(300)]
+    rules = urls.parse_rules(lines)
+    assert len(rules) == 2300 and all(r.alternatives for r in rules + urls.PATTERN_RULES)
+    seen = [f"http://{rng.choice(('', 'www.', 'a.'))}{rng.choice(hosts)}/p{rng.randrange(5)}/{rng.choice(('ok', 'x', f'bad{rng.randrange(400)}'))}" for _ in range(400)]
+    got = urls.judge(spark.createDataFrame(list(enumerate(seen)), "page_id long, url string"), rules).collect()
+    for r in got:
+        target = r["host"] + r["path"]
+        fits = [x for x in rules if re.search(x.pattern, target)]
+        best = max(fits, key=lambda x: (x.tier, len(x.name), x.name, x.action), default=None)
+        assert r["verdict"] == (best.action if best else "allow") and r["rule"] == (best.name if best and best.tier else None)
+    with pytest.raises(ValueError):
+        urls.parse_rules(["##.banner"])
+
+
 @pytest.mark.parametrize("which", ["documents", "awkward"])
 def test_simhash(which, request):
     docs = request.getfixturevalue(which)
@@ -231,6 +288,40 @@ def test_sharding(documents, awkward, empty):
     assert sharding.shard_rows(empty).count() == 0
 
 
+def test_sharding_is_uniform_for_equal_rows_and_follows_the_matrix(spark):
+    """Hundreds of equal rows spread over shards and slots like any; the cuts of a replay from the same matrix give the same shards."""
+    import xxhash
+
+    rows = [(7, "same")] * 800 + [(i, f"text {i}") for i in range(1000, 4200)]
+    got = sharding.shard_rows(spark.createDataFrame(rows, "doc_id long, text string").repartition(5), per_partition=700).collect()
+    same = [r for r in got if r["doc_id"] == 7]
+    by = Counter(r["shard"] for r in same)
+    assert sum((by[s] - 50) ** 2 / 50 for s in range(16)) < 45  # chi-square, 15 degrees of freedom
+    halves = Counter(r["slot"] * 4 // 250 for r in same)
+    assert sum((halves[q] - 200) ** 2 / 200 for q in range(4)) < 25
+
+    def spark_hash(*values):
+        h = 42
+        for v in values:
+            h = xxhash.xxh64_intdigest((v % 2**64).to_bytes(8, "little") if not isinstance(v, np.int32) else int(v).to_bytes(4, "little", signed=True), h)
+        return h - 2**64 if h >= 2**63 else h
+
+    seed, parts = 11, -(-4000 // 700)
+    count, keyed = Counter(), []
+    for i, t in rows:
+        crc, size = zlib.crc32(t.encode()), len(t) + 1
+        h = spark_hash(np.int32(seed), i, crc, size)
+        keyed.append((spark_hash(np.int32(seed + 3), h, count[h]), i))
+        count[h] += 1
+    matrix = sharding.communication_matrix([sum(h % parts == p for h, _ in keyed) for p in range(parts)], 16, seed)
+    want = Counter()
+    for p in range(parts):
+        own = sorted((spark_hash(np.int32(seed + 1), h), i) for h, i in keyed if h % parts == p)
+        for r, (_, i) in enumerate(own):
+            want[(i, int(np.searchsorted(np.cumsum(matrix[p]), r, side="right")))] += 1
+    assert want == Counter((r["doc_id"], r["shard"]) for r in got)
+
+
 def test_communication_matrix():
     m = np.array(sharding.communication_matrix([100, 0, 37, 5000], 16, 1))
     assert m.sum(1).tolist() == [100, 0, 37, 5000] and m.sum(0).max() - m.sum(0).min() <= 1
@@ -360,6 +451,89 @@ def test_quality_rules(which, request):
     assert quality_rules.keep_good(docs).count() == sum(r["kept"] for r in got)
 
 
+def test_quality_thresholds_follow_their_group(spark):
+    """The same share is usual in one group and far out in another; a group without a break in its tail loses nothing."""
+    word = lambda i: "".join(chr(97 + (i * k + k * k) % 26) for k in range(3, 9))
+    plain = lambda i, n: " ".join(word(i * 50 + k) for k in range(n))
+    shout = lambda i: plain(i, 20).upper()
+    rows = [(i, plain(i, 20), "en", "calm") for i in range(95)] + [(95 + i, shout(i), "en", "calm") for i in range(5)]
+    rows += [(200 + i, shout(i), "en", "loud") for i in range(100)]
+    rows += [(400 + i, plain(i, 20), "de", None) for i in range(40)] + [(500, shout(0), "xx", "alone")]
+    kept = {r["doc_id"]: r["kept"] for r in quality_rules.quality_report(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    assert not any(kept[95 + i] for i in range(5)) and all(kept[i] for i in range(95))
+    assert all(kept[200 + i] for i in range(100)) and all(kept[400 + i] for i in range(40)) and kept[500]
+
+
+def test_sampled_rows_are_not_chosen_by_length(spark):
+    """Long labelled texts are fitted like short ones; the bound on bytes cuts the order by hash, never a text."""
+    docs = spark.createDataFrame([(i, "x" * (200_000 if i % 2 else 20)) for i in range(60)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(60)], "doc_id long, quality int")
+    free = [i for i in range(60) if not ref.held(i)]
+    got = quality_model.labelled_sample(docs, labels, "quality", 4000, 1 << 30)
+    assert sorted(len(t) for t, _ in got) == sorted(200_000 if i % 2 else 20 for i in free)
+    some = quality_model.labelled_sample(docs, labels, "quality", 4000, 1_000_000)
+    assert some == got[: len(some)] and 0 < len(some) < len(got) and sum(len(t) for t, _ in some) <= 1_000_000
+    assert len(quality_model.labelled_sample(docs, labels, "quality", 4000, 1)) == 1
+
+
+def test_scores_are_averages_and_sums():
+    """The scores against a plain average of bucket weights and a plain logistic sum of term weights."""
+    rng = np.random.default_rng(6)
+    w = rng.normal(size=1 << quality_model.BUCKET_BITS).astype(np.float32)
+    text = "Ein Wort zwei zwei Wörter, drei"
+    ids = np.concatenate(list(quality_model.feature_chunks(text)))
+    assert abs(quality_model.score(text, w, 0.3) - 1 / (1 + np.exp(-(0.3 + w[ids].astype(float).mean())))) < 1e-9
+    weights = {"=zwei": 1.5, "^wör": -0.5, "=fehlt": 9.0}
+    assert abs(toxicity.score(text, weights, -0.2) - 1 / (1 + np.exp(-(-0.2 + 1.5 - 0.5)))) < 1e-12
+
+
+def test_rank_tokenizer_equals_json_tokenizer_below_the_bound():
+    """Every code point for which the faster library stands in, alone, in words, beside digits and spaces, and special strings."""
+    from tokenizers import Tokenizer
+
+    paths = packing.default_tokenizer()
+    full = Tokenizer.from_file(paths[0])
+    full.encode_special_tokens = True
+    texts = [f"a{chr(c)}b {chr(c)} 1{chr(c)}2 {chr(c)}{chr(c)}'s\n{chr(c)}\t {chr(c)}." for c in range(ord(packing.SAME_TABLES_BELOW))] + ["a <|endoftext|> b", "<|endoftext|>"]
+    for t in texts:
+        assert packing.token_ids(t, paths).tolist() == full.encode(t, add_special_tokens=False).ids, repr(t)
+
+
+def test_very_long_texts(spark):
+    """A text beyond a million characters and beyond the chunk of shingles goes through the operators whole."""
+    import tiktoken
+
+    rng = np.random.default_rng(12)
+    text = " ".join("".join(rng.choice(list("abcdeé"), 6)) for _ in range(170_000))
+    docs = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert len(text) > 1_150_000
+    path, pattern = bpe.default_vocabulary()
+    exact = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=bpe.codec(path, pattern).ranks, special_tokens={})
+    assert bpe.encode_digests(docs).first()["ids_sha256"] == ref.sha(np.array(exact.encode_ordinary(text), dtype="<u4").tobytes())
+    assert int(simhash.fingerprint_classes(docs).first()["fingerprint"], 16) == ref.fingerprint(text)
+
+
+def test_results_replace_columns_of_their_names(awkward, spark):
+    """Kept columns named like a result give way to it."""
+    model = quality_model.fit(awkward, spark.createDataFrame([(3, 1), (4, 0)], "doc_id long, quality int"))
+    got = quality_model.scored(awkward, model, awkward.columns)
+    assert got.columns.count("score") == 1 and got.where("score = 0.5").count() < len(AWKWARD)
+    assert bpe.encode_documents(awkward.withColumnRenamed("fp", "token_ids")).columns.count("token_ids") == 1
+
+
+def test_work_tables_need_a_shared_folder():
+    """On a cluster without a named folder nothing is written to a local one."""
+    class Session:
+        class conf:  # noqa: N801
+            get = staticmethod(lambda *a: None)
+
+        class sparkContext:  # noqa: N801
+            master = "spark://host:7077"
+
+    with pytest.raises(ValueError):
+        common.shared_folder(Session)
+
+
 def test_empty_tables(empty):
     assert pii.span_digests(empty).count() == 0
     assert simhash.fingerprint_classes(empty).count() == 0
