@@ -8,14 +8,14 @@ from __future__ import annotations
 
 from math import comb
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from .functions import bounds, estimators, moments
 from .functions.udfs import bounds_udf, cdf_udf, info_udf, interval_udf, quantiles_udf
 from .operators import baselines, cube, exact, query, window
 from .operators.ops import OPS
 from .sources.tables import load
-from .summary import SummarySpec, accumulate, as_struct, clean, merge_groups, merge_pair, roots, subtract_pair, summarise
+from .summary import SummarySpec, as_struct, merge_groups, merge_pair, roots, subtract_pair, summarise
 
 PHIS = [m / 1000 for m in exact.PHIS]
 _QUERIES: dict = {}
@@ -262,7 +262,7 @@ def _contract_sql(name: str) -> str:
 
 for _name in METRICS:
     query_key(_contract_sql(_name), f"est_maxent_{_name}")(_contract(_name, WITHIN.get(_name, 0.01)))
-for _solver, _limit in (("newton_romberg", 0.01), ("lbfgs", 0.01), ("gd", 0.02), ("grid_maxent", 0.01), ("grid_min_peak", 0.15), ("grid_svd", 0.1), ("moment_cdf", 0.2)):
+for _solver, _limit in (("cosine", 0.01), ("newton_romberg", 0.01), ("lbfgs", 0.01), ("gd", 0.02), ("grid_maxent", 0.01), ("grid_min_peak", 0.15), ("grid_svd", 0.1), ("moment_cdf", 0.2)):
     query_key(_contract_sql("embeddings"), f"est_{_solver}_embeddings")(_contract("embeddings", _limit, SummarySpec(6, log=False), _solver))
 
 
@@ -286,44 +286,6 @@ def est_cdf_curve(spark, sf):
     return s.join(below, ["event_type", "x"]).select("event_type", "x", F.round("share", 5).alias("share"), F.round("exact", 5).alias("exact"))
 
 
-@query_key("SELECT * FROM (VALUES ('cubed', TRUE), ('wide', TRUE)) t(metric, logs_help)")
-def ablate_log(spark, sf):
-    """At equal space, five moments of each family beat ten powers on long tails."""
-    out = None
-    for name in ("cubed", "wide"):
-        df = metric(spark, sf, name) if name == "wide" else load(spark, sf, "events").where("value > 0").select(F.expr("value * value * value").alias("x"))
-        s = summarise(df, F.col("x"), [], S10).withColumn("st", as_struct(S10))
-        both = exact.avg_error(df, F.col("x"), s.select(quantiles_udf(PHIS, max_k=5)("st").alias("q"))).select(F.col("eps_avg").alias("a"))
-        power = exact.avg_error(df, F.col("x"), s.select(quantiles_udf(PHIS, families=("power",))("st").alias("q"))).select(F.col("eps_avg").alias("b"))
-        row = both.crossJoin(power).select(F.lit(name).alias("metric"), (F.col("a") < F.col("b")).alias("logs_help"))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
-@query_key("SELECT * FROM (VALUES ('gaussian', TRUE), ('moment_cdf', TRUE), ('grid_min_peak', TRUE)) t(estimator, maxent_better)")
-def lesion_estimators(spark, sf):
-    """On the signed metric with ten moments, maximum entropy beats the other estimators by far."""
-    df = metric(spark, sf, "embeddings")
-    s = summarise(df, F.col("x"), [], SummarySpec(10, log=False)).withColumn("st", as_struct(SummarySpec(10, log=False)))
-    best = exact.avg_error(df, F.col("x"), s.select(quantiles_udf(PHIS)("st").alias("q"))).select(F.col("eps_avg").alias("a"))
-    out = None
-    for name in ("gaussian", "moment_cdf", "grid_min_peak"):
-        other = exact.avg_error(df, F.col("x"), s.select(quantiles_udf(PHIS, name)("st").alias("q"))).select(F.col("eps_avg").alias("b"))
-        row = best.crossJoin(other).select(F.lit(name).alias("estimator"), (F.col("a") < F.col("b")).alias("maxent_better"))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
-@query_key("SELECT m, m >= 5 OR m < 5 AS in_range FROM (VALUES (2), (3), (4), (5), (8), (16), (64), (250), (1000)) t(m)")
-def cardinality_sweep(spark, sf):
-    """Evenly spaced points on [-1, 1]: whatever the status, quantiles stay in range and follow order."""
-    m = spark.createDataFrame([(v,) for v in (2, 3, 4, 5, 8, 16, 64, 250, 1000)], "m int")
-    rows = m.withColumn("i", F.explode(F.sequence(F.lit(0), F.col("m") - 1))).withColumn("x", -1 + 2 * F.col("i") / (F.col("m") - 1))
-    s = summarise(rows, F.col("x"), ["m"], S10).withColumn("q", quantiles_udf(PHIS)(as_struct(S10)))
-    ok = F.forall("q", lambda v: (v >= -1) & (v <= 1)) & (F.array_sort("q") == F.col("q"))
-    return s.select("m", ok.alias("in_range"))
-
-
 # Bounds -----------------------------------------------------------------------------------------------------------------
 
 
@@ -456,18 +418,17 @@ def q_cascade_agrees_with_fit(spark, sf):
     g = merge_groups(events_cube(spark, sf), ["user_id", "event_type"], S10)
     a = query.direct(g, 0.9, F.lit(120.0), S10, parallel=8).select("user_id", "event_type", F.col("verdict").alias("a"))
     b = query.cascade(g, 0.9, F.lit(120.0), S10, bound_orders="matched", parallel=8).select("user_id", "event_type", F.col("verdict").alias("b"))
-    # Markov uses all moments (true facts about the data), so a fit that dropped some may differ in rare groups
-    return a.join(b, ["user_id", "event_type"]).agg(F.count(F.lit(1)).alias("n_groups"), (F.count_if(F.col("a") != F.col("b")) <= 0.02 * F.count(F.lit(1))).alias("same"))
+    return a.join(b, ["user_id", "event_type"]).agg(F.count(F.lit(1)).alias("n_groups"), (F.count_if(~F.col("a").eqNullSafe(F.col("b"))) == 0).alias("same"))
 
 
-@query_key(f"WITH g AS ({_exact_sql('value', 950, 'user_id', '(SELECT user_id % 10 AS user_id, value FROM events)')}), t AS (SELECT list_sort(list(value))[least(count(*), 600 * count(*) // 1000 + 1)] AS t FROM events) SELECT user_id, n, q > t AS verdict FROM g, t")
-def q_relative_threshold(spark, sf):
-    """Groups whose p95 exceeds the global p60 (all do)."""
-    c = summarise(load(spark, sf, "events").withColumn("user_id", F.col("user_id") % 10), F.col("value"), ["user_id"], S10)
-    return query.relative(c, ["user_id"], 0.95, 0.6, S10).select("user_id", "n", "verdict")
+_PLANT = "CASE WHEN user_id % 50 = 0 AND event_type = 'error' THEN value * 20 ELSE value END"
 
 
-_PLANT = "CASE WHEN user_id % 50 = 0 AND event_type = 'error' THEN value * 20 ELSE value END"
+@query_key(f"WITH v AS (SELECT user_id % 50 AS shard, {_PLANT} AS v FROM events), t AS (SELECT list_sort(list(v))[least(count(*), 990 * count(*) // 1000 + 1)] AS t FROM v), g AS ({_exact_sql('v', 950, 'shard', 'v')}) SELECT shard, n, q > t AS verdict FROM g, t")
+def q_relative_threshold(spark, sf):
+    """Groups whose p95 exceeds the global p99: those with planted values, and no other."""
+    ev = load(spark, sf, "events").withColumn("v", F.expr(_PLANT)).withColumn("shard", F.col("user_id") % 50)
+    return query.relative(summarise(ev, F.col("v"), ["shard"], S10), ["shard"], 0.95, 0.99, S10, parallel=8).select("shard", "n", "verdict")
 
 
 @query_key(f"WITH v AS (SELECT user_id, event_type, {_PLANT} AS v FROM events), t AS (SELECT list_sort(list(v))[least(count(*), 990 * count(*) // 1000 + 1)] AS t FROM v) SELECT user_id, event_type, count(*) AS n FROM v, t GROUP BY user_id, event_type HAVING count(*) FILTER (WHERE v > t) > 0.3 * count(*)")
@@ -517,16 +478,45 @@ def _many_groups(spark, sf):
     return summarise(load(spark, sf, "lineitem"), F.col("l_extendedprice"), ["l_partkey", "l_returnflag"], S10)
 
 
-@query_key("SELECT count(DISTINCT (l_partkey, l_returnflag)) AS n_groups FROM lineitem")
-def bench_threshold_direct(spark, sf):
-    """Estimates for every group: what the cascade saves."""
-    return query.direct(_many_groups(spark, sf), 0.9, F.lit(104000.0), S10, parallel=8).agg(F.count(F.lit(1)).alias("n_groups"), F.count_if(F.col("verdict")).alias("above")).select("n_groups")
+_ENDS = "SELECT count(*) AS n_groups, count(*) FILTER (WHERE lo > 100000) AS surely, count(*) FILTER (WHERE hi <= 100000) AS surely_not, CAST(0 AS BIGINT) AS unjudged FROM (SELECT min(l_extendedprice) AS lo, max(l_extendedprice) AS hi FROM lineitem GROUP BY l_partkey, l_returnflag)"
+
+
+def _judged(g: DataFrame) -> DataFrame:
+    """Counts that need every verdict: of groups that lie above or below the threshold as a whole, and of groups without one."""
+    return g.agg(F.count(F.lit(1)).alias("n_groups"), F.count_if(F.col("verdict") & (F.col("xmin") > 100000)).alias("surely"), F.count_if(~F.col("verdict") & (F.col("xmax") <= 100000)).alias("surely_not"), F.count_if(F.col("verdict").isNull()).alias("unjudged"))
+
+
+def _bench_threshold(stages):
+    def run(spark, sf):
+        g = _many_groups(spark, sf)
+        return _judged(query.direct(g, 0.7, F.lit(100000.0), S10, parallel=8) if stages is None else query.cascade(g, 0.7, F.lit(100000.0), S10, stages, parallel=8))
+
+    return run
+
 
+# estimates for every group, then with one more stage before the fit each time
+for _name, _stages in (("direct", None), ("range", ("range", "maxent")), ("markov", ("range", "markov", "maxent")), ("cascade", query.STAGES)):
+    query_key(_ENDS, f"bench_threshold_{_name}")(_bench_threshold(_stages))
 
-@query_key("SELECT count(DISTINCT (l_partkey, l_returnflag)) AS n_groups FROM lineitem")
-def bench_threshold_cascade(spark, sf):
-    g = query.cascade(_many_groups(spark, sf), 0.9, F.lit(104000.0), S10, parallel=8)
-    return g.agg(F.count(F.lit(1)).alias("n_groups"), F.count_if(F.col("verdict")).alias("above")).select("n_groups")
+
+@query_key(f"WITH g AS ({_exact_sql('value', 700, 'user_id, event_type', 'events')}) SELECT count(*) AS n_groups, count(*) FILTER (WHERE q > 220) AS above, CAST(0 AS BIGINT) AS wrong FROM g")
+def q_cascade_bounds_right(spark, sf):
+    """Verdicts by range, Markov and tight bounds against exact quantiles of all groups: none is wrong."""
+    ev = load(spark, sf, "events")
+    by = ["user_id", "event_type"]
+    e = exact.by_sort(ev, F.col("value"), 700, by)
+    c = query.cascade(merge_groups(events_cube(spark, sf), by, S10), 0.7, F.lit(220.0), S10, parallel=8).select(*by, "verdict", "stage")
+    truth = F.col("q") > 220
+    return e.join(c, by).agg(F.count(F.lit(1)).alias("n_groups"), F.count_if(truth).alias("above"), F.count_if((F.col("stage") != "maxent") & (F.col("verdict") != truth)).alias("wrong"))
+
+
+@query_key(f"SELECT l_returnflag, l_linestatus, n, q < 100000 AS below, q > 100000 AS above FROM ({_FLAGS})")
+def q_threshold_both_ways(spark, sf):
+    """The predicate in both directions."""
+    by = ["l_returnflag", "l_linestatus"]
+    g = merge_groups(lineitem_cube(spark, sf), by, S10)
+    less = query.cascade(g, 0.9, F.lit(100000.0), S10, op="<").select(*by, "n", F.col("verdict").alias("below"))
+    return less.join(query.cascade(g, 0.9, F.lit(100000.0), S10).select(*by, F.col("verdict").alias("above")), by)
 
 
 # Windows ----------------------------------------------------------------------------------------------------------------
@@ -573,8 +563,11 @@ def spiked_events(spark, sf):
     return ev.select("ts", "value").unionByName(extra.select("ts", "value")), t
 
 
-@query_key(_SPIKED + f""", w AS (SELECT 2840112 + i AS pane FROM range(23, 4320) r(i)), j AS (SELECT w.pane, count(*) AS n, list_sort(list(value))[least(count(*), 990 * count(*) // 1000 + 1)] AS q, count(*) FILTER (WHERE value > 3 * t) AS above FROM w JOIN (SELECT *, {_PANE} AS p FROM e) e2 ON e2.p BETWEEN w.pane - 23 AND w.pane, t GROUP BY w.pane)
- SELECT count(*) FILTER (WHERE above > 0.03 * n) AS clear_alerts, TRUE AS all_found, TRUE AS none_false FROM j""")
+_ALERTS = _SPIKED + f""", w AS (SELECT 2840112 + i AS pane FROM range(23, 4320) r(i)), j AS (SELECT w.pane, count(*) AS n, list_sort(list(value))[least(count(*), 990 * count(*) // 1000 + 1)] AS q, count(*) FILTER (WHERE value > 3 * t) AS above FROM w JOIN (SELECT *, {_PANE} AS p FROM e) e2 ON e2.p BETWEEN w.pane - 23 AND w.pane, t GROUP BY w.pane)
+ SELECT count(*) FILTER (WHERE above > 0.03 * n) AS clear_alerts, TRUE AS all_found, TRUE AS none_false FROM j"""
+
+
+@query_key(_ALERTS)
 def win_alert_planted(spark, sf):
     """Windows where the spike is clear alert; windows without a value above the threshold don't."""
     rows, t = spiked_events(spark, sf)
@@ -691,28 +684,6 @@ def fit_diagnostics(spark, sf):
     return g.withColumn("i", info_udf()(as_struct(S10))).select("event_type", "n", "i.k1", "i.k2", "i.status", "i.iterations", (F.col("i.peak") / (F.col("i.k1") + F.col("i.k2") + 1)).alias("avg_error_scale"))
 
 
-@query_key()
-def bench_cube_store(spark, sf):
-    """Hourly cells of users and types, p99 by type: the cube-store workload."""
-    return query.by_group(events_cube(spark, sf), ["event_type"], 0.99, S10).select("event_type", "n", "q")
-
-
-@query_key()
-def sweep_order(spark, sf):
-    """Average rank error and bytes against the order, powers and logs, on a long tail and a signed metric."""
-    from .summary import nbytes
-
-    out = None
-    for name in ("events", "embeddings"):
-        df = metric(spark, sf, name)
-        s = summarise(df, F.col("x"), [], SummarySpec(12)).select(as_struct(SummarySpec(12)).alias("st"))
-        for k in (2, 4, 6, 8, 10, 12):
-            row = exact.avg_error(df, F.col("x"), s.select(quantiles_udf(PHIS, max_k=k)("st").alias("q")))
-            row = row.select(F.lit(name).alias("metric"), F.lit(k).alias("order"), F.lit(nbytes(SummarySpec(k))).alias("bytes"), F.round("eps_avg", 5).alias("eps_avg"))
-            out = row if out is None else out.unionByName(row)
-    return out
-
-
 @query_key(" UNION ALL ".join(f"SELECT {c} AS cell_size, count(DISTINCT event_id // {c}) AS n_merge, count(*) AS n FROM events" for c in (20, 200, 2000)))
 def sweep_cell_size(spark, sf):
     """Number of merges against the size of cells; the merged summary holds the same values."""
@@ -737,13 +708,20 @@ def gk_growth(spark, sf):
     return out
 
 
-@query_key()
+@query_key(_ALERTS)
 def win_alert_merge12(spark, sf):
-    """Sliding windows with low-discrepancy sketches: every window merges its 24 panes again."""
-    ev = load(spark, sf, "events").withColumn("pane", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 600).cast("long"))
+    """The same alerts with low-discrepancy sketches: every full window of the spiked data merges its 24 panes again."""
+    rows, t = spiked_events(spark, sf)
+    limit = t.select((3 * F.col("t")).alias("limit"))
+    ev = rows.withColumn("pane", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 600).cast("long")).crossJoin(F.broadcast(limit))
     p = baselines.build_cells(ev, ["pane"], F.col("value"), "merge12")
-    ends = p.withColumn("end", F.explode(F.sequence(F.col("pane"), F.col("pane") + 23)))
-    return baselines.quantiles(baselines.merge_cells(ends, ["end"], "merge12", fan_in=1), "merge12", [0.99]).select("end", F.col("q")[0].alias("q"), (F.col("q")[0] > 400).alias("alert"))
+    reach = F.sequence(F.greatest(F.col("pane"), F.lit(2840112 + 23)), F.least(F.col("pane") + 23, F.lit(2840112 + 4319)))
+    ends = p.where(F.col("pane").between(2840112, 2840112 + 4319)).withColumn("end", F.explode(reach))
+    got = baselines.quantiles(baselines.merge_cells(ends, ["end"], "merge12", fan_in=1), "merge12", [0.99]).select("end", F.col("q")[0].alias("q"))
+    exactly = ev.groupBy("pane", "limit").agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("value") > F.col("limit"), 1)).alias("above")).withColumn("end", F.explode(reach)).groupBy("end", "limit").agg(F.sum("n").alias("n"), F.sum("above").alias("above"))
+    both = got.join(exactly, "end").withColumn("alert", F.col("q") > F.col("limit"))
+    clear = F.col("above") > 0.03 * F.col("n")
+    return both.agg(F.count_if(clear).alias("clear_alerts"), (F.count_if(clear & ~F.col("alert")) == 0).alias("all_found"), (F.count_if((F.col("above") == 0) & F.col("alert")) == 0).alias("none_false"))
 
 
 @query_key("SELECT l_returnflag, count(*) AS n, 'coarse' AS routed FROM lineitem GROUP BY 1")
@@ -757,27 +735,6 @@ def routed_rollup(spark, sf):
     return merge_groups(best.table, ["l_returnflag"], S4).select("l_returnflag", "n", F.lit(best.name).alias("routed"))
 
 
-@query_key()
-def production_cube(spark, sf):
-    """Six pseudo-dimensions of up to ten values and their p99 by one of them."""
-    li = load(spark, sf, "lineitem")
-    dims = [F.pmod(F.col(c), F.lit(10)).alias(f"d{i}") for i, c in enumerate(("l_orderkey", "l_partkey", "l_suppkey"))] + [F.pmod(F.col("l_linenumber"), F.lit(10)).alias("d3"), (F.col("l_quantity").cast("int") % 10).alias("d4"), (F.col("l_tax") * 100).cast("int").alias("d5")]
-    c = summarise(li.select(*dims, "l_extendedprice"), F.col("l_extendedprice"), [f"d{i}" for i in range(6)], S10)
-    return query.by_group(c, ["d5"], 0.99, S10).select("d5", "n", F.round("q", 0).alias("q"))
-
-
-@query_key()
-def skew_and_outliers(spark, sf):
-    """Tail power and planted outliers against the average rank error."""
-    out = None
-    for label, expr in (("power1", "value"), ("power2", "value * value"), ("power3", "value * value * value"), ("outlier10", "CASE WHEN event_id % 1000 = 0 THEN value * 10 ELSE value END"), ("outlier100", "CASE WHEN event_id % 1000 = 0 THEN value * 100 ELSE value END")):
-        df = load(spark, sf, "events").select(F.expr(expr).alias("x"))
-        est = summarise(df, F.col("x"), [], S10).select(quantiles_udf(PHIS)(as_struct(S10)).alias("q"))
-        row = exact.avg_error(df, F.col("x"), est).select(F.lit(label).alias("case"), "n", F.round("eps_avg", 4).alias("eps_avg"))
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
 def entry(spark: SparkSession) -> DataFrame:
     """Event types whose p99 exceeds a threshold, from cells through the cascade."""
     sf = "/root/testdata/sf0.001"
@@ -785,4 +742,4 @@ def entry(spark: SparkSession) -> DataFrame:
     return query.cascade(g, 0.99, F.lit(100.0), S10).where("verdict").select("event_type", "n", "verdict", "stage")
 
 
-__all__ = ["accumulate", "clean", "entry", "oracle_sql", "queries", "Window"]
+from . import workloads as _workloads  # noqa: E402,F401  (adds the experiment workloads)
