@@ -13,7 +13,6 @@ from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 from .functions import bounds, estimators, moments
 from .functions.udfs import bounds_udf, cdf_udf, info_udf, interval_udf, quantiles_udf
 from .operators import baselines, cube, exact, query, window
-from .operators.ops import OPS
 from .sources.tables import load
 from .summary import SummarySpec, as_struct, merge_groups, merge_pair, roots, subtract_pair, summarise
 
@@ -34,11 +33,11 @@ def query_key(sql: str | None = None, name: str | None = None):
 
 
 def queries() -> dict:
-    return dict(_QUERIES) | {f"ops_{k}": f for k, (f, _) in OPS.items()}
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(_SQL) | {f"ops_{k}": s for k, (_, s) in OPS.items() if s}
+    return dict(_SQL)
 
 
 # Metrics of the workloads: table, Spark expression, SQL for a one-column relation "x" -------------------------------
@@ -742,4 +741,4 @@ def entry(spark: SparkSession) -> DataFrame:
     return query.cascade(g, 0.99, F.lit(100.0), S10).where("verdict").select("event_type", "n", "verdict", "stage")
 
 
-from . import workloads as _workloads  # noqa: E402,F401  (adds the experiment workloads)
+from . import operator_queries as _operator_queries, workloads as _workloads  # noqa: E402,F401  (they add their queries)

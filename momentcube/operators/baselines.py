@@ -15,6 +15,11 @@ def _impl(kind):
     return sketches.KINDS[kind] if isinstance(kind, str) else kind
 
 
+def _dealt(df: DataFrame, keys: list[str]) -> DataFrame:
+    """Groups dealt to a fixed number of tasks: they are heavy work on few bytes, which adaptive coalescing would put into one task."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys)
+
+
 def build_cells(df: DataFrame, by: list[str], metric: Column, kind) -> DataFrame:
     """One packed state for each cell."""
     impl = _impl(kind)
@@ -24,7 +29,7 @@ def build_cells(df: DataFrame, by: list[str], metric: Column, kind) -> DataFrame
     def build(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame([[*key, sketches.dump(impl.build(g["x"].to_numpy()))]], columns=[*by, "state"])
 
-    return rows.groupBy(*by).applyInPandas(build, schema)
+    return _dealt(rows, by).groupBy(*by).applyInPandas(build, schema)
 
 
 def stream_rows(df: DataFrame, metric: Column, kinds: dict) -> DataFrame:
@@ -57,7 +62,7 @@ def merge_cells(cells: DataFrame, by: list[str], kind, fan_in: int = 64, name: s
             impl = impls[None if name is None else key[keys.index(name)]]
             return pd.DataFrame([[*key, sketches.dump(sketches.merge_all(impl, map(sketches.load, g["state"])))]], columns=[*keys, "state"])
 
-        return df.groupBy(*keys).applyInPandas(merge, schema)
+        return _dealt(df, keys).groupBy(*keys).applyInPandas(merge, schema)
 
     parts = step(cells.select(*by, F.pmod(F.xxhash64("state"), F.lit(fan_in)).cast("int").alias("part"), "state"), [*by, "part"], ", ".join([*kinds, "part int", "state binary"]))
     if by:

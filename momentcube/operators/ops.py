@@ -1,61 +1,163 @@
-"""Relational operators around the methods, as declarative SQL on the given tables; the same text is the oracle's where dialects agree."""
+"""Operators around the methods: metrics, filters, joins of cells with dimensions and time, ranks, windows, nested columns."""
 
 from __future__ import annotations
 
-import re
-
-from ..sources.tables import SCHEMAS, load
-
-_TABLE = re.compile(r"\b(" + "|".join(SCHEMAS) + r")\b(?!\.)(?!\s*\()")
-
-
-def _run(text: str):
-    """A query over tables named in ``text``: they are bound as frames, so no session catalogue is touched."""
-    names = sorted({m for m in re.findall(r"\b(?:FROM|JOIN)\s+(\w+)", text) if m in SCHEMAS})
-    bound = re.sub(r"\b(FROM|JOIN)\s+(" + "|".join(names) + r")\b", r"\1 {\2}", text.replace("{", "{{").replace("}", "}}"))
-
-    def run(spark, sf):
-        return spark.sql(bound, **{n: load(spark, sf, n) for n in names})
-
-    return run
-
-
-_SAME = {
-    "metric": "SELECT l_returnflag, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem GROUP BY l_returnflag",
-    "filter": "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_orderpriority LIKE '1-%' AND o_totalprice BETWEEN 1000 AND 400000 AND o_orderstatus IN ('O', 'F') AND o_custkey IS NOT NULL GROUP BY o_orderstatus",
-    "join_dim": "SELECT n_name, count(*) AS n, round(sum(l_extendedprice), 2) AS total FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey GROUP BY n_name",
-    "join_smj": "SELECT /*+ MERGE(o) */ o_orderstatus, count(*) AS n, round(max(l_extendedprice), 2) AS most FROM lineitem l JOIN orders o ON l_orderkey = o_orderkey GROUP BY o_orderstatus",
-    "join_shj": "SELECT /*+ SHUFFLE_HASH(c) */ c_mktsegment, count(*) AS n FROM orders o JOIN customer c ON o_custkey = c_custkey GROUP BY c_mktsegment",
-    "eager_join": "SELECT r_name, CAST(sum(n) AS BIGINT) AS n, round(sum(s), 2) AS total FROM (SELECT l_suppkey, count(*) AS n, sum(l_extendedprice) AS s FROM lineitem GROUP BY l_suppkey) c JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name",
-    "outer": "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON c_custkey = o_custkey GROUP BY c_custkey",
-    "semi": "SELECT count(*) AS n FROM events WHERE user_id IN (SELECT user_id FROM events WHERE value > 250)",
-    "anti": "SELECT count(*) AS n FROM events e WHERE NOT EXISTS (SELECT 1 FROM events f WHERE f.user_id = e.user_id AND f.value > 250)",
-    "range_join": "SELECT b, count(*) AS n FROM orders JOIN (SELECT * FROM (VALUES (0, 0, 100000), (1, 100000, 250000), (2, 250000, 1000000)) v(b, lo, hi)) h ON o_totalprice >= lo AND o_totalprice < hi GROUP BY b",
-    "distinct": "SELECT l_returnflag, count(DISTINCT l_tax) AS taxes, count(DISTINCT l_quantity) AS quantities FROM lineitem GROUP BY l_returnflag",
-    "rollup": "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)",
-    "cube": "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)",
-    "pivot": "SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(*) FILTER (WHERE event_type = 'error') AS errors FROM events GROUP BY user_id",
-    "ranks": "SELECT o_orderkey, CAST(row_number() OVER w AS BIGINT) AS rn, CAST(rank() OVER w AS BIGINT) AS rk, CAST(dense_rank() OVER w AS BIGINT) AS dr, CAST(ntile(4) OVER w AS BIGINT) AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_orderpriority ORDER BY o_totalprice, o_orderkey)",
-    "lag": "SELECT event_id, lag(value) OVER w AS before, lead(value) OVER w AS after, first_value(value) OVER w AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)",
-    "frames": "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 4) AS rows5, count(*) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 500 PRECEDING AND CURRENT ROW) AS near FROM events",
-    "topk": "SELECT doc_id, n_chars FROM documents ORDER BY n_chars DESC, doc_id LIMIT 20",
-    "topk_per_group": "SELECT source, doc_id, n_chars FROM (SELECT source, doc_id, n_chars, row_number() OVER (PARTITION BY source ORDER BY n_chars DESC, doc_id) AS r FROM documents) t WHERE r <= 3",
-    "setops": "SELECT user_id FROM events WHERE event_type = 'click' INTERSECT SELECT user_id FROM events WHERE event_type = 'error' EXCEPT SELECT user_id FROM events WHERE value > 300",
-    "math": "SELECT o_orderkey, round(ln(o_totalprice), 8) AS l, round(sqrt(o_totalprice), 6) AS s, CAST(floor(o_totalprice) AS BIGINT) AS f, CAST(ceil(o_totalprice) AS BIGINT) AS c, greatest(o_totalprice, 1000) AS g, CAST(sign(o_totalprice - 100000) AS DOUBLE) AS sg FROM orders",
-    "conversations": "SELECT role, count(*) AS n, CAST(max(length(text)) AS BIGINT) AS longest FROM conversations GROUP BY role",
-}
-#: name: (Spark text, DuckDB text)
-_TWO = {
-    "date": ("SELECT date_trunc('MONTH', l_shipdate) AS m, count(*) AS n, max(datediff(l_shipdate, DATE '1990-01-01')) AS d FROM lineitem GROUP BY 1", "SELECT CAST(date_trunc('month', l_shipdate) AS TIMESTAMP) AS m, count(*) AS n, CAST(max(date_diff('day', DATE '1990-01-01', l_shipdate)) AS INTEGER) AS d FROM lineitem GROUP BY 1"),
-    "string": ("SELECT page_id, CAST(length(html) AS BIGINT) AS n, upper(substr(url, 1, 5)) AS u, regexp_extract(url, '//([^/]+)', 1) AS host FROM pages", "SELECT page_id, CAST(length(html) AS BIGINT) AS n, upper(substr(url, 1, 5)) AS u, regexp_extract(url, '//([^/]+)', 1) AS host FROM pages"),
-    "array": ("SELECT vec_id, size(embedding) AS d, round(aggregate(embedding, 0D, (a, x) -> a + CAST(x AS DOUBLE) * CAST(x AS DOUBLE)), 6) AS norm FROM embeddings", "SELECT vec_id, CAST(len(embedding) AS INTEGER) AS d, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE))), 6) AS norm FROM embeddings"),
-    "json": ("SELECT CAST(get_json_object(props, '$.k') AS INT) AS k, count(*) AS n FROM events GROUP BY 1", "SELECT CAST(json_extract_string(props, '$.k') AS INTEGER) AS k, count(*) AS n FROM events GROUP BY 1"),
-    "map": ("SELECT map_from_entries(collect_list(named_struct('k', event_type, 'v', n)))['click'] AS clicks FROM (SELECT event_type, count(*) AS n FROM events GROUP BY event_type) t", "SELECT count(*) FILTER (WHERE event_type = 'click') AS clicks FROM events"),
-    "calendar": ("SELECT d.h AS hour, count(e.event_id) AS n FROM (SELECT explode(sequence(0, 719)) AS h) d LEFT JOIN events e ON CAST(floor((unix_seconds(CAST(e.ts AS TIMESTAMP)) - 1704067200) / 3600) AS INT) = d.h GROUP BY d.h", "SELECT CAST(h AS INTEGER) AS hour, count(e.event_id) AS n FROM range(720) d(h) LEFT JOIN events e ON CAST(floor((epoch(e.ts) - 1704067200) / 3600) AS INTEGER) = d.h GROUP BY d.h"),
-    "interval_join": ("SELECT s, count(*) AS n FROM events JOIN (SELECT * FROM VALUES (1, TIMESTAMP_NTZ '2024-01-10 06:00:00', TIMESTAMP_NTZ '2024-01-10 08:00:00'), (2, TIMESTAMP_NTZ '2024-01-20 14:00:00', TIMESTAMP_NTZ '2024-01-20 16:00:00') v(s, a, b)) x ON ts >= a AND ts < b GROUP BY s", "SELECT s, count(*) AS n FROM events JOIN (VALUES (1, TIMESTAMP '2024-01-10 06:00:00', TIMESTAMP '2024-01-10 08:00:00'), (2, TIMESTAMP '2024-01-20 14:00:00', TIMESTAMP '2024-01-20 16:00:00')) v(s, a, b) ON ts >= a AND ts < b GROUP BY s"),
-    "asof": ("SELECT event_id, last(CASE WHEN event_type = 'purchase' THEN value END, true) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS last_purchase FROM events", "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN value END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS last_purchase FROM events"),
-    "slide_native": ("SELECT unix_seconds(CAST(w.start AS TIMESTAMP)) AS start, count(*) AS n FROM (SELECT window(ts, '4 hours', '10 minutes') AS w FROM events) t GROUP BY 1", "SELECT CAST(floor(epoch(ts)) AS BIGINT) // 600 * 600 - 600 * i AS start, count(*) AS n FROM events, range(24) r(i) GROUP BY 1"),
-    "session": ("SELECT user_id, count(*) AS sessions FROM (SELECT user_id, session_window(ts, '30 minutes') AS w, count(*) AS n FROM events GROUP BY 1, 2) t GROUP BY user_id", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events) WHERE gap IS NULL OR gap >= INTERVAL 30 MINUTE GROUP BY user_id"),
-}
-
-OPS = {k: (_run(v), v) for k, v in _SAME.items()} | {k: (_run(a), b) for k, (a, b) in _TWO.items()}
+from pyspark.sql import Column, DataFrame, Window, functions as F
+
+from ..summary import SummarySpec, merge_groups
+
+
+def metric(df: DataFrame, expr: str, name: str = "x") -> DataFrame:
+    """A metric computed from columns; only those are read."""
+    return df.withColumn(name, F.expr(expr))
+
+
+def where(df: DataFrame, equals: dict | None = None, within: dict | None = None, between: dict | None = None, like: dict | None = None, known: list[str] = ()) -> DataFrame:
+    """Dimension filters that reach the scan: equality, IN, BETWEEN, LIKE, NOT NULL."""
+    for c, v in (equals or {}).items():
+        df = df.where(F.col(c) == F.lit(v))
+    for c, vs in (within or {}).items():
+        df = df.where(F.col(c).isin(*vs))
+    for c, (a, b) in (between or {}).items():
+        df = df.where(F.col(c).between(a, b))
+    for c, v in (like or {}).items():
+        df = df.where(F.col(c).like(v))
+    for c in known:
+        df = df.where(F.col(c).isNotNull())
+    return df
+
+
+def last_days(df: DataFrame, ts: str, days: int) -> DataFrame:
+    """Rows of the last ``days`` days before the newest row; the newest time is one row, joined by broadcast."""
+    newest = df.agg(F.max(ts).alias("__last"))
+    return df.crossJoin(F.broadcast(newest)).where(F.col(ts) > F.col("__last") - F.expr(f"INTERVAL {int(days)} DAY")).drop("__last")
+
+
+#: Rows of a dimension up to which it is broadcast.
+SMALL_DIMENSION = 1_000_000
+
+
+def with_dim(facts: DataFrame, dim: DataFrame, on: str, key: str, how: str = "inner", rows: int | None = None) -> DataFrame:
+    """A dimension's columns for each fact or cell. Broadcast only if ``rows`` (the caller's bound on the dimension) is small; else Spark chooses by size."""
+    side = F.broadcast(dim) if rows is not None and rows <= SMALL_DIMENSION else dim
+    return facts.join(side, F.col(on) == F.col(key), how)
+
+
+def join_large(left: DataFrame, right: DataFrame, on: Column, strategy: str = "merge", how: str = "inner") -> DataFrame:
+    """A join of two large sides by sorting (merge) or hashing one shuffled side (shuffle_hash)."""
+    return left.join(right.hint(strategy), on, how)
+
+
+def merge_then_join(cells: DataFrame, on: str, dim: DataFrame, key: str, keep: list[str], spec: SummarySpec = SummarySpec()) -> DataFrame:
+    """Cells merged by foreign key meet the dimension, then merge again: rows of facts are never joined."""
+    return merge_groups(merge_groups(cells, [on], spec).join(dim, F.col(on) == F.col(key)), keep, spec)
+
+
+def on_calendar(panes: DataFrame, pane: str, first: int, last: int, zero: list[str]) -> DataFrame:
+    """Every pane of [first, last]; counts of missing ones are 0, their other columns NULL."""
+    return panes.sparkSession.range(first, last + 1).toDF(pane).join(panes, pane, "left").fillna(0, zero)
+
+
+def rows_of(df: DataFrame, groups: DataFrame, keys: list[str], flagged: bool = True) -> DataFrame:
+    """Rows of flagged groups (semi join), or of all others (anti join)."""
+    return df.join(groups.select(*keys).distinct(), keys, "left_semi" if flagged else "left_anti")
+
+
+def bucketize(df: DataFrame, x: Column, edges: list[float], name: str = "bucket") -> DataFrame:
+    """Number of the half-open range [edges[i], edges[i + 1]) that holds x; rows outside are dropped. Arithmetic instead of a range join."""
+    place = sum((F.when(x >= F.lit(float(e)), 1).otherwise(0) for e in edges), F.lit(0)) - 1
+    return df.where((x >= F.lit(float(edges[0]))) & (x < F.lit(float(edges[-1])))).withColumn(name, place)
+
+
+def within_spans(df: DataFrame, ts: str, spans: list[tuple]) -> DataFrame:
+    """Rows in time spans (name, start, end as literals); a row in several spans comes once for each. Spans are few and stand in the plan."""
+    hit = F.array(*[F.when((F.col(ts) >= F.lit(a).cast(df.schema[ts].dataType)) & (F.col(ts) < F.lit(b).cast(df.schema[ts].dataType)), F.lit(n)) for n, a, b in spans])
+    return df.withColumn("span", F.explode(F.array_compact(hit)))
+
+
+def as_of(df: DataFrame, by: list[str], order: str, value: Column, name: str) -> DataFrame:
+    """The latest known ``value`` up to each row of its key: one sort for each key, no join."""
+    return df.withColumn(name, F.last(value, ignorenulls=True).over(Window.partitionBy(*by).orderBy(order).rowsBetween(Window.unboundedPreceding, 0)))
+
+
+def cardinality(df: DataFrame, by: list[str], xs: list[str], approximate: bool = False) -> DataFrame:
+    """Different values of metrics in each group: the guard for populations too discrete for moments."""
+    count = (lambda c: F.approx_count_distinct(c, 0.01)) if approximate else F.count_distinct
+    return df.groupBy(*by).agg(*[count(c).cast("long").alias(f"distinct_{c}") for c in xs])
+
+
+def pivot_counts(df: DataFrame, by: list[str], column: str, values: dict[str, str]) -> DataFrame:
+    """Counts of given values of a column, one column each, with partial sums before the shuffle."""
+    return df.groupBy(*by).agg(*[F.count(F.when(F.col(column) == v, 1)).alias(n) for v, n in values.items()])
+
+
+def ranks(df: DataFrame, by: list[str], order: list[str], tiles: int = 4) -> DataFrame:
+    """row_number, rank, dense_rank, ntile, percent_rank and cume_dist of each row in its group, from one sort."""
+    w = Window.partitionBy(*by).orderBy(*order)
+    return df.select("*", F.row_number().over(w).cast("long").alias("rn"), F.rank().over(w).cast("long").alias("rk"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(tiles).over(w).cast("long").alias("nt"), F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"))
+
+
+def neighbours(df: DataFrame, by: list[str], order: str, value: str) -> DataFrame:
+    """The value before, after and first in order."""
+    w = Window.partitionBy(*by).orderBy(order)
+    return df.select("*", F.lag(value).over(w).alias("before"), F.lead(value).over(w).alias("after"), F.first(value).over(w).alias("first"))
+
+
+def frames(df: DataFrame, by: list[str], order: str, value: str, rows: int, reach: int) -> DataFrame:
+    """The sum over the last ``rows`` rows and the number of rows within ``reach`` of the order."""
+    w = Window.partitionBy(*by).orderBy(order)
+    return df.select("*", F.sum(value).over(w.rowsBetween(1 - rows, 0)).alias("row_sum"), F.count(F.lit(1)).over(w.rangeBetween(-reach, 0)).alias("near"))
+
+
+def topk(df: DataFrame, by: list[str], k: int, groups: list[str] = ()) -> DataFrame:
+    """The k first rows in order (a heap in each task), or of each group."""
+    if not groups:
+        return df.orderBy(*by).limit(k)
+    return df.withColumn("__r", F.row_number().over(Window.partitionBy(*groups).orderBy(*by))).where(F.col("__r") <= k).drop("__r")
+
+
+def union_cubes(a: DataFrame, b: DataFrame, dims: list[str], spec: SummarySpec = SummarySpec()) -> DataFrame:
+    """Cells of both cubes merged; rows of the same dimensions become one."""
+    return merge_groups(a.unionByName(b), dims, spec)
+
+
+def same_verdicts(a: DataFrame, b: DataFrame, but: DataFrame | None = None) -> DataFrame:
+    """Rows in both, without those of ``but``."""
+    both = a.intersect(b)
+    return both if but is None else both.subtract(but)
+
+
+def buckets_of(df: DataFrame, ts: str, unit: str) -> DataFrame:
+    """Time bucket and days since 1990."""
+    return df.withColumn("bucket", F.date_trunc(unit, F.col(ts))).withColumn("day", F.datediff(F.col(ts), F.lit("1990-01-01").cast("date")))
+
+
+def url_parts(df: DataFrame, url: str, text: str) -> DataFrame:
+    """Length of a text, the start of a URL in capitals and its host."""
+    return df.select("*", F.length(text).cast("long").alias("n"), F.upper(F.substring(url, 1, 5)).alias("scheme"), F.regexp_extract(url, "//([^/]+)", 1).alias("host"))
+
+
+def vector_norm(df: DataFrame, vector: str) -> DataFrame:
+    """Dimension and squared length of an array column, folded in the engine."""
+    add = lambda a, v: a + v.cast("double") * v.cast("double")
+    return df.select("*", F.size(vector).alias("d"), F.aggregate(vector, F.lit(0.0), add).alias("norm"))
+
+
+def as_map(df: DataFrame, key: str, value: str) -> DataFrame:
+    """One row: a map from dimension value to number. For few dimension values."""
+    return df.agg(F.map_from_entries(F.collect_list(F.struct(key, value))).alias("by"))
+
+
+def json_dim(df: DataFrame, column: str, path: str, kind: str, name: str) -> DataFrame:
+    """A dimension out of a JSON column."""
+    return df.withColumn(name, F.get_json_object(column, path).cast(kind))
+
+
+def sessions(df: DataFrame, by: str, ts: str, gap: str) -> DataFrame:
+    """Sessions of each key: rows closer than ``gap`` belong together."""
+    return df.groupBy(by, F.session_window(ts, gap).alias("session")).agg(F.count(F.lit(1)).alias("rows"))
+
+
+def sliding(df: DataFrame, ts: str, width: str, step: str) -> DataFrame:
+    """Native sliding windows: every row goes to width/step windows. Beyond small inputs use panes."""
+    return df.groupBy(F.window(ts, width, step).alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds(F.col("w.start").cast("timestamp")).alias("start"), "n")
