@@ -108,6 +108,39 @@ def test_plans(spark):
     assert p.count("ArrowEvalPython") == 1
 
 
+def test_cascade_compiles_and_reads_one_exchange(spark):
+    """Generated code of the column stages stays far below the 64 KB at which it is given up; both branches read the same merged groups."""
+    import re
+
+    df = query.cascade(merge_groups(catalog.events_cube(spark, SF), ["user_id", "event_type"], S10), 0.9, F.lit(100.0), S10, parallel=2)
+    df.collect()
+    done = df._jdf.queryExecution().executedPlan()
+    text = spark._jvm.org.apache.spark.sql.execution.debug.package.codegenString(done)
+    sizes = [int(n) for n in re.findall(r"maxMethodCodeSize:(\d+)", text)]
+    assert sizes and max(sizes) < 16_000 and "ReusedExchange" in done.toString()
+
+
+@pytest.mark.parametrize("t, below", [(2.0, False), (9.0, True), (0.5, False), (11.0, True)])
+def test_below_is_the_other_direction(spark, t, below):
+    for stages in (query.STAGES, *((s, "maxent") for s in query.STAGES[:-1])):
+        assert query.cascade(ten(spark), 0.5, F.lit(t), stages=stages, op="<").first()["verdict"] is below
+
+
+def test_windows_wider_than_a_block(spark):
+    spec = SummarySpec(1, log=False)
+    p = spark.range(3000).select(F.col("id").alias("pane"), F.lit(1).cast("long").alias("n"), F.lit(1).cast("long").alias("n_pos"), F.lit(1.0).alias("xmin"), F.lit(1.0).alias("xmax"), F.lit(1.0).alias("s1"))
+    for mode in ("remerge", "turnstile"):
+        w = window.slide(p, 1500, spec, mode).where("full").agg(F.count(F.lit(1)).alias("c"), F.min("n").alias("a"), F.max("n").alias("b")).first()
+        assert (w["c"], w["a"], w["b"]) == (1501, 1500, 1500)
+
+
+def test_selection_narrows_long_tails(spark):
+    df = spark.range(20000).select(F.exp(F.col("id") / 1000).alias("x"))
+    assert exact.by_selection(df, F.col("x"), 500, most=50).first()["q"] == exact.by_sort(df, F.col("x"), 500).first()["q"]
+    ties = spark.range(20000).select(F.when(F.col("id") % 3 == 0, 5.0).otherwise(F.col("id").cast("double")).alias("x"))
+    assert exact.by_selection(ties, F.col("x"), 100, most=50).first()["q"] == 5.0 == exact.by_sort(ties, F.col("x"), 100).first()["q"]
+
+
 def test_eager_aggregation_equals_join_first(spark):
     li, su = tables.load(spark, SF, "lineitem"), tables.load(spark, SF, "supplier")
     a = cube.merge_then_join(li, "l_suppkey", F.col("l_quantity"), su, "s_suppkey", ["s_nationkey"], SummarySpec(2))
@@ -130,7 +163,8 @@ def test_sql_surface(spark):
     sql.register(spark)
     tables.load(spark, SF, "events").createOrReplaceTempView("momentcube_test_events")
     states = spark.sql(f"SELECT event_type, {sql.macro('value', 6)} AS st FROM momentcube_test_events GROUP BY event_type")
-    r = states.selectExpr("moment_quantile(st, 0.5D) AS q", "moment_quantiles(st, array(0.1D, 0.9D)) AS qs", "moment_exceeds(st, 0.5D, 10D) AS e", "moment_cdf(st, 50D) AS c", "moment_bounds(st, 50D) AS b", "moment_info(st).status AS i", "moment_merge(st, st).n AS n2", "st.n AS n").collect()
+    r = states.selectExpr("moment_quantile(st, 0.5D) AS q", "moment_quantiles(st, array(0.1D, 0.9D)) AS qs", "moment_exceeds(st, 0.5D, 10D) AS e", "moment_cdf(st, 50D) AS c", "moment_bounds(st, 50D) AS b", "moment_info(st).status AS i", "moment_merge(st, st).n AS n2", "moment_merge(NULL, st).n AS n1", "moment_interval(st, 0.5D) AS v", "st.n AS n").collect()
+    assert all(x["v"]["lo"] <= x["q"] <= x["v"]["hi"] and x["n1"] == x["n"] for x in r)
     assert all(25 < x["q"] < 45 and x["qs"][0] < x["q"] < x["qs"][1] and x["e"] and x["b"]["lo"] <= x["c"] <= x["b"]["hi"] and x["n2"] == 2 * x["n"] for x in r)
     spark.catalog.dropTempView("momentcube_test_events")
 
