@@ -22,7 +22,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from .common import BLOCK, components, local_roots, map_rows, materialize
+from .common import BLOCK, bound_batches, components, give_back, local_roots, map_rows, materialize, release
 
 BYTE_SETS = [m for m in (sum(0xFF << (8 * i) for i in s) for s in combinations(range(8), 6))]
 _TWO = [s for s in combinations(range(8), 2)]
@@ -207,7 +207,7 @@ def _lists(prints: DataFrame) -> DataFrame:
 
 
 def _candidates(lists: DataFrame, nodes: DataFrame, similarity: float, forest: bool) -> DataFrame:
-    """Distinct (u, v) that meet in ``lists`` and may be alike by size and fingerprint; ``nodes`` has (node, root, n, proof_fp).
+    """(u, v, list) of distinct u, v that meet in ``lists``, the least of them, and may be alike by size and fingerprint; ``nodes`` has (node, root, n, proof_fp).
 
     ``forest``: only a nearest-first forest of each block's links. Otherwise all links between different roots.
     """
@@ -238,37 +238,71 @@ def _candidates(lists: DataFrame, nodes: DataFrame, similarity: float, forest: b
                 a, b = np.nonzero(np.triu(far != NO_LINK, 1))
             for at in range(0, len(a), 1 << 16):
                 x, y = node[a[at : at + (1 << 16)]], node[b[at : at + (1 << 16)]]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["u", "v"])
+                at_list = np.full(len(x), rows.column("list")[0].as_py(), dtype=np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(at_list)], names=["u", "v", "list"])
 
-    return blocks.mapInArrow(run, "u long, v long").distinct()
+    return blocks.mapInArrow(run, "u long, v long, list long").groupBy("u", "v").agg(F.min("list").alias("list"))
 
 
-#: Links of one node that meet its text in one task.
+#: Cells of one node that meet its text in one task.
 HUB = 64
+#: Shingles and nodes of one side of a cell.
+CELL_SHINGLES, CELL_NODES = 1 << 19, 512
 
 
-def _with_text(links: DataFrame, known: DataFrame, end: str) -> DataFrame:
-    """Add text_<end> to links; the text of a node with many links is dealt to one task for each HUB of them."""
-    parts = links.groupBy(end).agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts"))
-    salted = known.toDF(end, f"text_{end}").join(parts, end).withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
-    dealt = links.join(parts, end).withColumn("salt", F.pmod(F.xxhash64("u", "v"), "parts").cast("int")).drop("parts")
-    return dealt.join(salted, [end, "salt"]).drop("salt")
+def _cells(links: DataFrame) -> DataFrame:
+    """Deal links(u, v, nu, nv, list, ...) to cells (list, ci, cj), pairs of chunks of the list's nodes.
+
+    A text goes to each cell of its links once, not to each link; chunks are bounded by their shingles and nodes.
+    """
+    ends = links.select("list", F.col("u").alias("node"), F.col("nu").alias("n")).union(links.select("list", "v", "nv")).distinct()
+    size = ends.groupBy("list").agg(F.greatest(F.ceil(F.sum("n") / F.lit(CELL_SHINGLES)), F.ceil(F.count(F.lit(1)) / F.lit(CELL_NODES)), F.lit(1)).cast("int").alias("parts"))
+    a, b = (F.pmod(F.xxhash64(F.col(c), F.col("list")), F.col("parts")).cast("int") for c in "uv")
+    return links.join(size, "list").withColumn("ci", F.least(a, b)).withColumn("cj", F.greatest(a, b)).drop("parts", "nu", "nv")
 
 
 def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
-    """Links with ``ok``: whether the sets of shingles of both whole texts have this Jaccard similarity."""
-    pairs = _with_text(_with_text(links, known, "u"), known, "v")
+    """(cu, cv) of links, dealt to cells, whose sets of shingles of both whole texts have this Jaccard similarity.
 
-    def judge(batch):
-        left, right = (batch.column(batch.schema.get_field_index(f"text_{e}")).to_pylist() for e in "uv")
-        ok = []
-        for s, t in zip(left, right):
-            x, y = np.unique(shingle_hashes(s, shingle)), np.unique(shingle_hashes(t, shingle))
-            both = len(np.intersect1d(x, y, assume_unique=True))
-            ok.append(both >= similarity * (len(x) + len(y) - both))
-        return {"ok": ok}
+    A link whose classes are joined already by links proven in its cell is passed over: it would not change the classes.
+    """
+    cell = ["list", "ci", "cj"]
+    needs = links.select(*cell, F.col("u").alias("node")).union(links.select(*cell, F.col("v"))).distinct()
+    # The text of a node of many cells is dealt to one task for each HUB of them.
+    parts = needs.groupBy("node").agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts"))
+    salted = known.join(parts, "node").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    dealt = needs.join(parts, "node").withColumn("salt", F.pmod(F.xxhash64(*cell), "parts").cast("int")).drop("parts")
+    held = dealt.join(salted, ["node", "salt"]).selectExpr(*cell, "node u", "cast(null as long) v", "cast(null as long) cu", "cast(null as long) cv", "text")
+    rows = held.union(links.selectExpr(*cell, "u", "v", "cu", "cv", "cast(null as string)"))
+    rows = rows.repartition(*cell).sortWithinPartitions(*cell, F.col("v").asc_nulls_first(), "u")
+    bound_batches(links.sparkSession)
 
-    return map_rows(pairs, judge, [T.StructField("ok", T.BooleanType())], keep=links.columns)
+    def run(batches):
+        now, sets, above = None, {}, {}
+
+        def top(x):
+            while above.get(x, x) != x:
+                above[x] = x = above.get(above[x], above[x])
+            return x
+
+        for batch in batches:
+            cols = {name: batch.column(i).to_pylist() for i, name in enumerate(batch.schema.names)}
+            good: list[tuple[int, int]] = []
+            for at, u, v, cu, cv, text in zip(zip(cols["list"], cols["ci"], cols["cj"]), *(cols[c] for c in ("u", "v", "cu", "cv", "text"))):
+                if at != now:
+                    now, sets, above = at, {}, {}
+                if v is None:
+                    sets[u] = np.unique(shingle_hashes(text, shingle))
+                elif top(cu) != top(cv):
+                    x, y = sets[u], sets[v]
+                    both = len(np.intersect1d(x, y, assume_unique=True))
+                    if both >= similarity * (len(x) + len(y) - both):
+                        above[top(cu)] = top(cv)
+                        good.append((cu, cv))
+            yield pa.RecordBatch.from_arrays([pa.array([g[k] for g in good], type=pa.int64()) for k in (0, 1)], names=["u", "v"])
+        give_back()
+
+    return rows.mapInArrow(run, "u long, v long")
 
 
 def _proven_classes(lists: DataFrame, nodes: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
@@ -283,11 +317,14 @@ def _proven_classes(lists: DataFrame, nodes: DataFrame, known: DataFrame, simila
         links = _candidates(lists, nodes.join(root, "node"), similarity, forest)
         if tried is not None:
             links = links.join(tried, ["u", "v"], "left_anti")
+        sized = root.join(nodes.select("node", "n"), "node").select("node", "root", "n")
         for c in ("u", "v"):
-            links = links.join(root.toDF(c, f"c{c}"), c)
-        judged = materialize(_alike(materialize(links.select("u", "v", "cu", "cv")), known, similarity, shingle))
-        tried = judged.select("u", "v")
-        merged = materialize(components(judged.where("ok").select(F.col("cu").alias("u"), F.col("cv").alias("v"))))
+            links = links.join(sized.toDF(c, f"c{c}", f"n{c}"), c)
+        links = materialize(links)
+        dealt = materialize(_cells(links))
+        release(links)
+        tried = dealt.select("u", "v")
+        merged = materialize(components(_alike(dealt, known, similarity, shingle)))
         root = materialize(root.join(merged.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root")))
     return root
 
@@ -297,8 +334,11 @@ def _row_key() -> list:
     return [F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("row_id"), F.xxhash64("text").alias("row_text")]
 
 
-def _near_duplicates(docs: DataFrame, similarity: float, shingle: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(doc_id, node) of all rows; one row of docs for each node (doc, node, linked); (node, first, least) of linked nodes."""
+def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, members: bool) -> tuple[DataFrame | None, DataFrame, DataFrame]:
+    """(doc_id, node) of all rows, if ``members``; one row of docs for each node (doc, node, linked); (node, first, least) of linked nodes.
+
+    Work tables that no result reads are deleted as soon as the last step that reads them is written.
+    """
 
     def add(batch):
         col = batch.column(batch.schema.get_field_index("text")).to_pylist()
@@ -307,10 +347,12 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int) -> tuple[
         return {"same": same, "n": [len(x) for x in sets], "keys": [index_keys(x, similarity).view(np.int64) for x in sets], "proof_fp": [wide_fingerprint(x).tobytes() for x in sets]}
 
     fields = [T.StructField("same", T.StringType()), T.StructField("n", T.IntegerType()), T.StructField("keys", T.ArrayType(T.LongType())), T.StructField("proof_fp", T.BinaryType())]
-    prints = materialize(map_rows(docs.select("doc_id", "text", *_row_key()), add, fields, keep=["doc_id", "row_id", "row_text"]).withColumn("node", F.xxhash64("same")))
+    keyed = materialize(map_rows(docs.select("doc_id", "text", *_row_key()), add, fields, keep=["doc_id", "row_id", "row_text"]).withColumn("node", F.xxhash64("same")))
     first = F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "row_id", "row_text", "node")
-    distinct = materialize(prints.groupBy("node").agg(F.min(first).alias("first"), F.first("n").alias("n"), F.first("proof_fp").alias("proof_fp")))
-    lists = materialize(_lists(prints))
+    prints = materialize(keyed.select("doc_id", "node")) if members else None
+    distinct = materialize(keyed.groupBy("node").agg(F.min(first).alias("first"), F.first("n").alias("n"), F.first("proof_fp").alias("proof_fp")))
+    lists = materialize(_lists(keyed))
+    release(keyed)
     linked = lists.select("node").distinct().withColumn("linked", F.lit(True))
     row = distinct.join(linked, "node", "left").select("first.row_id", "first.row_text", "node", F.coalesce("linked", F.lit(False)).alias("linked"))
     # The text is shuffled once, by row: copies of one text are spread.
@@ -319,6 +361,8 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int) -> tuple[
     known = one.where("linked").select("node", "doc.text")
     nodes = materialize(distinct.join(linked, "node").select("node", "n", "proof_fp", "first"))
     classes = materialize(nodes.select("node", "first").join(_proven_classes(lists, nodes, known, similarity, shingle), "node"))
+    for done in (lists, nodes, distinct):
+        release(done)
     least = classes.groupBy("root").agg(F.min("first").alias("least"))
     return prints, one, classes.join(least, "root").select("node", "first", "least")
 
@@ -333,7 +377,7 @@ def near_duplicate_classes(docs: DataFrame, similarity: float = 0.8, shingle: in
     links leaves each block first, then all links between classes still different. A link counts when the shingle sets
     of the whole texts prove it.
     """
-    prints, _, classes = _near_duplicates(docs, similarity, shingle)
+    prints, _, classes = _near_duplicates(docs, similarity, shingle, True)
     alone = prints.groupBy("node").agg(F.min("doc_id").alias("first_id"))
     of = alone.join(classes.select("node", F.col("least.doc_id").alias("least_id")), "node", "left")
     return prints.select("doc_id", "node").join(of.select("node", F.coalesce("least_id", "first_id").alias("component_id")), "node").select("doc_id", "component_id")
@@ -364,7 +408,7 @@ def contiguous(batches, key: list[str]):
 
 def drop_near_duplicates(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
     """One row of each class, that of the smallest known doc_id. Rows that share a doc_id but no class all stay."""
-    _, one, classes = _near_duplicates(docs, similarity, shingle)
+    _, one, classes = _near_duplicates(docs, similarity, shingle, False)
     lost = classes.where("first <> least").select("node")
     kept = one.where("linked").join(lost, "node", "left_anti").select("doc")
     return one.where("not linked").select("doc").union(kept).select("doc.*")
