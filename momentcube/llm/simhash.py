@@ -268,8 +268,9 @@ def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int)
     """
     cell = ["list", "ci", "cj"]
     needs = links.select(*cell, F.col("u").alias("node")).union(links.select(*cell, F.col("v"))).distinct()
-    # The text of a node of many cells is dealt to one task for each HUB of them.
-    parts = needs.groupBy("node").agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts"))
+    # The text of a node of many cells is dealt to one task for each HUB of them. Written first, so that its size is known to the join:
+    # few nodes are broadcast and no other text is shuffled.
+    parts = materialize(needs.groupBy("node").agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts")))
     salted = known.join(parts, "node").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
     dealt = needs.join(parts, "node").withColumn("salt", F.pmod(F.xxhash64(*cell), "parts").cast("int")).drop("parts")
     held = dealt.join(salted, ["node", "salt"]).selectExpr(*cell, "node u", "cast(null as long) v", "cast(null as long) cu", "cast(null as long) cv", "text")
@@ -409,6 +410,7 @@ def contiguous(batches, key: list[str]):
 def drop_near_duplicates(docs: DataFrame, similarity: float = 0.8, shingle: int = 5) -> DataFrame:
     """One row of each class, that of the smallest known doc_id. Rows that share a doc_id but no class all stay."""
     _, one, classes = _near_duplicates(docs, similarity, shingle, False)
-    lost = classes.where("first <> least").select("node")
+    # Written, so that its size is known to the join below: texts are shuffled only if it is large.
+    lost = materialize(classes.where("first <> least").select("node"))
     kept = one.where("linked").join(lost, "node", "left_anti").select("doc")
     return one.where("not linked").select("doc").union(kept).select("doc.*")
