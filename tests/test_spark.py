@@ -214,3 +214,27 @@ def test_exact_quantiles_agree(spark):
     li = tables.load(spark, SF, "lineitem")
     assert exact.by_sort(li, F.col("l_quantity"), 290).first()["q"] == exact.by_selection(li, F.col("l_quantity"), 290).first()["q"]
     assert as_struct(S10) is not None
+
+
+def test_cascade_judges_every_group_once_when_sums_waver(spark):
+    """Sums that differ by a rounding from one evaluation to the next: no group may fall between the two branches, or into both."""
+    base = summarise(spark.range(3000).select((F.col("id") % 300).alias("g"), (F.col("id") % 11 + F.col("id") % 7).cast("double").alias("x")), F.col("x"), ["g"], S10)
+
+    @F.udf("double")
+    def waver(s):
+        import random
+
+        return s * random.choice((1.0, 3.0))
+
+    waver = waver.asNondeterministic()
+    groups = base.select("g", *[waver(F.col(c)).alias(c) if c in ("s2", "s4", "s8", "l2", "l4", "l8") else F.col(c) for c in S10.columns])
+    for parallel in (None, 4):
+        ids = sorted(r["g"] for r in query.cascade(groups, 0.5, F.lit(11.0), S10, ("range", "markov", "maxent"), parallel=parallel).select("g").collect())
+        assert ids == list(range(300))
+
+
+def test_cascade_shares_the_exchange_that_holds_its_settled_groups(spark):
+    for df in (catalog.q_outlier_planted(spark, SF), catalog.queries()["bench_threshold_markov"](spark, SF), query.cascade(merge_groups(catalog.events_cube(spark, SF), ["event_type"], S10), 0.9, F.lit(100.0), S10).where("verdict").select("event_type")):
+        df.collect()
+        plan = df._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+        assert "ReusedExchange" in plan and plan.count("REPARTITION_BY_NUM") == 2, plan
