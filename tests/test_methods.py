@@ -218,3 +218,16 @@ def test_routing_takes_the_coarsest_fitting_cube():
     c = [Cube("fine", frozenset("abc"), SummarySpec(10), 1000, None), Cube("coarse", frozenset("ab"), SummarySpec(10), 100, None), Cube("low", frozenset("ab"), SummarySpec(4), 10, None)]
     assert choose(c, {"a"}, {"b"}, SummarySpec(8)).name == "coarse"
     assert choose(c, {"a"}, {"c"}, SummarySpec(4)).name == "fine" and choose(c, {"d"}, set(), SummarySpec(4)) is None
+
+
+def test_zeros_keep_the_logs_of_a_split_state():
+    """Six zeros among values of a long tail: without the split the logs go, and ten powers alone miss the body."""
+    rng = np.random.default_rng(5)
+    x = np.concatenate([np.zeros(6), rng.exponential(50, 20000) ** 3])
+    pos = x[x > 0]
+    phis = [(10 + 49 * i) / 1000 for i in range(21)]
+    sums = lambda v: np.array([[np.sum(v**i) for i in range(1, 11)]])
+    b = maxent.Batch.of([len(x)], [len(pos)], [0.0], [x.max()], sums(x), sums(np.log(pos)), n_neg=[0], pmin=[pos.min()], nmax=[np.nan], m=np.zeros((1, 10)))
+    q, fits = maxent.quantiles(b, phis)
+    got = np.searchsorted(np.sort(x), q[0]) / len(x)
+    assert fits[0].status == "split" and np.abs(got - phis).mean() < 0.01

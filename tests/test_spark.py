@@ -240,7 +240,7 @@ def test_cascade_shares_the_exchange_that_holds_its_settled_groups(spark):
         assert "ReusedExchange" in plan and plan.count("REPARTITION_BY_NUM") == 2, plan
 
 
-@pytest.mark.parametrize("name", ["lesion_estimators"])
+@pytest.mark.parametrize("name", ["lesion_estimators", "skew_and_outliers"])
 def test_claims_hold_on_the_larger_tables(spark, name):
     """At sf0.1 the long tail needs its logs, and values hold zeros."""
     got = catalog.queries()[name](spark, SF.replace("0.01", "0.1")).collect()
