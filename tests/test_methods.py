@@ -231,3 +231,19 @@ def test_zeros_keep_the_logs_of_a_split_state():
     q, fits = maxent.quantiles(b, phis)
     got = np.searchsorted(np.sort(x), q[0]) / len(x)
     assert fits[0].status == "split" and np.abs(got - phis).mean() < 0.01
+
+
+def test_streaming_histogram_of_many_states():
+    rng = np.random.default_rng(6)
+    x = rng.exponential(50, 40000)
+    starts = np.arange(0, len(x), 2)
+    kind = sketches.SHist(100)
+    calls = [0]
+    fill = kind._fill
+    kind._fill = lambda m, w: (calls.__setitem__(0, calls[0] + 1), fill(m, w))[1]
+    st = sketches.merge_all(kind, kind.build_many(x, starts))
+    assert calls[0] < 20 and st[1].sum() == len(x) and (st[2], st[3]) == (x.min(), x.max()) and len(st[0]) == 100
+    for phi in (0.1, 0.5, 0.9, 0.99):
+        assert abs((x < kind.quantile(st, phi)).mean() - phi) < 0.01
+    big = kind.build_many(np.concatenate([x[:3], x[:500]]), np.array([0, 3]))
+    assert [int(s[1].sum()) for s in big] == [3, 500]

@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 import __spark_entry__
 from momentcube import catalog, sql
-from momentcube.operators import cube, exact, query, window
+from momentcube.functions import sketches
+from momentcube.operators import baselines, cube, exact, query, window
 from momentcube.sources import tables
 from momentcube.streaming import panes as streams
 from momentcube.summary import SummarySpec, as_struct, merge_groups, summarise
@@ -245,3 +246,15 @@ def test_claims_hold_on_the_larger_tables(spark, name):
     """At sf0.1 the long tail needs its logs, and values hold zeros."""
     got = catalog.queries()[name](spark, SF.replace("0.01", "0.1")).collect()
     assert all(r[-1] for r in got), got
+
+
+def test_cells_are_whole_across_batches(spark):
+    """Cells longer and shorter than an Arrow batch, and NULL keys: one state each, with all of its values."""
+    rows = spark.range(25000).select(F.when(F.col("id") < 12000, None).when(F.col("id") < 24000, F.lit("b")).otherwise(F.col("id").cast("string")).alias("k"), (F.col("id") % 2).alias("j"), F.col("id").cast("double").alias("x"))
+    got = baselines.build_cells(rows, ["k", "j"], F.col("x"), sketches.SHist(10)).collect()
+    sizes = {(r["k"], r["j"]): int(sketches.load(r["state"])[1].sum()) for r in got}
+    assert len(got) == len(sizes) == 1004 and sizes[None, 0] == sizes[None, 1] == sizes["b", 0] == sizes["b", 1] == 6000 and sum(sizes.values()) == 25000
+    many = baselines.build_cells(rows.withColumn("cell", F.col("x").cast("long")), ["cell"], F.col("x"), sketches.SHist(10))
+    assert many.rdd.getNumPartitions() > 1 and baselines._combined(many, [], sketches.SHist(10), "state binary").count() <= many.rdd.getNumPartitions()
+    one = baselines.merge_cells(many, [], sketches.SHist(10)).collect()
+    assert len(one) == 1 and sketches.load(one[0]["state"])[1].sum() == 25000
