@@ -258,3 +258,8 @@ def test_cells_are_whole_across_batches(spark):
     assert many.rdd.getNumPartitions() > 1 and baselines._combined(many, [], sketches.SHist(10), "state binary").count() <= many.rdd.getNumPartitions()
     one = baselines.merge_cells(many, [], sketches.SHist(10)).collect()
     assert len(one) == 1 and sketches.load(one[0]["state"])[1].sum() == 25000
+
+
+@pytest.mark.parametrize("name", ["cardinality_sweep"])
+def test_measures_read_a_given_table(spark, name):
+    assert catalog.queries()[name](spark, SF).inputFiles()
