@@ -260,6 +260,6 @@ def test_cells_are_whole_across_batches(spark):
     assert len(one) == 1 and sketches.load(one[0]["state"])[1].sum() == 25000
 
 
-@pytest.mark.parametrize("name", ["cardinality_sweep", "err_eps_approx", "err_worked_example", "est_degenerate"])
+@pytest.mark.parametrize("name", ["cardinality_sweep", "err_eps_approx", "err_worked_example", "est_degenerate", "moments_condition"])
 def test_measures_read_a_given_table(spark, name):
     assert catalog.queries()[name](spark, SF).inputFiles()
