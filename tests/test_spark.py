@@ -263,3 +263,19 @@ def test_cells_are_whole_across_batches(spark):
 @pytest.mark.parametrize("name", ["cardinality_sweep", "err_eps_approx", "err_worked_example", "est_degenerate", "moments_condition"])
 def test_measures_read_a_given_table(spark, name):
     assert catalog.queries()[name](spark, SF).inputFiles()
+
+
+def test_outlier_search_judges_every_group_once_when_sums_waver(spark):
+    rows = spark.range(6000).select((F.col("id") % 300).alias("g"), (F.col("id") % 20).alias("h"), (F.col("id") % 11 + F.col("id") % 7).cast("double").alias("x"))
+    cells = summarise(rows, F.col("x"), ["g", "h"], S10)
+
+    @F.udf("double")
+    def waver(s):
+        import random
+
+        return s * random.choice((1.0, 3.0))
+
+    waver = waver.asNondeterministic()
+    cells = cells.select("g", "h", *[waver(F.col(c)).alias(c) if c in ("s2", "s4", "s8", "l2", "l4", "l8") else F.col(c) for c in S10.columns])
+    found = query.outlier_search(cells, ["g"], 0.01, 30, S10, parallel=4)
+    assert sorted(r["g"] for r in found.select("g", "verdict").collect()) == list(range(300))
