@@ -279,3 +279,20 @@ def test_outlier_search_judges_every_group_once_when_sums_waver(spark):
     cells = cells.select("g", "h", *[waver(F.col(c)).alias(c) if c in ("s2", "s4", "s8", "l2", "l4", "l8") else F.col(c) for c in S10.columns])
     found = query.outlier_search(cells, ["g"], 0.01, 30, S10, parallel=4)
     assert sorted(r["g"] for r in found.select("g", "verdict").collect()) == list(range(300))
+
+
+def test_planted_outliers_equal_the_sql_near_the_threshold(spark, tmp_path):
+    """Groups with 3 and 4 of 13, 3 of 10, or 1 of 3 values above t99, by little or by much, and values equal to it: an estimate gets some wrong."""
+    import duckdb
+
+    rows = [(i, i % 997, "page", v if not 99.0 < (v := 100.0 * i / 40000) < 99.3 else 99.2) for i in range(40000)]
+    for user, (n, above, low, high) in enumerate([(13, 3, 98.0, 99.5), (13, 4, 0.5, 99.4), (10, 3, 98.9, 99.9), (10, 4, 98.9, 99.4), (3, 1, 1.0, 99.9), (3, 1, 98.99, 99.35), (2, 1, 0.0, 99.4), (7, 2, 98.9, 5000.0)], 2001):
+        for u in range(user, user + 50, 10):
+            rows += [(0, u, "near", high + 0.001 * j if j < above else low - 0.001 * j) for j in range(n)]
+    rows += [(0, 3001, "same", 99.2)] * 5 + [(0, 3001, "same", 99.9)] + [(0, 3002, None, 99.5)] * 4
+    schema = "event_id long, user_id long, event_type string, value double"
+    spark.createDataFrame(rows, schema).selectExpr("event_id", "cast('2024-01-01' as timestamp_ntz) ts", "user_id", "event_type", "value", "'' props").coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
+    sql = catalog.oracle_sql()["q_outlier_planted"].replace("FROM events", f"FROM '{tmp_path}/events.parquet/*.parquet'")
+    want = sorted(duckdb.sql(sql).fetchall(), key=str)
+    assert len(want) == 26 and duckdb.sql(f"SELECT list_sort(list(value))[990 * count(*) // 1000 + 1] FROM '{tmp_path}/events.parquet/*.parquet'").fetchall() == [(99.2,)]
+    assert sorted((tuple(r) for r in catalog.q_outlier_planted(spark, str(tmp_path)).collect()), key=str) == want
