@@ -160,6 +160,8 @@ def index_keys(distinct: np.ndarray, similarity: float) -> np.ndarray:
     return distinct[: n - int(np.ceil(similarity * n - 1e-9)) + 1] if n else distinct
 
 
+#: Least keys of a node that show whether two nodes met in an earlier list.
+HEAD = 8
 #: Distance of what may not link.
 NO_LINK = np.uint16(65535)
 
@@ -206,42 +208,80 @@ def _lists(prints: DataFrame) -> DataFrame:
     return rows.select("list", F.least("chunk", "other").alias("ci"), F.greatest("chunk", "other").alias("cj"), "chunk", "node", "before")
 
 
-def _candidates(lists: DataFrame, nodes: DataFrame, similarity: float, forest: bool) -> DataFrame:
-    """(u, v, list) of distinct u, v that meet in ``lists``, the least of them, and may be alike by size and fingerprint; ``nodes`` has (node, root, n, proof_fp).
+def _distances(fp: np.ndarray, n: np.ndarray, root: np.ndarray, similarity: float) -> np.ndarray:
+    """Bits by which fingerprints of one block differ; NO_LINK within a class and where size or fingerprint rule the similarity out."""
+    far = np.zeros((len(fp), len(fp)), dtype=np.uint16)
+    for k in range(WIDE_WORDS):
+        far += np.bitwise_count(fp[:, None, k] ^ fp[None, :, k])
+    far[far > max_bits(similarity)] = NO_LINK
+    far[n[:, None] < similarity * n[None, :] - 1e-9] = NO_LINK
+    far[n[None, :] < similarity * n[:, None] - 1e-9] = NO_LINK
+    far[root[:, None] == root[None, :]] = NO_LINK
+    return far
+
+
+def _unlink_met(far: np.ndarray, heads: list[bytes], at: int) -> None:
+    """NO_LINK for nodes that share one of their least keys (``heads``) below ``at``: they meet in that key's list."""
+    keys = np.frombuffer(b"".join(heads), dtype=np.uint64)
+    owner = np.repeat(np.arange(len(heads)), [len(h) // 8 for h in heads])
+    owner, keys = owner[keys < at], keys[keys < at]
+    order = np.argsort(keys, kind="stable")
+    owner, keys = owner[order], keys[order]
+    cuts = np.concatenate([[0], np.nonzero(keys[1:] != keys[:-1])[0] + 1, [len(keys)]])
+    for i in np.nonzero(np.diff(cuts) > 1)[0]:
+        same = owner[cuts[i] : cuts[i + 1]]
+        far[np.ix_(same, same)] = NO_LINK
+
+
+def _blocks(lists: DataFrame, nodes: DataFrame, columns: list[str]) -> DataFrame:
+    blocks = lists.join(nodes.select("node", "root", "n", "proof_fp", *columns), "node")
+    return blocks.repartition("list", "ci", "cj").sortWithinPartitions("list", "ci", "cj", "node")
+
+
+def _block_distances(rows: pa.Table, similarity: float) -> np.ndarray:
+    root, n, before, chunk = (rows.column(c).to_numpy() for c in ("root", "n", "before", "chunk"))
+    far = _distances(np.frombuffer(b"".join(rows.column("proof_fp").to_pylist()), dtype=np.uint64).reshape(-1, WIDE_WORDS), n, root, similarity)
+    far[before[:, None] == before[None, :]] = NO_LINK
+    if rows.column("ci")[0].as_py() != rows.column("cj")[0].as_py():
+        far[chunk[:, None] == chunk[None, :]] = NO_LINK
+    return far
+
+
+def _nearest_links(lists: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
+    """(u, v, list) of a nearest-first forest of the links of each block of ``lists``, list the least; ``nodes`` has (node, root, n, proof_fp)."""
+
+    def run(batches):
+        for rows in contiguous(batches, ["list", "ci", "cj"]):
+            if rows.num_rows < 2:
+                continue
+            node = rows.column("node").to_numpy()
+            mixed = node.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+            a, b = _nearest_forest(_block_distances(rows, similarity), ((mixed[:, None] ^ mixed[None, :]) >> np.uint64(48)).astype(np.uint32))
+            x, y, at_list = node[a], node[b], np.full(len(a), rows.column("list")[0].as_py(), dtype=np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(at_list)], names=["u", "v", "list"])
+
+    return _blocks(lists, nodes, []).mapInArrow(run, "u long, v long, list long").groupBy("u", "v").agg(F.min("list").alias("list"))
 
-    ``forest``: only a nearest-first forest of each block's links. Otherwise all links between different roots.
+
+def _open_nodes(lists: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
+    """(list, node) of nodes with a link to another class in the list: rows of nodes, whatever number of links they have there.
+
+    A link counts in the list of the least key that its nodes share alone, as far as their ``head`` shows it.
     """
-    most = max_bits(similarity)
-    blocks = lists.join(nodes.select("node", "root", "n", "proof_fp"), "node")
-    blocks = blocks.repartition("list", "ci", "cj").sortWithinPartitions("list", "ci", "cj", "node")
 
     def run(batches):
         for rows in contiguous(batches, ["list", "ci", "cj"]):
-            node, root, n, before, chunk = (rows.column(c).to_numpy() for c in ("node", "root", "n", "before", "chunk"))
-            if len(node) < 2 or not forest and (root == root[0]).all():
+            root = rows.column("root").to_numpy()
+            if (root == root[0]).all():
                 continue
-            fp = np.frombuffer(b"".join(rows.column("proof_fp").to_pylist()), dtype=np.uint64).reshape(-1, WIDE_WORDS)
-            far = np.zeros((len(node), len(node)), dtype=np.uint16)
-            for k in range(WIDE_WORDS):
-                far += np.bitwise_count(fp[:, None, k] ^ fp[None, :, k])
-            far[far > most] = NO_LINK
-            far[n[:, None] < similarity * n[None, :] - 1e-9] = NO_LINK
-            far[n[None, :] < similarity * n[:, None] - 1e-9] = NO_LINK
-            far[before[:, None] == before[None, :]] = NO_LINK
-            far[root[:, None] == root[None, :]] = NO_LINK
-            if rows.column("ci")[0].as_py() != rows.column("cj")[0].as_py():
-                far[chunk[:, None] == chunk[None, :]] = NO_LINK
-            if forest:
-                mixed = node.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-                a, b = _nearest_forest(far, ((mixed[:, None] ^ mixed[None, :]) >> np.uint64(48)).astype(np.uint32))
-            else:
-                a, b = np.nonzero(np.triu(far != NO_LINK, 1))
-            for at in range(0, len(a), 1 << 16):
-                x, y = node[a[at : at + (1 << 16)]], node[b[at : at + (1 << 16)]]
-                at_list = np.full(len(x), rows.column("list")[0].as_py(), dtype=np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(at_list)], names=["u", "v", "list"])
-
-    return blocks.mapInArrow(run, "u long, v long, list long").groupBy("u", "v").agg(F.min("list").alias("list"))
+            far, at = _block_distances(rows, similarity), rows.column("list")[0].as_py()
+            if (far != NO_LINK).any():
+                _unlink_met(far, rows.column("head").to_pylist(), np.uint64(at % (1 << 64)))
+            node = rows.column("node").to_numpy()[(far != NO_LINK).any(axis=1)]
+            if len(node):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(node), at, dtype=np.int64)), pa.array(node)], names=["list", "node"])
+
+    return _blocks(lists, nodes, ["head"]).mapInArrow(run, "list long, node long").distinct()
 
 
 #: Cells of one node that meet its text in one task.
@@ -261,6 +301,16 @@ def _cells(links: DataFrame) -> DataFrame:
     return links.join(size, "list").withColumn("ci", F.least(a, b)).withColumn("cj", F.greatest(a, b)).drop("parts", "nu", "nv")
 
 
+def _texts(needs: DataFrame, known: DataFrame) -> DataFrame:
+    """``needs`` (list, ci, cj, node, ...) with the nodes' texts."""
+    # The text of a node of many cells is dealt to one task for each HUB of them. Written first, so that its size is known to the join:
+    # few nodes are broadcast and no other text is shuffled.
+    parts = materialize(needs.groupBy("node").agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts")))
+    salted = known.join(parts, "node").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    dealt = needs.join(parts, "node").withColumn("salt", F.pmod(F.xxhash64("list", "ci", "cj"), "parts").cast("int")).drop("parts")
+    return dealt.join(salted, ["node", "salt"]).drop("salt")
+
+
 def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
     """(cu, cv) of links, dealt to cells, whose sets of shingles of both whole texts have this Jaccard similarity.
 
@@ -268,12 +318,7 @@ def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int)
     """
     cell = ["list", "ci", "cj"]
     needs = links.select(*cell, F.col("u").alias("node")).union(links.select(*cell, F.col("v"))).distinct()
-    # The text of a node of many cells is dealt to one task for each HUB of them. Written first, so that its size is known to the join:
-    # few nodes are broadcast and no other text is shuffled.
-    parts = materialize(needs.groupBy("node").agg(F.ceil(F.count(F.lit(1)) / F.lit(HUB)).cast("int").alias("parts")))
-    salted = known.join(parts, "node").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
-    dealt = needs.join(parts, "node").withColumn("salt", F.pmod(F.xxhash64(*cell), "parts").cast("int")).drop("parts")
-    held = dealt.join(salted, ["node", "salt"]).selectExpr(*cell, "node u", "cast(null as long) v", "cast(null as long) cu", "cast(null as long) cv", "text")
+    held = _texts(needs, known).selectExpr(*cell, "node u", "cast(null as long) v", "cast(null as long) cu", "cast(null as long) cv", "text")
     rows = held.union(links.selectExpr(*cell, "u", "v", "cu", "cv", "cast(null as string)"))
     rows = rows.repartition(*cell).sortWithinPartitions(*cell, F.col("v").asc_nulls_first(), "u")
     bound_batches(links.sparkSession)
@@ -306,28 +351,91 @@ def _alike(links: DataFrame, known: DataFrame, similarity: float, shingle: int)
     return rows.mapInArrow(run, "u long, v long")
 
 
+def _joined(sets: list[np.ndarray], root: np.ndarray, far: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Roots that links of one cell join, as spanning edges: each link that ``far`` leaves between classes still different is tried on the sets."""
+    size = np.array([len(x) for x in sets])
+    code = np.split(np.unique(np.concatenate(sets), return_inverse=True)[1], np.cumsum(size)[:-1])
+    held = np.zeros(1 + max(int(c.max()) for c in code if len(c)) if size.any() else 1, dtype=bool)
+    now, a, b = root.copy(), [], []
+    for i in range(len(sets) - 1):
+        # A few at a time: classes joined early spare the rest of their links.
+        rest = i + 1 + np.nonzero((far[i, i + 1 :] != NO_LINK) & (now[i + 1 :] != now[i]))[0]
+        if not len(rest):
+            continue
+        held[code[i]] = True
+        while len(rest):
+            part, rest = rest[:64], rest[64:]
+            both = np.add.reduceat(np.append(held[np.concatenate([code[j] for j in part])], False).astype(np.int32), np.cumsum(np.append(0, size[part][:-1])))
+            both[size[part] == 0] = 0
+            for j in part[both >= similarity * (size[i] + size[part] - both)]:
+                if now[j] != now[i]:
+                    a.append(now[i]), b.append(now[j])
+                    now[now == now[j]] = now[i]
+            rest = rest[now[rest] != now[i]]
+        held[code[i]] = False
+    return np.array(a, dtype=np.int64), np.array(b, dtype=np.int64)
+
+
+def _alike_in_cells(open_nodes: DataFrame, nodes: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
+    """(u, v) of roots: spanning edges of all links between ``open_nodes`` (list, node) of a list that the sets of shingles of the whole texts prove.
+
+    The links are no rows: a list's nodes are dealt to cells, pairs of chunks bounded by their shingles and nodes, and tried there.
+    """
+    cell = ["list", "ci", "cj"]
+    sized = open_nodes.join(nodes.select("node", "root", "n", "proof_fp"), "node")
+    parts = sized.groupBy("list").agg(F.greatest(F.ceil(F.sum("n") / F.lit(CELL_SHINGLES)), F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)), F.lit(1)).cast("int").alias("parts"))
+    dealt = sized.join(parts, "list").withColumn("chunk", F.pmod(F.xxhash64("node", "list"), "parts").cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    needs = materialize(dealt.select("list", F.least("chunk", "other").alias("ci"), F.greatest("chunk", "other").alias("cj"), "chunk", "node", "root", "n", "proof_fp"))
+    rows = _texts(needs, known).select(*cell, "chunk", "node", "root", "n", "proof_fp", "text").repartition(*cell).sortWithinPartitions(*cell, "node")
+    bound_batches(open_nodes.sparkSession)
+
+    def proven(at, held):
+        chunk, root, n = (np.array([h[k] for h in held]) for k in (0, 1, 2))
+        far = _distances(np.frombuffer(b"".join(h[3] for h in held), dtype=np.uint64).reshape(-1, WIDE_WORDS), n, root, similarity)
+        if at[1] != at[2]:
+            far[chunk[:, None] == chunk[None, :]] = NO_LINK
+        u, v = _joined([h[4] for h in held], root, far, similarity)
+        return pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
+
+    def run(batches):
+        now, held = None, []
+        for batch in batches:
+            cols = {name: batch.column(i).to_pylist() for i, name in enumerate(batch.schema.names)}
+            for at, *row, text in zip(zip(*(cols[c] for c in cell)), *(cols[c] for c in ("chunk", "root", "n", "proof_fp", "text"))):
+                if at != now:
+                    if len(held) > 1:
+                        yield proven(now, held)
+                    now, held = at, []
+                held.append((*row, np.unique(shingle_hashes(text, shingle))))
+        if len(held) > 1:
+            yield proven(now, held)
+        give_back()
+
+    return rows.mapInArrow(run, "u long, v long")
+
+
 def _proven_classes(lists: DataFrame, nodes: DataFrame, known: DataFrame, similarity: float, shingle: int) -> DataFrame:
     """(node, root) of ``nodes``: classes spanned by the links that the shingles prove.
 
     First the forests' links are proven, which merges most copies; then every other link between different classes is, so no
-    link that meets is left untried.
+    link that meets is left untried. Those are tried where their texts meet and are never listed: their number grows with the
+    square of a group's size.
     """
-    root = nodes.select("node", F.col("node").alias("root"))
-    tried = None
-    for forest in (True, False):
-        links = _candidates(lists, nodes.join(root, "node"), similarity, forest)
-        if tried is not None:
-            links = links.join(tried, ["u", "v"], "left_anti")
-        sized = root.join(nodes.select("node", "n"), "node").select("node", "root", "n")
-        for c in ("u", "v"):
-            links = links.join(sized.toDF(c, f"c{c}", f"n{c}"), c)
-        links = materialize(links)
-        dealt = materialize(_cells(links))
-        release(links)
-        tried = dealt.select("u", "v")
-        merged = materialize(components(_alike(dealt, known, similarity, shingle)))
-        root = materialize(root.join(merged.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root")))
-    return root
+    alone = nodes.withColumn("root", F.col("node"))
+    links = _nearest_links(lists, alone, similarity)
+    for c in ("u", "v"):
+        links = links.join(alone.select("node", "root", "n").toDF(c, f"c{c}", f"n{c}"), c)
+    links = materialize(links)
+    dealt = materialize(_cells(links))
+    release(links)
+    merged = materialize(components(_alike(dealt, known, similarity, shingle)))
+    root = materialize(nodes.select("node").join(merged.toDF("node", "to"), "node", "left").select("node", F.coalesce("to", "node").alias("root")))
+    release(dealt)
+    rooted = nodes.join(root, "node")
+    open_nodes = materialize(_open_nodes(lists, rooted, similarity))
+    merged = materialize(components(_alike_in_cells(open_nodes, rooted, known, similarity, shingle)))
+    return materialize(root.join(merged.toDF("root", "to"), "root", "left").select("node", F.coalesce("to", "root").alias("root")))
 
 
 def _row_key() -> list:
@@ -345,13 +453,13 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, members:
         col = batch.column(batch.schema.get_field_index("text")).to_pylist()
         sets = [np.unique(shingle_hashes(t, shingle)) for t in col]
         same = [xxhash.xxh3_128_hexdigest(b" ".join((t or "").encode().lower().split())) for t in col]
-        return {"same": same, "n": [len(x) for x in sets], "keys": [index_keys(x, similarity).view(np.int64) for x in sets], "proof_fp": [wide_fingerprint(x).tobytes() for x in sets]}
+        return {"same": same, "n": [len(x) for x in sets], "keys": [index_keys(x, similarity).view(np.int64) for x in sets], "head": [index_keys(x, similarity)[:HEAD].tobytes() for x in sets], "proof_fp": [wide_fingerprint(x).tobytes() for x in sets]}
 
-    fields = [T.StructField("same", T.StringType()), T.StructField("n", T.IntegerType()), T.StructField("keys", T.ArrayType(T.LongType())), T.StructField("proof_fp", T.BinaryType())]
+    fields = [T.StructField("same", T.StringType()), T.StructField("n", T.IntegerType()), T.StructField("keys", T.ArrayType(T.LongType())), T.StructField("head", T.BinaryType()), T.StructField("proof_fp", T.BinaryType())]
     keyed = materialize(map_rows(docs.select("doc_id", "text", *_row_key()), add, fields, keep=["doc_id", "row_id", "row_text"]).withColumn("node", F.xxhash64("same")))
     first = F.struct(F.col("doc_id").isNull().alias("unknown"), "doc_id", "row_id", "row_text", "node")
     prints = materialize(keyed.select("doc_id", "node")) if members else None
-    distinct = materialize(keyed.groupBy("node").agg(F.min(first).alias("first"), F.first("n").alias("n"), F.first("proof_fp").alias("proof_fp")))
+    distinct = materialize(keyed.groupBy("node").agg(F.min(first).alias("first"), F.first("n").alias("n"), F.first("head").alias("head"), F.first("proof_fp").alias("proof_fp")))
     lists = materialize(_lists(keyed))
     release(keyed)
     linked = lists.select("node").distinct().withColumn("linked", F.lit(True))
@@ -360,7 +468,7 @@ def _near_duplicates(docs: DataFrame, similarity: float, shingle: int, members:
     whole = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("doc"), *_row_key())
     one = materialize(whole.join(row, ["row_id", "row_text"]).dropDuplicates(["row_id", "row_text"]).select("doc", "node", "linked"))
     known = one.where("linked").select("node", "doc.text")
-    nodes = materialize(distinct.join(linked, "node").select("node", "n", "proof_fp", "first"))
+    nodes = materialize(distinct.join(linked, "node").select("node", "n", "head", "proof_fp", "first"))
     classes = materialize(nodes.select("node", "first").join(_proven_classes(lists, nodes, known, similarity, shingle), "node"))
     for done in (lists, nodes, distinct):
         release(done)

@@ -244,6 +244,42 @@ def test_near_duplicates_in_a_family(spark):
     assert len(set(got.values())) == len(set(want.values())) and got == want
 
 
+def test_near_duplicates_write_nodes_and_not_links(spark, monkeypatch):
+    """A family just below 0.8 has links by the square of its size to try; the rows of no table follow them, and no link is lost."""
+    rng = np.random.default_rng(4)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 7))
+    base, rows, written = [word() for _ in range(120)], [], []
+    for k in range(600):
+        copy = list(base)
+        for at in rng.choice(120, 2, replace=False):
+            copy[at] = word()
+        rows.append((k, " ".join(copy)))
+
+    def counted(df):
+        out = common.materialize(df)
+        written.append(out.count())
+        return out
+
+    monkeypatch.setattr(simhash, "materialize", counted)
+    want, pairs = _exact_classes(rows)
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want and len(pairs) > 1000
+    assert max(written) < 40 * len(rows), written
+
+
+def test_joined_tries_every_link_of_a_cell():
+    """Spanning edges of one cell against all pairs, classes joined before and links ruled out included."""
+    rng = np.random.default_rng(6)
+    pool = rng.integers(0, 1 << 63, 60).astype(np.uint64)
+    sets = [np.unique(rng.choice(pool, int(rng.integers(0, 50)))) for _ in range(40)] + [np.unique(np.append(pool[k : k + 20], pool[:k])) for k in range(30)]
+    root, far = np.arange(len(sets)) // 2 + 500, rng.choice(np.array([3, simhash.NO_LINK], dtype=np.uint16), (len(sets), len(sets)))
+    far = np.minimum(far, far.T)
+    pairs = [(int(root[i]), int(root[j])) for i in range(len(sets)) for j in range(i) if far[i, j] != simhash.NO_LINK and len(both := np.intersect1d(sets[i], sets[j])) and len(both) >= 0.8 * len(np.union1d(sets[i], sets[j]))]
+    u, v = simhash._joined(sets, root, far, 0.8)
+    ids = sorted(set(map(int, root)))
+    assert len(pairs) > 20 and ref.classes(ids, list(zip(map(int, u), map(int, v)))) == ref.classes(ids, pairs)
+
+
 def test_near_duplicate_filter_keeps_pairs_at_the_similarity():
     """Fingerprints of sets at exactly 0.8, few shingles or many, stay inside the distance filter."""
     rng = np.random.default_rng(8)
